@@ -6,11 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, simhash_dedup
+from . import byte_bpe, rule_ensemble, simhash_dedup, suffix_dedup
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_suffix_array_dedup": suffix_dedup.op2_suffix_array_dedup,
     "op3_byte_bpe": byte_bpe.op3_byte_bpe,
     "op9_simhash_near_dedup": simhash_dedup.op9_simhash_near_dedup,
+    "op10_rule_ensemble_quality": rule_ensemble.op10_rule_ensemble_quality,
 }
 
 ORACLE_SQL: dict[str, str] = {}
