@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, chat_format, html_wrapper, rule_ensemble, shard_store, simhash_dedup, suffix_dedup, warc
+from . import byte_bpe, chat_format, hash_forest, html_wrapper, rule_ensemble, shard_store, simhash_dedup, suffix_dedup, warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_suffix_array_dedup": suffix_dedup.op2_suffix_array_dedup,
     "op3_byte_bpe": byte_bpe.op3_byte_bpe,
     "op4_html_wrapper": html_wrapper.op4_html_wrapper,
     "op5_warc": warc.op5_warc,
+    "op6_hash_forest": hash_forest.op6_hash_forest,
     "op7_chat_format": chat_format.op7_chat_format,
     "op8_size_tiered_shards": shard_store.op8_size_tiered_shards,
     "op9_simhash_near_dedup": simhash_dedup.op9_simhash_near_dedup,
