@@ -6,9 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import byte_bpe, chat_format, hash_forest, html_wrapper, rule_ensemble, shard_store, simhash_dedup, suffix_dedup, warc
+from . import byte_bpe, chat_format, decontaminate, hash_forest, html_wrapper, rule_ensemble, shard_store, simhash_dedup, suffix_dedup, warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_decontamination": decontaminate.op1_decontamination,
     "op2_suffix_array_dedup": suffix_dedup.op2_suffix_array_dedup,
     "op3_byte_bpe": byte_bpe.op3_byte_bpe,
     "op4_html_wrapper": html_wrapper.op4_html_wrapper,

@@ -9,6 +9,9 @@
    that a smaller document also has.
 3. Blocks join the spans and drop their bytes.
 
+Documents with the text of a smaller one are found first, by a digest of the text: all their strings start in that
+one, and none of theirs is ever the smallest, so they take no part in the suffix arrays and go as a whole.
+
 A shard leaves out runs none of whose strings has a 64-bit hash that occurs twice: a frequent gram in many different
 surroundings costs its hashes only. Rows between blocks and shards are packed arrays, so a gram or document that
 fills a third of the input makes rows of even number.
@@ -31,7 +34,7 @@ from .suffix_array import permuted_common_prefixes, suffix_array
 LENGTH = 50
 GRAM = 16
 BLOCK_BYTES = 2 << 20
-BLOCK, KEY = "sw__block", "sw__id"
+BLOCK, KEY, SAME = "sw__block", "sw__id", "sw__same"
 #: A fixed random word for each byte.
 WORD = np.random.default_rng(20).integers(1, 2**63, 256, dtype=np.uint64)
 ODD = np.uint64(0x9E3779B97F4A7C15)
@@ -74,14 +77,18 @@ class Block:
     """The documents of a block in a fixed order, as one array of bytes."""
 
     def __init__(self, docs: pa.Table, text_col: str) -> None:
-        ids = docs.column(KEY).to_pylist()
-        texts = [t or b"" for t in docs.column(text_col).cast(pa.binary()).to_pylist()]
-        self.order = sorted(range(len(ids)), key=lambda i: (ids[i], texts[i]))
-        self.texts = [texts[i] for i in self.order]
+        marks, ids = docs.column(SAME).to_pylist(), docs.column(KEY).to_pylist()
+        raw = docs.column(text_col).cast(pa.binary()).to_pylist()
+        self.rows = [i for i, m in enumerate(marks) if m is None]
+        self.order = sorted(self.rows, key=lambda i: (ids[i], raw[i] or b""))
+        self.texts = [raw[i] or b"" for i in self.order]
         self.ids = np.array([ids[i] for i in self.order], np.int64)
+        self.ends = np.cumsum([len(t) for t in self.texts], dtype=np.int64)
+        self.starts = self.ends - np.array([len(t) for t in self.texts], np.int64)
         self.data = np.frombuffer(b"".join(self.texts), np.uint8)
-        self.ends = np.cumsum([len(t) for t in self.texts])
-        self.starts = self.ends - np.array([len(t) for t in self.texts])
+        marked = {(i, m) for i, m in zip(ids, marks, strict=True) if m is not None}
+        some = {i for i, _ in marked}
+        self.copy = np.array([i in some and (i, hashlib.md5(t).hexdigest()) in marked for i, t in zip(self.ids.tolist(), self.texts, strict=True)], bool)
 
     def runs(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Representative, document, first string and past-the-last string of each run."""
@@ -90,8 +97,8 @@ class Block:
             return np.zeros(0, np.uint64), *(np.zeros(0, np.int64) for _ in range(3))
         m = _minima(_hashes(self.data, _binary(GRAM)), LENGTH - GRAM + 1)
         inside = np.ones(n, bool)
-        for s, e in zip(self.starts.tolist(), self.ends.tolist(), strict=True):
-            inside[max(s, e - LENGTH + 1) : e] = False
+        for s, e, copy in zip(self.starts.tolist(), self.ends.tolist(), self.copy.tolist(), strict=True):
+            inside[s if copy else max(s, e - LENGTH + 1) : e] = False
         new = inside.copy()
         new[1:] &= ~inside[:-1] | (m[1:] != m[:-1])
         first = np.flatnonzero(new)
@@ -125,39 +132,37 @@ def _find_shared(t: pa.Table) -> pa.Table:
     return pa.table({"block": pa.array(out["block"], pa.int64()), "h": pa.array(out["h"], pa.binary())})
 
 
-def smallest_owner(runs: list[bytes], owner: np.ndarray) -> list[np.ndarray]:
-    """For each run, the smallest owner of each of its strings among all runs."""
-    sizes = np.array([len(r) for r in runs], np.int64)
-    t = np.frombuffer(b"\x00".join(runs) + b"\x00", np.uint8).astype(np.uint16) + 2
-    ends = np.cumsum(sizes + 1)
-    t[ends - 1] = 1
-    t = np.append(t, np.uint16(0))
+def smallest_owner(data: bytes, sizes: np.ndarray, owner: np.ndarray) -> np.ndarray:
+    """For each byte of runs laid end to end, the smallest owner of the string there; no meaning where none fits."""
+    apart = np.repeat(np.arange(len(sizes)), sizes) + np.arange(len(data))
+    t = np.ones(len(data) + len(sizes) + 1, np.uint16)
+    t[apart] = np.frombuffer(data, np.uint8).astype(np.uint16) + 2
+    t[-1] = 0
     sa = suffix_array(t)
-    common = permuted_common_prefixes(t, sa)
-    group = np.cumsum(common[sa] < LENGTH) - 1
+    fresh = permuted_common_prefixes(t, sa)[sa] < LENGTH
+    fresh[0] = True
     whose = np.append(np.repeat(owner, sizes + 1), NO_ID)
-    begin = np.flatnonzero(np.concatenate(([True], np.diff(group) > 0)))
-    # a suffix too short for a string shares a group only with others of its kind: the separator is among its bytes
+    # what is too short for a string has a separator among its bytes, so no string shares its group
     least = np.empty(len(t), np.int64)
-    least[sa] = np.repeat(np.minimum.reduceat(whose[sa], begin), np.diff(np.append(begin, len(t))))
-    return [least[e - s - 1 : e - LENGTH] for s, e in zip(sizes.tolist(), ends.tolist(), strict=True)]
+    least[sa] = np.minimum.reduceat(whose[sa], np.flatnonzero(fresh))[np.cumsum(fresh) - 1]
+    return least[apart]
+
+
+def _repeated(h: np.ndarray) -> np.ndarray:
+    """Whether each hash occurs twice at least."""
+    s = np.sort(h)
+    twice = s[:-1][s[1:] == s[:-1]]
+    return twice[np.minimum(np.searchsorted(twice, h), len(twice) - 1)] == h if len(twice) else np.zeros(len(h), bool)
 
 
 def _find_spans(t: pa.Table) -> pa.Table:
     """Spans of strings that a smaller document has, for the runs that blocks sent to one shard."""
     number: dict[bytes, int] = {}
-    runs: list[bytes] = []
     at_block, at_run, at_row, at_id, at_pos = [], [], [], [], []
     for row in t.select(["block", "data", "sizes", "run", "row", "id", "pos"]).to_batches():
         for block, data, sizes, run, doc, ids, pos in zip(*(c.to_pylist() for c in row.columns), strict=True):
-            local, at = [], 0
-            for size in np.frombuffer(sizes, np.int32).tolist():
-                r = data[at : at + size]
-                at += size
-                if (k := number.get(r)) is None:
-                    k = number[r] = len(runs)
-                    runs.append(r)
-                local.append(k)
+            stops = np.cumsum(np.frombuffer(sizes, np.int32)).tolist()
+            local = [number.setdefault(data[a:b], len(number)) for a, b in zip([0, *stops[:-1]], stops, strict=True)]
             run = np.frombuffer(run, np.int32)
             at_block.append(np.full(len(run), block, np.int64))
             at_run.append(np.array(local, np.int64)[run])
@@ -165,42 +170,41 @@ def _find_spans(t: pa.Table) -> pa.Table:
             at_id.append(np.frombuffer(ids, np.int64))
             at_pos.append(np.frombuffer(pos, np.int32))
     block, run, row, ids, pos = (np.concatenate(x) for x in (at_block, at_run, at_row, at_id, at_pos))
-    owner, most = np.full(len(runs), NO_ID, np.int64), np.full(len(runs), -1, np.int64)
+    runs = list(number)
+    del number
+    owner, most = np.full(len(runs), NO_ID, np.int64), np.full(len(runs), -(2**63), np.int64)
     np.minimum.at(owner, run, ids)
     np.maximum.at(most, run, ids)
+    sizes = np.array([len(r) for r in runs], np.int64)
     # runs of one document whose strings all have hashes of their own take no part
-    each = [np.unique(_hashes(np.frombuffer(r, np.uint8), _binary(LENGTH))) for r in runs]
-    flat = np.concatenate(each)
-    order = np.sort(flat)
-    twice = np.unique(order[:-1][order[1:] == order[:-1]])
-    sizes = np.array([len(x) for x in each])
-    hit = np.zeros(len(flat), bool)
-    if len(twice):
-        hit = twice[np.minimum(np.searchsorted(twice, flat), len(twice) - 1)] == flat
-    use = np.flatnonzero((most > owner) | np.logical_or.reduceat(hit, np.cumsum(sizes) - sizes))
-    if not len(use):
-        return pa.table({"block": pa.array([], pa.int64()), "row": pa.array([], pa.binary()), "first": pa.array([], pa.binary()), "stop": pa.array([], pa.binary())})
-    least = smallest_owner([runs[i] for i in use], owner[use])
-    # stretches of strings with the same smallest owner
-    s_run, s_first, s_stop, s_least = [], [], [], []
-    for i, x in zip(use.tolist(), least, strict=True):
-        cut = np.flatnonzero(x[1:] != x[:-1]) + 1 if x[0] != x[-1] or (x != x[0]).any() else ()
-        for a, b in zip([0, *cut], [*cut, len(x)], strict=True):
-            s_run.append(i)
-            s_first.append(a)
-            s_stop.append(b)
-            s_least.append(x[a])
-    s_run, s_first, s_stop, s_least = map(np.array, (s_run, s_first, s_stop, s_least))
-    count = np.bincount(s_run, minlength=len(runs))
-    begin = np.cumsum(count) - count
-    times = count[run]
-    which = np.repeat(begin[run], times) + np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
-    of = np.repeat(np.arange(len(run)), times)
-    keep = s_least[which] < ids[of]
-    which, of = which[keep], of[keep]
-    out = [(b, *(c.tobytes() for c in cols)) for b, cols in _split(block[of], row[of], (pos[of] + s_first[which]).astype(np.int32), (pos[of] + s_stop[which] + LENGTH - 1).astype(np.int32))]
-    names = ["block", "row", "first", "stop"]
-    return pa.table({n: pa.array([x[k] for x in out], pa.int64() if k == 0 else pa.binary()) for k, n in enumerate(names)})
+    starts, which = np.cumsum(sizes) - sizes, np.repeat(np.arange(len(runs)), sizes)
+    fits = (np.arange(len(which)) - starts[which] <= sizes[which] - LENGTH)[: len(which) - LENGTH + 1]
+    hit = np.zeros(len(fits), bool)
+    hit[fits] = _repeated(_hashes(np.frombuffer(b"".join(runs), np.uint8), _binary(LENGTH))[fits])
+    use = np.flatnonzero((most > owner) | (np.bincount(which[: len(fits)][hit], minlength=len(runs)) > 0))
+    out: list[tuple] = []
+    if len(use):
+        size = sizes[use]
+        least = smallest_owner(b"".join([runs[i] for i in use]), size, owner[use])
+        start = np.cumsum(size) - size
+        of_run = np.repeat(np.arange(len(use)), size)
+        place = np.arange(len(of_run)) - start[of_run]
+        fits = place <= size[of_run] - LENGTH
+        of_run, place, least = of_run[fits], place[fits], least[fits]
+        # stretches of strings with the same smallest owner
+        new = np.concatenate(([True], (of_run[1:] != of_run[:-1]) | (least[1:] != least[:-1])))
+        begin = np.flatnonzero(new)
+        s_run, s_first, s_least = use[of_run[begin]], place[begin], least[begin]
+        s_stop = place[np.append(begin[1:], len(place)) - 1] + LENGTH
+        count = np.bincount(s_run, minlength=len(runs))
+        first = np.cumsum(count) - count
+        times = count[run]
+        one = np.repeat(first[run], times) + np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times)
+        of = np.repeat(np.arange(len(run)), times)
+        keep = s_least[one] < ids[of]
+        one, of = one[keep], of[keep]
+        out = [(b, *(c.tobytes() for c in cols)) for b, cols in _split(block[of], row[of], (pos[of] + s_first[one]).astype(np.int32), (pos[of] + s_stop[one]).astype(np.int32))]
+    return pa.table({n: pa.array([x[k] for x in out], pa.int64() if k == 0 else pa.binary()) for k, n in enumerate(("block", "row", "first", "stop"))})
 
 
 def _kept(block: Block, spans: pa.Table) -> tuple[list[bytes], np.ndarray, np.ndarray]:
@@ -212,6 +216,8 @@ def _kept(block: Block, spans: pa.Table) -> tuple[list[bytes], np.ndarray, np.nd
         np.add.at(step, base + np.frombuffer(first, np.int32), 1)
         np.add.at(step, base + np.frombuffer(stop, np.int32), -1)
     gone = np.cumsum(step[:n]) > 0
+    for s, e in zip(block.starts[block.copy].tolist(), block.ends[block.copy].tolist(), strict=True):
+        gone[s:e] = e - s >= LENGTH
     opens = gone.copy()
     opens[1:] &= ~gone[:-1]
     opens[block.starts[block.starts < n]] = gone[block.starts[block.starts < n]]
@@ -262,9 +268,16 @@ def _spans(docs: DataFrame, text_col: str, blocks: int) -> DataFrame:
 
 
 def _dealt(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, int]:
+    """docs with block and id, and a row with a digest for each document that has the text of a smaller one."""
     blocks = block_count(docs.sparkSession, docs, text_col, BLOCK_BYTES)
-    key = id_or_last(id_col)
-    return docs.withColumn(KEY, key).withColumn(BLOCK, F.pmod(F.xxhash64(key, F.octet_length(text_col)), F.lit(blocks)).cast("bigint")), blocks
+    key, block = id_or_last(id_col), lambda k: F.pmod(F.xxhash64(k), F.lit(blocks)).cast("bigint")
+    digest = docs.where(F.octet_length(text_col) >= LENGTH).select(key.alias(KEY), F.md5(F.encode(text_col, "UTF-8")).alias(SAME))
+    groups = digest.groupBy(SAME).agg(F.min(KEY).alias("least"), F.max(KEY).alias("most")).where("least < most")
+    copies = digest.join(groups, SAME).where(F.col(KEY) > F.col("least")).select(KEY, SAME)
+    empty = [F.lit(None).cast(f.dataType).alias(f.name) for f in docs.schema.fields]
+    marks = copies.select(*empty, KEY, SAME)
+    rows = docs.select("*", key.alias(KEY), F.lit(None).cast("string").alias(SAME))
+    return rows.union(marks).withColumn(BLOCK, block(F.col(KEY))), blocks
 
 
 def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -302,20 +315,20 @@ def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         for i, k, r in zip(b.order, kept, removed.tolist(), strict=True):
             if r:
                 new[i] = k.decode("utf-8", "ignore")
-        out = t.drop_columns([BLOCK, KEY])
+        out = t.drop_columns([BLOCK, KEY, SAME])
         out = out.set_column(out.schema.get_field_index(text_col), text_col, pa.array(new, pa.string()))
         if count_col in out.schema.names:
             k = out.schema.get_field_index(count_col)
-            size = [old_n if new_t is None or not r else len(new_t) for new_t, old_n, r in zip(new, out.column(k).to_pylist(), _by_row(b, removed), strict=True)]
+            size = [old_n if new_t is None or not r else len(new_t) for new_t, old_n, r in zip(new, out.column(k).to_pylist(), _by_row(b, removed, t.num_rows), strict=True)]
             out = out.set_column(k, count_col, pa.array(size, out.schema.field(k).type))
-        return out
+        return out.take(pa.array(b.rows, pa.int64()))
 
     spans = _spans(dealt, text_col, blocks)
     return dealt.groupBy(BLOCK).cogroup(spans.groupBy("block")).applyInArrow(drop, schema)
 
 
-def _by_row(b: Block, values: np.ndarray) -> list[int]:
-    out = [0] * len(b.order)
+def _by_row(b: Block, values: np.ndarray, rows: int) -> list[int]:
+    out = [0] * rows
     for i, v in zip(b.order, values.tolist(), strict=True):
         out[i] = v
     return out
