@@ -68,10 +68,10 @@ def sorted_curve(coo: DataFrame, order: str = "value") -> DataFrame:
     """(tensor_id, sign, rank, idx, y): ranks from 1 down the sorted curve of each sign, or of the magnitudes (sign 0)."""
     if order == "magnitude":
         w = Window.partitionBy("tensor_id").orderBy(F.abs("value").desc(), "idx")
-        return coo.select("tensor_id", F.lit(0).alias("sign"), F.row_number().over(w).alias("rank"), "idx", F.abs("value").alias("y"))
+        return coo.select("tensor_id", F.lit(0).alias("sign"), F.row_number().over(w).cast("bigint").alias("rank"), "idx", F.abs("value").alias("y"))
     rows = coo.withColumn("sign", F.when(F.col("value") > 0, 1).otherwise(-1))
     w = Window.partitionBy("tensor_id", "sign").orderBy(F.desc("value"), "idx")
-    return rows.select("tensor_id", "sign", F.row_number().over(w).alias("rank"), "idx", F.col("value").alias("y"))
+    return rows.select("tensor_id", "sign", F.row_number().over(w).cast("bigint").alias("rank"), "idx", F.col("value").alias("y"))
 
 
 def segment_level(curve: DataFrame, least: int) -> DataFrame:
