@@ -4,17 +4,19 @@ from __future__ import annotations
 
 import time
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-BITS = F.col("bits_idx") + F.col("bits_val") + F.col("bits_map")
+def all_bits() -> Column:
+    return F.col("bits_idx") + F.col("bits_val") + F.col("bits_map")
+
 
 
 def volume_split(containers: DataFrame, *by: str) -> DataFrame:
     """Bits by part, and the ratios to a dense and to a plain sparse tensor of 32-bit numbers."""
     sums = [F.sum(c).alias(c) for c in ("bits_idx", "bits_val", "bits_map", "bits_meta")]
     out = containers.groupBy(*by).agg(*sums, F.sum("d").alias("d"), F.sum("r").alias("r"))
-    return out.withColumn("relative_volume", BITS / (32 * F.col("d"))).withColumn("volume_vs_sparse", BITS / (64 * F.col("r")))
+    return out.withColumn("relative_volume", all_bits() / (32 * F.col("d"))).withColumn("volume_vs_sparse", all_bits() / (64 * F.col("r")))
 
 
 def relative_volume(containers: DataFrame) -> float:

@@ -5,23 +5,24 @@ They give the same codes as the block kernels where a kernel exists; both are te
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window, WindowSpec
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, hash_sql
 
-BY_IDX = Window.partitionBy("tensor_id").orderBy("idx")
+def by_idx() -> WindowSpec:
+    return Window.partitionBy("tensor_id").orderBy("idx")
 
 
 def delta_keys(coo: DataFrame) -> DataFrame:
     """(tensor_id, idx, gap, gap_bytes): gaps to the previous key, the first from -1."""
-    rows = coo.withColumn("gap", F.col("idx") - F.lag("idx", 1, -1).over(BY_IDX))
+    rows = coo.withColumn("gap", F.col("idx") - F.lag("idx", 1, -1).over(by_idx()))
     return rows.select("tensor_id", "idx", "gap", F.expr("CASE WHEN gap < 256 THEN 1 WHEN gap < 65536 THEN 2 WHEN gap < 16777216 THEN 3 WHEN gap < 4294967296 THEN 4 ELSE 5 END").alias("gap_bytes"))
 
 
 def runs(coo: DataFrame, meta: DataFrame) -> DataFrame:
     """(tensor_id, first, symbol, length) of the alternating runs of each bitmap."""
-    island = coo.withColumn("g", F.col("idx") - F.row_number().over(BY_IDX))
+    island = coo.withColumn("g", F.col("idx") - F.row_number().over(by_idx()))
     ones = island.groupBy("tensor_id", "g").agg(F.min("idx").alias("first"), F.count("*").alias("length"))
     w = Window.partitionBy("tensor_id").orderBy("first")
     ones = ones.withColumn("before", F.lag(F.col("first") + F.col("length"), 1, 0).over(w)).withColumn("last", F.lead("first").over(w))
@@ -44,7 +45,7 @@ def key_bytes(coo: DataFrame) -> DataFrame:
 def qsgd(coo: DataFrame, bits: int = 7, bucket: int = 512, seed: int = 0) -> DataFrame:
     """(tensor_id, idx, bucket, level, decoded): stochastic levels of a bucket's norm; positions count by idx."""
     s = 2 ** (bits - 1) - 1
-    pos = coo.withColumn("pos", F.row_number().over(BY_IDX) - 1).withColumn("bucket", F.expr(f"pos div {bucket}"))
+    pos = coo.withColumn("pos", F.row_number().over(by_idx()) - 1).withColumn("bucket", F.expr(f"pos div {bucket}"))
     norms = pos.groupBy("tensor_id", "bucket").agg(F.sqrt(F.sum(F.col("value") * F.col("value"))).alias("norm"))
     u = f"(({hash_sql('pos', 0, seed, 'qsgd')}) + 0.5D) / {PRIME}D"
     rows = pos.join(norms, ["tensor_id", "bucket"]).withColumn("level", F.expr(f"CAST(CASE WHEN norm = 0 THEN 0 ELSE least({s}, floor({s} * abs(CAST(value AS DOUBLE)) / norm + {u})) END AS BIGINT)"))

@@ -49,13 +49,16 @@ class RawValues(ValueCodec):
 
 
 class HalfValues(ValueCodec):
+    """16-bit floats of the values over a 32-bit scale, so that none overflows."""
+
     name = "half"
 
     def encode(self, values):
-        return Packed(values.astype("<f2").tobytes(), 16 * len(values))
+        scale = np.float32(np.abs(values).max(initial=0) or 1)
+        return Packed(scale.tobytes() + (values / float(scale)).astype("<f2").tobytes(), 16 * len(values) + 32)
 
     def decode(self, payload, n):
-        return np.frombuffer(payload, "<f2").astype(float)
+        return np.frombuffer(payload[4:], "<f2").astype(float) * float(np.frombuffer(payload[:4], "<f4")[0])
 
 
 class Deflate(ValueCodec):

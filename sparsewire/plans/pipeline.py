@@ -28,6 +28,9 @@ ARROW = {
 }
 
 
+BITS_OF = ("bits_idx", "bits_val", "bits_map")
+
+
 class Codec:
     """Any index codec with any value codec. fill 'dense' fetches values at false positives from the original."""
 
@@ -69,7 +72,7 @@ class Codec:
 
     def encode(self, coo: DataFrame, meta: DataFrame, dense: DataFrame | None = None, step: int = 0, worker: int = 0) -> DataFrame:
         """Containers of all tensors. dense: the original tensor, for values at false positives."""
-        size = self.block
+        size, fetch = self.block, dense is not None
         cells = coo.select("tensor_id", "idx", F.col("value").cast("double").alias("value"), F.lit(True).alias("hit"))
         if dense is not None:
             cells = dense.select("tensor_id", "idx", F.col("value").cast("double").alias("value")).join(cells.select("tensor_id", "idx", "hit"), ["tensor_id", "idx"], "left").withColumn("hit", F.coalesce("hit", F.lit(False)))
@@ -89,7 +92,7 @@ class Codec:
                 p = np.minimum(np.searchsorted(local, keys), len(local) - 1)
                 return np.where(local[p] == keys, val[p], 0.0)
 
-            c = self.encode_block(local[hit], val[hit], min(size, d - lo), block, at if dense is not None else None)
+            c = self.encode_block(local[hit], val[hit], min(size, d - lo), block, at if fetch else None)
             c |= {"tensor_id": tensor, "block": block, "step": step, "worker": worker}
             return pa.table({k: pa.array([c[k]], kind) for k, kind in ARROW.items()})
 

@@ -493,7 +493,7 @@ def conv_volumes(spark: SparkSession, sf_dir: str, names: list[str] | None = Non
 
 
 R1 = "CAST(floor((SELECT count(*) FROM embeddings) * 64 * 0.01) AS BIGINT)"
-CLOSED = {"topr": (f"32 * {R1}", f"32 * {R1}"), "bitmap": ("(SELECT count(*) FROM embeddings) * 64", f"32 * {R1}"), "bloom_p1": (q.bits(R1, 0.001), f"32 * {R1}"), "bloom_p2": (q.bits(R1, 0.001), f"32 * {R1}"), "qsgd": (f"32 * {R1}", f"CAST(7 * {R1} + 32 * ceil({R1} / 512.0) AS BIGINT)"), "half": (f"32 * {R1}", f"16 * {R1}"), "fit_dexp": (f"32 * {R1}", f"128 + {R1}")}
+CLOSED = {"topr": (f"32 * {R1}", f"32 * {R1}"), "bitmap": ("(SELECT count(*) FROM embeddings) * 64", f"32 * {R1}"), "bloom_p1": (q.bits(R1, 0.001), f"32 * {R1}"), "bloom_p2": (q.bits(R1, 0.001), f"32 * {R1}"), "qsgd": (f"32 * {R1}", f"CAST(7 * {R1} + 32 * ceil({R1} / 512.0) AS BIGINT)"), "half": (f"32 * {R1}", f"16 * {R1} + 32"), "fit_dexp": (f"32 * {R1}", f"128 + {R1}")}
 
 
 @query("q_volume_split", " UNION ALL ".join(f"SELECT '{n}' AS method, CAST({a} AS BIGINT) AS bits_idx, CAST({b} AS BIGINT) AS bits_val FROM (SELECT 1)" for n, (a, b) in CLOSED.items()))
@@ -612,3 +612,24 @@ def bloom_bits_theory(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 assert math.isclose(th.bits_per_key(0.001), 14.377587, rel_tol=1e-6)
+
+
+@query("q_stream_window_volume", "SELECT CAST(epoch(date_trunc('day', ts)) AS BIGINT) AS tensor_id, user_id AS idx, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS value FROM events GROUP BY 1, 2")
+def stream_window_volume(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Daily tensors of users' cents by a stream that reads all there is; equal to the batch result."""
+    import uuid
+
+    from ..streaming.gradients import collected, read_stream, windowed
+
+    cells = windowed(read_stream(spark, f"{sf_dir}/events.parquet")).select("tensor_id", "idx", "value")
+    return collected(cells, f"cells_{uuid.uuid4().hex}")
+
+
+@query("q_sql_functions", f"SELECT tensor_id, count(*) AS n, CAST(sum(value) AS DOUBLE) AS total FROM ({q.small('supp_part')}) GROUP BY 1")
+def sql_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Deflated and inflated again by the functions that SQL can call."""
+    from ..functions.extensions import register
+
+    register(spark)
+    ts.to_arrays(small(spark, sf_dir, "supp_part")).createOrReplaceTempView("sparsewire_arrays")
+    return spark.sql("SELECT tensor_id, count(*) AS n, sum(CAST(v AS DOUBLE)) AS total FROM (SELECT tensor_id, explode(inflate_floats(deflate_floats(values))) AS v FROM sparsewire_arrays) GROUP BY 1")
