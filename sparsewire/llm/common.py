@@ -56,6 +56,18 @@ def block_count(spark: SparkSession, texts: DataFrame, text_col: str, block_byte
     return max(math.ceil(total / block_bytes), 2 * shuffle_partitions(spark))
 
 
+#: A side of a join is broadcast only if it has been written and found no larger than this.
+BROADCAST_BYTES = 32 << 20
+
+
+def small_side(df: DataFrame) -> DataFrame:
+    """df, checkpointed, with a broadcast hint if its rows are measured to be within BROADCAST_BYTES."""
+    rows = cut(df)
+    width = sum((F.coalesce(F.octet_length(F.col(f"`{f.name}`").cast("string")), F.lit(0)) + 16 for f in rows.schema.fields), F.lit(0))
+    total = rows.agg(F.sum(width)).first()[0] or 0
+    return F.broadcast(rows) if total <= BROADCAST_BYTES else rows
+
+
 def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
     """(node, component) with component the smallest node reachable; nodes without an edge do not appear.
 

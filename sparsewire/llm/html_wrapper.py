@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import small_side, table
 
 REFERENCES = 5
 DEEPEST = 150
@@ -294,7 +294,7 @@ def templates(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", h
     """(host, template): from the first page, by a hash of its content, of each of REFERENCES parts of a host."""
     seed = F.xxhash64(F.col(html_col))
     rows = pages.where(F.length(html_col) > 0).select(host_of(url_col).alias("host"), F.pmod(F.xxhash64(id_col, html_col), F.lit(REFERENCES)).alias("part"), seed.alias("h"), F.col(html_col).alias("html"))
-    chosen = rows.groupBy("host", "part").agg(F.min("h").alias("h"))
+    chosen = small_side(rows.groupBy("host", "part").agg(F.min("h").alias("h")))
     picked = rows.join(chosen, ["host", "part", "h"], "left_semi").groupBy("host", "part").agg(F.min("html").alias("html"))
 
     def run(t: pa.Table) -> pa.Table:
@@ -308,9 +308,10 @@ def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", htm
     """page_id, url, text and n_chars of every row; null or empty html gives an empty text.
 
     A host with one page has no template: its text comes from marked elements, or from the largest one. Templates
-    are joined by host; a host with a large share of all rows can be split by the join.
+    are broadcast if their measured size allows it, so pages are not shuffled; else they are joined by host, and a
+    host with a large share of all rows can be split by the join.
     """
-    known = templates(pages, id_col, url_col, html_col).withColumnRenamed("host", "sw__host")
+    known = small_side(templates(pages, id_col, url_col, html_col).withColumnRenamed("host", "sw__host"))
     rows = pages.select(F.col(id_col).cast("bigint").alias("page_id"), F.col(url_col).alias("url"), F.col(html_col).alias("html"), host_of(url_col).alias("host"))
     joined = rows.join(known, F.col("host") == F.col("sw__host"), "left").select("page_id", "url", "html", "template")
 
