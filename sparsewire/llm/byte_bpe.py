@@ -24,10 +24,10 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import bounded_batches, table
 
 #: Pieces that a worker remembers before it starts anew; bounds its memory, changes no result.
-REMEMBERED = 500_000
+REMEMBERED = 250_000
 #: Longer pieces are encoded each time they occur.
 LONGEST_REMEMBERED = 64
 CUT = re.compile(r"(?<=\S) (?=\S)")
@@ -209,7 +209,7 @@ def encode(docs: DataFrame, text_col: str = "text", path: str | None = None, ids
                 yield pa.RecordBatch.from_arrays([*part.columns, *(pa.array(x, schema) for x in cols)], names=[*part.schema.names, *added])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields)
-    return base.mapInArrow(run, fields + "".join(f", `{x}` array<int>" for x in added))
+    return bounded_batches(base).mapInArrow(run, fields + "".join(f", `{x}` array<int>" for x in added))
 
 
 def decode(rows: DataFrame, ids_col: str = "ids", path: str | None = None, to: str = "decoded") -> DataFrame:
@@ -229,6 +229,28 @@ def decode(rows: DataFrame, ids_col: str = "ids", path: str | None = None, to: s
     return base.mapInArrow(run, f"{fields}, `{to}` binary")
 
 
+def round_trip(docs: DataFrame, text_col: str = "text", path: str | None = None) -> DataFrame:
+    """docs with ids and n_tokens, and the text that the ids decode to, in one pass; null texts stay null."""
+    path = path or vocabulary_path()
+    base = docs.drop("ids", "n_tokens")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _one_thread()
+        c = codec(path)
+        for b in batches:
+            k = b.schema.get_field_index(text_col)
+            for part in _portions(b, k):
+                old = part.column(k)
+                flat, ends = c.encode_flat(old)
+                back = [c.decode(flat[x:y].tolist()).decode() if there else None for x, y, there in zip(ends[:-1], ends[1:], old.is_valid().to_pylist(), strict=True)]
+                cols = [*part.columns]
+                cols[k] = pa.array(back, pa.string())
+                yield pa.RecordBatch.from_arrays([*cols, pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat)), pa.array(np.diff(ends))], names=[*part.schema.names, "ids", "n_tokens"])
+
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields)
+    return bounded_batches(base).mapInArrow(run, f"{fields}, ids array<int>, n_tokens bigint")
+
+
 def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None) -> DataFrame:
     """Per row: doc_id, n_tokens, ids_sha256 and decoded_sha256; ids are made and decoded within one pass."""
     path = path or vocabulary_path()
@@ -244,7 +266,7 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", pat
                 back = [hashlib.sha256(c.decode(x)).hexdigest() for x in encoded]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(list(map(len, encoded)), pa.int64()), pa.array(ids, pa.string()), pa.array(back, pa.string())], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text")).mapInArrow(run, "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
+    return bounded_batches(docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))).mapInArrow(run, "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
 
 
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -42,6 +42,16 @@ def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def bounded_batches(df: DataFrame) -> DataFrame:
+    """df, with the session's Arrow batches held to BATCH_BYTES: whole texts of any length travel in them."""
+    conf = df.sparkSession.conf
+    for key in ("spark.sql.execution.arrow.maxBytesPerBatch",):
+        now = conf.get(key, None)
+        if now is None or not now.isdigit() or int(now) > BATCH_BYTES:
+            conf.set(key, str(BATCH_BYTES))
+    return df
+
+
 def id_or_last(col: str | Column) -> Column:
     return F.coalesce(F.col(col) if isinstance(col, str) else col, F.lit(NO_ID)).cast("bigint")
 
@@ -56,6 +66,8 @@ def block_count(spark: SparkSession, texts: DataFrame, text_col: str, block_byte
     return max(math.ceil(total / block_bytes), 2 * shuffle_partitions(spark))
 
 
+#: Most bytes of an Arrow batch of texts, where Spark can bound it.
+BATCH_BYTES = 8 << 20
 #: A side of a join is broadcast only if it has been written and found no larger than this.
 BROADCAST_BYTES = 32 << 20
 

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import bounded_batches, table
 
 SHINGLE, SIMILAR = 5, 0.8
 BITS, BLOCK_BITS, RADIUS = 64, 8, 28
@@ -172,7 +172,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
                     got = [(d, *m) for d, t in zip(cut.column(0).to_pylist(), cut.column(1).to_pylist(), strict=True) for m in index.matches(t)]
                     yield pa.RecordBatch.from_arrays([pa.array([g[k] for g in got], t) for k, t in enumerate(schema.values())], names=list(schema))
 
-        return rows.mapInArrow(run, "doc_id bigint, item_id bigint, first_word bigint, n_words bigint, similarity double, differing_bits int")
+        return bounded_batches(rows).mapInArrow(run, "doc_id bigint, item_id bigint, first_word bigint, n_words bigint, similarity double, differing_bits int")
 
     split = [items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(portions)) == k) for k in range(portions)]
     return reduce(DataFrame.unionByName, map(pass_over, split))

@@ -120,8 +120,13 @@ def left_out(node: Node, in_article: bool) -> bool:
 Shape = list
 
 
+def own_text(node: Node) -> str:
+    """Text of a node outside of the blocks within it, inline elements included."""
+    return "".join(k if isinstance(k, str) else " " if k.tag in BLOCK or k.tag in RAW or k.tag == "br" else own_text(k) for k in node.kids)
+
+
 def shape(node: Node) -> Shape:
-    words = " ".join(" ".join(k for k in node.kids if isinstance(k, str)).split())
+    words = " ".join(own_text(node).split())
     kids: list[Shape] = []
     for k in node.kids:
         if isinstance(k, Node) and k.tag not in RAW and k.tag not in VOID:
@@ -204,15 +209,16 @@ def mark(root: Node, template: str) -> None:
     walk([(s, t, match(s, t)[1])])
 
 
-def _sizes(node: Node, out: dict[int, int], in_article: bool = False) -> int:
-    """Characters of varying text in each element that may be main text."""
+def _sizes(node: Node, out: dict[int, int], in_article: bool = False, fixed: bool = False) -> int:
+    """Characters of varying text in each element that may be main text; inline elements vary as their block does."""
     total = 0
+    fixed = node.fixed if node.tag in BLOCK else fixed
     inside = in_article or node.tag in ("article", "main")
     for k in node.kids:
         if isinstance(k, str):
-            total += 0 if node.fixed else len(k.strip())
+            total += 0 if fixed else len(k.strip())
         elif not left_out(k, inside):
-            total += _sizes(k, out, inside)
+            total += _sizes(k, out, inside, fixed)
     out[id(node)] = total
     return total
 
@@ -257,23 +263,24 @@ def blocks(node: Node, is_article: bool) -> list[str]:
             out.append(words)
         held.clear()
 
-    def walk(n: Node, inside: bool) -> None:
+    def walk(n: Node, inside: bool, fixed: bool) -> None:
         inside = inside or n.tag in ("article", "main")
+        fixed = n.fixed if n.tag in BLOCK else fixed
         for k in n.kids:
             if isinstance(k, str):
-                if is_article or not n.fixed:
+                if is_article or not fixed:
                     held.append(k)
             elif k.tag == "br":
                 held.append("\n")
             elif not left_out(k, inside):
                 if k.tag in BLOCK:
                     flush()
-                    walk(k, inside)
+                    walk(k, inside, fixed)
                     flush()
                 else:
-                    walk(k, inside)
+                    walk(k, inside, fixed)
 
-    walk(node, is_article)
+    walk(node, is_article, False)
     flush()
     return out
 

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import bounded_batches, table
 
 MAX_TRAIN = 20_000
 THRESHOLD = 0.3
@@ -56,17 +56,18 @@ def statistics_of(text: bytes | None) -> list[float]:
 
 def with_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """The columns of keep and the statistics of the whole text; null texts count as empty."""
-    kept = docs.select(*keep, F.encode(F.col(text_col), "UTF-8").alias("sw__bytes"))
+    cols = [*keep, *([] if text_col in keep else [text_col])]
+    rows, at_text, n = docs.select(*cols), cols.index(text_col), len(keep)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for at in range(0, b.num_rows, 512):
-                part = b.slice(at, 512)
-                got = np.array([statistics_of(t) for t in part.column(len(keep)).to_pylist()]).reshape(-1, len(STATS))
-                yield pa.RecordBatch.from_arrays([*part.columns[:-1], *(pa.array(np.ascontiguousarray(got[:, k])) for k in range(len(STATS)))], names=[*keep, *STATS])
+            for at in range(0, b.num_rows, 256):
+                part = b.slice(at, 256)
+                got = np.array([statistics_of(t) for t in part.column(at_text).cast(pa.binary()).to_pylist()]).reshape(-1, len(STATS))
+                yield pa.RecordBatch.from_arrays([*part.columns[:n], *(pa.array(np.ascontiguousarray(got[:, k])) for k in range(len(STATS)))], names=[*keep, *STATS])
 
-    fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields[:-1]]
-    return kept.mapInArrow(run, ", ".join([*fields, *(f"{s} double" for s in STATS)]))
+    fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[:n]]
+    return bounded_batches(rows).mapInArrow(run, ", ".join([*fields, *(f"{s} double" for s in STATS)]))
 
 
 Condition = tuple[int, bool, float]  # statistic, above, threshold
@@ -204,5 +205,5 @@ def op10_rule_ensemble_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """Rows of docs that the model predicts good; columns and order of columns as in docs."""
-    out = scores(docs.withColumn("sw__text", F.col("text")), train(docs, labels), "sw__text", tuple(docs.columns))
+    out = scores(docs, train(docs, labels), "text", tuple(docs.columns))
     return out.where("predicted = 1").select(*docs.columns)

@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import connected_components, cut, id_back, id_or_last, shuffle_partitions, table
+from .common import bounded_batches, connected_components, cut, id_back, id_or_last, shuffle_partitions, table
 
 BITS, SEED, WORDS, RADIUS = 64, 42, 4, 4
 BYTES = 8
@@ -104,7 +104,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
                 fp = fingerprint_array(part.column(1).to_pylist()).view(np.int64)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp)], names=["id", "fp"])
 
-    return docs.select(id_or_last(id_col).alias("id"), F.encode(F.col(text_col), "UTF-8").alias("b")).mapInArrow(run, "id bigint, fp bigint")
+    return bounded_batches(docs.select(id_or_last(id_col).alias("id"), F.encode(F.col(text_col), "UTF-8").alias("b"))).mapInArrow(run, "id bigint, fp bigint")
 
 
 def _short(fp: np.ndarray, rep: np.ndarray, run: np.ndarray, size: np.ndarray) -> Iterator[np.ndarray]:
