@@ -9,7 +9,6 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from sparsewire.llm import byte_bpe, decontaminate, rule_ensemble, simhash_dedup, suffix_dedup
 from sparsewire.llm.common import fresh_dir, table
@@ -37,8 +36,7 @@ def without_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Adds ids and n_tokens; text is what the ids decode to."""
-    rows = byte_bpe.decode(byte_bpe.encode(docs), to="sw__decoded")
-    return rows.withColumn("text", F.when(F.col("text").isNotNull(), F.decode("sw__decoded", "UTF-8"))).withColumn("n_tokens", F.size("ids").cast("bigint")).drop("sw__decoded")
+    return byte_bpe.round_trip(docs)
 
 
 STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
