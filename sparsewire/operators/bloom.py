@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.hashing import hash_of, hash_positions, hash_sql
+from ..sources.checkpoints import checkpointed
 from .sparsify import BLOCK
 
 LN2 = math.log(2)
@@ -82,6 +83,30 @@ def chosen(p: DataFrame, meta: DataFrame, policy: str, seed: int = 0) -> DataFra
     return rows.join(meta.select("tensor_id", "r"), "tensor_id").where("n <= r").select("tensor_id", "idx")
 
 
+def chosen_by_rounds(p: DataFrame, meta: DataFrame, fpr: float, seed: int = 0, most: int = 64) -> DataFrame:
+    """Conflict-set choice for tensors that no single task should hold.
+
+    Each round, every set offers its unused member of least priority; offers are taken by (size, bit), members offered
+    twice once, until r are chosen. It differs from the sequential draw within a round only: a set there sees what the
+    sets before it took. Rounds are checkpointed in the shared folder.
+    """
+    sets = conflict_sets(p, meta, fpr, seed).select("tensor_id", "bit", "size", F.explode("members").alias("idx"))
+    pairs = checkpointed(sets.withColumn("priority", hash_of("idx", 0, seed, "p2")))
+    got = pairs.select("tensor_id", "idx").limit(0)
+    for _ in range(most):
+        have = got.groupBy("tensor_id").agg(F.count("*").alias("have"))
+        left = meta.select("tensor_id", "r").join(have, "tensor_id", "left").select("tensor_id", (F.col("r") - F.coalesce("have", F.lit(0))).alias("need")).where("need > 0")
+        open_ = pairs.join(got, ["tensor_id", "idx"], "left_anti").join(left, "tensor_id")
+        offers = open_.groupBy("tensor_id", "bit", "size", "need").agg(F.min(F.struct("priority", "idx")).alias("o"))
+        once = offers.groupBy("tensor_id", "need", F.col("o.idx").alias("idx")).agg(F.min(F.struct("size", "bit")).alias("at"))
+        taken = once.withColumn("n", F.row_number().over(Window.partitionBy("tensor_id").orderBy("at"))).where("n <= need").select("tensor_id", "idx")
+        taken = checkpointed(taken)
+        if taken.isEmpty():
+            return got
+        got = checkpointed(got.unionByName(taken))
+    raise RuntimeError("more rounds are needed")
+
+
 def fetched(chosen_: DataFrame, g: DataFrame) -> DataFrame:
     """Values at the chosen indices, 0 where g has none. g dense: originals; g sparse: zeros at false positives."""
     return chosen_.join(g, ["tensor_id", "idx"], "left").select("tensor_id", "idx", F.coalesce("value", F.lit(0)).alias("value"))

@@ -137,3 +137,21 @@ def test_stream_windows_and_memory(spark, sf, tmp_path):
     stream = spark.readStream.schema("worker int, idx bigint, value double").parquet(folder)
     sent = gr.collected(gr.compensated(stream, 1), "sent_cells", "append")
     assert rows_of(sent, "worker", "idx", "value") == [(1, 5, 3.0), (2, 5, 2.0)]
+
+
+def test_rounds_choose_between_random_and_sequential(spark, coo):
+    meta = ts.meta(coo, 3000)
+    p = bl.positives(bl.filters(coo, meta, 0.05), 0.05)
+    got = bl.chosen_by_rounds(p, meta, 0.05)
+    assert got.distinct().groupBy("tensor_id").count().where("count = 150").count() == 3
+    kept = lambda c: bl.hybrid_counts(coo, c).agg(F.sum("k1")).first()[0]
+    assert kept(got) > kept(bl.chosen(p, meta, "p1"))
+
+
+def test_quality_measures(spark):
+    s = spark.createDataFrame([(1, 0, 0, 0.9), (1, 0, 1, 0.1), (2, 1, 0, 0.5), (2, 1, 1, 0.5)], "id int, label int, class int, score double")
+    assert ms.top1(s).first()[0] == 0.5
+    c = spark.createDataFrame([(1, 1, 0.5, 1), (1, 2, 0.7, 0), (2, 1, 0.9, 1), (2, 3, 0.1, 0)], "user int, item int, score double, held int")
+    assert ms.hit_rate(c, 1).first()[0] == 0.5 and ms.hit_rate(c, 2).first()[0] == 1.0
+    t = ms.timeline({"a": spark.createDataFrame([(1, 0.2), (2, 0.6)], "epoch int, metric double")})
+    assert ms.epochs_to(t, 0.5).first()["epochs"] == 2
