@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, table
+from .common import bounded_batches, small_side, table
 
 SHINGLE, SIMILAR = 5, 0.8
 BITS, BLOCK_BITS, RADIUS = 64, 8, 28
@@ -184,5 +184,5 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """Rows of docs whose text meets no item; the decision is made row by row, so rows without an id count as well."""
-    hits = contaminated(docs, benchmark).select(F.col("doc_id").alias("sw__hit")).distinct()
+    hits = small_side(contaminated(docs, benchmark).select(F.col("doc_id").alias("sw__hit")).distinct())
     return docs.join(hits, docs.doc_id.eqNullSafe(F.col("sw__hit")), "left_anti")

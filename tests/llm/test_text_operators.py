@@ -137,7 +137,7 @@ def test_links_of_planted_fingerprints(spark):
 def test_null_ids_and_one_of_each(spark, docs_schema):
     text = "one two three four five six seven"
     d = frame(spark, docs_schema, [text, text, "other words here now", text], [None, 4, 5, 2])
-    assert sorted(r.doc_id for r in simhash_dedup.keep_one(d).collect()) == [2, 5]
+    assert sorted(-1 if r.doc_id is None else r.doc_id for r in simhash_dedup.keep_one(d).collect()) == [-1, 2, 5]
     assert simhash_dedup.near_duplicates(d).count() == 4 and simhash_dedup.near_duplicates(d.limit(0)).count() == 0
 
 
