@@ -39,6 +39,7 @@ LEFT_OUT_NAMES = frozenset(
     "nav navbar navigation menu menubar header masthead footer sidebar aside ad ads advert adverts advertisement adsense sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices alert popup modal overlay "
     "comment comments respond replies disqus share sharing social breadcrumb breadcrumbs related recommended newsletter subscribe signup login form widget toolbar pagination pager copyright skip".split()
 )
+STATES = frozenset("has with no without".split())
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)(?:>|\Z)", re.S)
 NAMED = re.compile(r"\b(?:class|id|role|hidden)\b\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?", re.I)
 ROLE = re.compile(r"\brole\s*=\s*[\"']?(\w+)", re.I)
@@ -107,13 +108,23 @@ def parse(html: str) -> Node:
     return root
 
 
+def _holds_article(node: Node) -> bool:
+    return any(isinstance(k, Node) and (k.tag in ("article", "main") or _holds_article(k)) for k in node.kids)
+
+
 def left_out(node: Node, in_article: bool) -> bool:
-    """Whether an element is of a kind that is never main text; an article may have a header of its own."""
+    """Whether an element is of a kind that is never main text.
+
+    An article may have a header of its own. Names such as has-sidebar tell of a page, not of the element, and an
+    element around an article is no part of the page's furniture.
+    """
     if node.tag in LEFT_OUT or node.role in ROLES or node.tag == "header" and not in_article:
         return True
-    if node.tag in ("html", "body", "article", "main"):
+    if node.tag in ("html", "body", "article", "main") or not node.names or LEFT_OUT_NAMES.isdisjoint(node.names):
+        return False
+    if in_article and LEFT_OUT_NAMES.intersection(node.names) <= {"header", "masthead"}:
         return False
-    return bool(node.names) and not LEFT_OUT_NAMES.isdisjoint(node.names)
+    return STATES.isdisjoint(node.names) and not _holds_article(node)
 
 
 # A shape is (tag, names, text or None where it varies, kids); runs of kids alike in tag and names are one.

@@ -58,6 +58,11 @@ def test_articles_keep_every_block(spark, sf):
         assert r.text == "\n\n".join(x for x in want if x) and r.n_chars == len(r.text)
 
 
+def test_names_of_furniture():
+    page = '<body class="has-sidebar"><div class="layout with-sidebar"><div class="nav-wrap"><article class="no-comments"><div class="post-header"><h1>T</h1></div><p>text</p><div class="share-buttons">Share</div><div id="comments">c</div></article></div></div><div class="ad-banner">buy</div></body>'
+    assert html_wrapper.main_text(page, "") == "T\n\ntext"
+
+
 def test_tree_matching():
     a, b = (html_wrapper.shape(html_wrapper.parse(f"<div><p>x{k}</p><ul><li>1</ul>{'<b>z</b>' * k}</div>")) for k in (0, 2))
     size, _ = html_wrapper.match(a, b)
