@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, connected_components, cut, id_back, id_or_last, shuffle_partitions, small_side, table
+from .common import bounded_batches, connected_components, cut, id_back, id_or_last, shuffle_partitions, table
 
 BITS, SEED, WORDS, RADIUS = 64, 42, 4, 4
 BYTES = 8
@@ -210,11 +210,7 @@ def op9_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs without the ids of which no row is the smallest of its component.
+    """The pipeline's stage: one document of each group of five-word similarity 0.8, which op9's radius cannot tell."""
+    from .similar_sets import keep_one as stage
 
-    Rows without an id cannot be told apart and stay; rows with equal id stay or go together. The ids that go are
-    broadcast if they are measured small, so texts need no shuffle.
-    """
-    marks = near_duplicates(docs, id_col, text_col).where("doc_id IS NOT NULL")
-    gone = marks.groupBy(F.col("doc_id").alias("sw__gone")).agg(F.max((F.col("doc_id") == F.col("component_id")).cast("int")).alias("first")).where("first = 0").select("sw__gone")
-    return docs.join(small_side(gone), docs[id_col] == F.col("sw__gone"), "left_anti")
+    return stage(docs, id_col, text_col)

@@ -141,6 +141,32 @@ def test_null_ids_and_one_of_each(spark, docs_schema):
     assert simhash_dedup.near_duplicates(d).count() == 4 and simhash_dedup.near_duplicates(d.limit(0)).count() == 0
 
 
+def test_one_of_each_equals_brute_force_at_similarity(spark, docs_schema, odd_texts, small_docs):
+    rng = random.Random(5)
+    base = [" ".join(f"w{rng.randrange(5000)}" for _ in range(n)) for n in (30, 60, 120, 300)]
+    texts = odd_texts + [r.text for r in small_docs.collect()]
+    for t in base:
+        for _ in range(70):
+            w = t.split()
+            for _ in range(rng.randrange(len(w) // 25 + 1)):
+                w[rng.randrange(len(w))] = "changed"
+            texts.append(" ".join(w))
+    rng.shuffle(texts)
+    sets = []
+    for t in texts:
+        w = (t or "").encode().lower().split()
+        sets.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set())
+    name = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if name[i] != name[j] and 9 * len(sets[i] & sets[j]) >= 4 * (len(sets[i]) + len(sets[j])):
+                old, new = max(name[i], name[j]), min(name[i], name[j])
+                name = [new if x == old else x for x in name]
+    want = sorted(set(name))
+    assert sorted(r.doc_id for r in simhash_dedup.keep_one(frame(spark, docs_schema, texts)).collect()) == want
+    assert simhash_dedup.keep_one(frame(spark, docs_schema, texts).limit(0)).count() == 0
+
+
 # ---- decontamination (1)
 
 
