@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, small_side, table
+from .common import bounded_batches, cut, table
 
 SHINGLE, SIMILAR = 5, 0.8
 BITS, BLOCK_BITS, RADIUS = 64, 8, 28
@@ -150,14 +150,18 @@ class BenchmarkIndex:
                     best[i] = (sim, w, n, int(np.bitwise_count(item.bytes ^ prints[w - a]).sum()))
 
 
+def _portions(benchmark: DataFrame) -> list[DataFrame]:
+    items = benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), F.col("text").alias("text"))
+    n = int(items.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // PORTION_BYTES + 1
+    return [items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == k) for k in range(n)]
+
+
 def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, item_id, first_word, n_words, similarity, differing_bits), one row per document and item met.
 
     The best window of each pair, the first of equals. Null and empty texts meet nothing; items without a word are
     met by nothing; items of fewer than five words are one shingle.
     """
-    items = benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), F.col("text").alias("text"))
-    portions = int(items.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // PORTION_BYTES + 1
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))
     schema = {"doc_id": pa.int64(), "item_id": pa.int64(), "first_word": pa.int64(), "n_words": pa.int64(), "similarity": pa.float64(), "differing_bits": pa.int32()}
 
@@ -174,8 +178,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
 
         return bounded_batches(rows).mapInArrow(run, "doc_id bigint, item_id bigint, first_word bigint, n_words bigint, similarity double, differing_bits int")
 
-    split = [items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(portions)) == k) for k in range(portions)]
-    return reduce(DataFrame.unionByName, map(pass_over, split))
+    return reduce(DataFrame.unionByName, map(pass_over, _portions(benchmark)))
 
 
 def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -183,6 +186,26 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """Rows of docs whose text meets no item; the decision is made row by row, so rows without an id count as well."""
-    hits = small_side(contaminated(docs, benchmark).select(F.col("doc_id").alias("sw__hit")).distinct())
-    return docs.join(hits, docs.doc_id.eqNullSafe(F.col("sw__hit")), "left_anti")
+    """Rows of docs whose text meets no item.
+
+    Each row is judged by its own text in the pass that reads it, so rows that share an id, or have none, do not
+    decide about each other.
+    """
+    parts = _portions(benchmark)
+    text = docs.columns.index("text")
+
+    def pass_over(rows: DataFrame, part: DataFrame) -> DataFrame:
+        some = docs.sparkSession.sparkContext.broadcast([(r.item_id, r.text) for r in part.collect()])
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            index = BenchmarkIndex(some.value)
+            for b in batches:
+                for at in range(0, b.num_rows, 512):
+                    cut_ = b.slice(at, 512)
+                    yield cut_.filter(pa.array([not index.matches(t) for t in cut_.column(text).to_pylist()], pa.bool_()))
+
+        return bounded_batches(rows).mapInArrow(run, docs.schema)
+
+    for k, part in enumerate(parts):
+        docs = pass_over(cut(docs) if k else docs, part)
+    return docs

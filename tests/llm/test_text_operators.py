@@ -215,6 +215,16 @@ def test_clean_documents_stay(spark, docs_schema, sf):
     assert decontaminate.keep_clean(d, bench.limit(0)).count() == 4 and decontaminate.contaminated(d.limit(0), bench).count() == 0
 
 
+def test_rows_of_equal_or_no_id_are_judged_alone(spark, docs_schema, sf, monkeypatch):
+    bench = spark.read.parquet(f"{sf}/benchmark.parquet")
+    leak = bench.first().text
+    d = frame(spark, docs_schema, [leak, "clean", "clean too", leak, "clean as well", None], [None, None, 7, 7, 8, None])
+    want = ["", "clean", "clean as well", "clean too"]
+    assert sorted(r.text or "" for r in decontaminate.keep_clean(d, bench).collect()) == want
+    monkeypatch.setattr(decontaminate, "PORTION_BYTES", 4000)
+    assert sorted(r.text or "" for r in decontaminate.keep_clean(d, bench).collect()) == want
+
+
 # ---- byte-level BPE (3)
 
 
