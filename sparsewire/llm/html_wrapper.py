@@ -1,11 +1,13 @@
 """Main text of web pages by wrapper induction.
 
-For each host, up to ``REFERENCES`` pages are aligned by simple tree matching. Nodes whose text is the same in all of
-them become the template, the others are slots. Every page is then aligned with its host's template, and the main
-text is read from the element that holds the page's varying text: a marked article where there is one, else the
-smallest element with most of what varies. Navigation, page headers, footers, asides, forms, notices, adverts,
+For each host, all pages are aligned by simple tree matching and folded into one tree. A node of it is a tag with its
+names, so layouts of a host that differ have nodes of their own. It keeps the texts that every page with the node has:
+these are the template, all else are slots. Every page is then aligned with its host's tree, and its main text is what
+the slots hold, inside of a marked article or not. Navigation, page headers, footers, asides, forms, notices, adverts,
 comments and the like are left out by element and by class, since their texts vary from page to page as well.
-Inside a marked article nothing is dropped for being repeated: pages of one host may carry the same article.
+
+The mark of an article is read only where the template cannot tell: on hosts without two different pages, and on pages
+of which nothing varies (pages of one host may carry the same article).
 
 Runs of siblings of the same shape count as one node in the alignment, so long articles cost no more than short ones.
 """
@@ -14,18 +16,19 @@ from __future__ import annotations
 
 import json
 import re
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from html import unescape
 
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import small_side, table
+from .common import bounded_batches, small_side, table
 
-REFERENCES = 5
 DEEPEST = 150
-MOST_OF = 0.8
+#: Parts whose trees are folded apart before those of a host meet; nodes that a task holds before it passes them on.
+PARTS, HELD_NODES = 16, 200_000
 #: Element names by their role in HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title noscript template iframe svg math select option button object canvas video audio".split())
@@ -39,6 +42,9 @@ LEFT_OUT_NAMES = frozenset(
     "nav navbar navigation menu menubar header masthead footer sidebar aside ad ads advert adverts advertisement adsense sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices alert popup modal overlay "
     "comment comments respond replies disqus share sharing social breadcrumb breadcrumbs related recommended newsletter subscribe signup login form widget toolbar pagination pager copyright skip".split()
 )
+#: Lists and table rows are constant as a whole or not at all.
+ITEMS = frozenset("li dt dd td th tr".split())
+COMMENT_NAMES = frozenset("comment comments respond replies disqus".split())
 STATES = frozenset("has with no without".split())
 TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)(?:>|\Z)", re.S)
 NAMED = re.compile(r"\b(?:class|id|role|hidden)\b\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?", re.I)
@@ -120,14 +126,17 @@ def left_out(node: Node, in_article: bool) -> bool:
     """
     if node.tag in LEFT_OUT or node.role in ROLES or node.tag == "header" and not in_article:
         return True
-    if node.tag in ("html", "body", "article", "main") or not node.names or LEFT_OUT_NAMES.isdisjoint(node.names):
+    if node.tag == "article":
+        return not COMMENT_NAMES.isdisjoint(node.names) and STATES.isdisjoint(node.names)
+    if node.tag in ("html", "body", "main") or not node.names or LEFT_OUT_NAMES.isdisjoint(node.names):
         return False
     if in_article and LEFT_OUT_NAMES.intersection(node.names) <= {"header", "masthead"}:
         return False
     return STATES.isdisjoint(node.names) and not _holds_article(node)
 
 
-# A shape is (tag, names, text or None where it varies, kids); runs of kids alike in tag and names are one.
+# A shape is [tag, names, hashes of texts, kids, nodes]; runs of kids alike in tag and names are one. In a template the
+# fifth entry is the smallest and largest hash of the pages that have the node: two pages at least if they differ.
 Shape = list
 
 
@@ -136,20 +145,39 @@ def own_text(node: Node) -> str:
     return "".join(k if isinstance(k, str) else " " if k.tag in BLOCK or k.tag in RAW or k.tag == "br" else own_text(k) for k in node.kids)
 
 
-def shape(node: Node) -> Shape:
+def text_hash(node: Node) -> int | None:
     words = " ".join(own_text(node).split())
+    return xxhash.xxh64_intdigest(words.encode("utf-8", "surrogatepass")) if words else None
+
+
+def shape(node: Node) -> Shape:
+    words = text_hash(node)
     kids: list[Shape] = []
     for k in node.kids:
         if isinstance(k, Node) and k.tag not in RAW and k.tag not in VOID:
             s = shape(k)
-            if kids and kids[-1][0] == s[0] and kids[-1][1] == s[1]:
-                last = kids[-1]
-                last[2] = last[2] if last[2] == s[2] else None
-                last[3] = last[3] if len(last[3]) >= len(s[3]) else s[3]
-                last[4].append(k)
+            if kids and kids[-1][:2] == s[:2]:
+                fold(kids[-1], s, match(kids[-1], s)[1], set.union, list.__add__)
             else:
-                kids.append([*s[:4], [k]])
-    return [node.tag, " ".join(node.names), words, kids, [node]]
+                kids.append(s)
+    return [node.tag, " ".join(w for w in node.names if w.isalpha()), set() if words is None else {words}, kids, [node]]
+
+
+def fold(a: Shape, b: Shape, pairs: list, texts: Callable, ends: Callable) -> None:
+    """b becomes part of a: matched nodes are joined, the others keep their place between them."""
+    a[2], a[4] = texts(a[2], b[2]), ends(a[4], b[4])
+    kids, i, j = [], 0, 0
+    for p, q, inner in reversed(pairs):
+        while a[3][i] is not p:
+            kids.append(a[3][i])
+            i += 1
+        while b[3][j] is not q:
+            kids.append(b[3][j])
+            j += 1
+        fold(p, q, inner, texts, ends)
+        kids.append(p)
+        i, j = i + 1, j + 1
+    a[3] = kids + a[3][i:] + b[3][j:]
 
 
 def match(a: Shape, b: Shape) -> tuple[int, list]:
@@ -165,9 +193,9 @@ def match(a: Shape, b: Shape) -> tuple[int, list]:
         row, above = best[i + 1], best[i]
         for j, q in enumerate(y):
             w = 0
-            if p[0] == q[0]:
+            if p[0] == q[0] and p[1] == q[1]:
                 w, _ = inner[i, j] = match(p, q)
-                w += p[1] == q[1]
+                w += 1
             row[j + 1] = max(row[j], above[j + 1], above[j] + w if w else 0)
     i, j, pairs = len(x), len(y), []
     while i and j:
@@ -181,87 +209,77 @@ def match(a: Shape, b: Shape) -> tuple[int, list]:
     return best[-1][-1] + 1, pairs
 
 
-def merge(template: Shape, page: Shape) -> None:
-    """Texts of the template that differ in the page become slots."""
+def merge(template: Shape | None, other: Shape) -> Shape:
+    """The template of the pages of both: texts that one of them lacks at a node that both have become slots."""
+    if template is None:
+        return other
+    fold(template, other, match(template, other)[1], set.intersection, lambda x, y: [min(x[0], y[0]), max(x[1], y[1])])
+    return template
+
+
+def template_of(html: str) -> Shape:
+    """The template of one page."""
+    name = xxhash.xxh64_intdigest(html.encode("utf-8", "surrogatepass"))
+
+    def named(s: Shape) -> Shape:
+        return [s[0], s[1], s[2], [named(k) for k in s[3]], [name, name]]
+
+    return named(shape(parse(html)))
+
+
+def size_of(s: Shape) -> int:
+    return 1 + len(s[2]) + sum(map(size_of, s[3]))
 
-    def walk(pairs: list) -> None:
-        for a, b, inner in pairs:
-            if a[2] != b[2]:
-                a[2] = None
-            walk(inner)
 
-    walk([(template, page, match(template, page)[1])])
+def dumps(s: Shape) -> str:
+    plain = lambda x: [x[0], x[1], sorted(x[2]), [plain(k) for k in x[3]], x[4]]
+    return json.dumps(plain(s), separators=(",", ":"))
+
+
+def loads(template: str) -> Shape:
+    sets = lambda x: [x[0], x[1], set(x[2]), [sets(k) for k in x[3]], x[4]]
+    return sets(json.loads(template))
 
 
 def induce(pages: list[str]) -> str:
-    """The template of a host as JSON; empty if there are too few pages to tell what is constant."""
-    if len(pages) < 2:
-        return ""
-    template = shape(parse(pages[0]))
-    for p in pages[1:]:
-        merge(template, shape(parse(p)))
-    strip = lambda s: [s[0], s[1], s[2], [strip(k) for k in s[3]]]
-    return json.dumps(strip(template), ensure_ascii=False)
+    """The template of pages as JSON; empty if no two differ, so that nothing tells what is constant."""
+    tree = None
+    for p in pages:
+        tree = merge(tree, template_of(p))
+    return dumps(tree) if tree and tree[4][0] != tree[4][1] else ""
 
 
-def mark(root: Node, template: str) -> None:
-    """Sets fixed on the page's nodes that match a constant, non-empty node of the template."""
+def mark(root: Node, template: Shape | None) -> None:
+    """Sets fixed on the page's nodes whose text every page with the node has."""
     if not template:
         return
 
     def walk(pairs: list) -> None:
         for a, b, inner in pairs:
-            if b[2] and a[2] == b[2]:
-                for node in a[4]:
-                    node.fixed = True
+            if b[2] and b[4][0] != b[4][1]:
+                same = [text_hash(node) in b[2] for node in a[4]]
+                for node, x in zip(a[4], same, strict=True):
+                    node.fixed = all(same) if a[0] in ITEMS else x
             walk(inner)
 
-    s, t = shape(root), json.loads(template)
-    walk([(s, t, match(s, t)[1])])
+    s = shape(root)
+    walk([(s, template, match(s, template)[1])])
 
 
-def _sizes(node: Node, out: dict[int, int], in_article: bool = False, fixed: bool = False) -> int:
-    """Characters of varying text in each element that may be main text; inline elements vary as their block does."""
-    total = 0
-    fixed = node.fixed if node.tag in BLOCK else fixed
-    inside = in_article or node.tag in ("article", "main")
-    for k in node.kids:
-        if isinstance(k, str):
-            total += 0 if fixed else len(k.strip())
-        elif not left_out(k, inside):
-            total += _sizes(k, out, inside, fixed)
-    out[id(node)] = total
-    return total
-
-
-def main_element(root: Node) -> tuple[Node, bool]:
-    """The element to read, and whether the page marks it as its article."""
-    sizes: dict[int, int] = {}
-    total = _sizes(root, sizes)
-    marked: list[Node] = []
+def articles(root: Node) -> list[Node]:
+    """The outermost marked articles in page order."""
+    out: list[Node] = []
 
     def find(node: Node, inside: bool) -> None:
         for k in node.kids:
             if isinstance(k, Node) and not left_out(k, inside):
                 if k.tag == "article" or "articlebody" in k.names:
-                    marked.append(k)
+                    out.append(k)
                 else:
                     find(k, inside or k.tag == "main")
 
     find(root, False)
-    if marked:
-        return max(marked, key=lambda k: sizes[id(k)]), True
-    node = root
-    while total:
-        kids = [k for k in node.kids if isinstance(k, Node) and id(k) in sizes and k.tag in BLOCK]
-        if main := [k for k in kids if k.tag == "main"]:
-            node = main[0]
-            continue
-        top = max(kids, key=lambda k: sizes[id(k)], default=None)
-        if top is None or top.tag in ("p", "li", "pre", "table", "ul", "ol", "dl") or sizes[id(top)] < MOST_OF * total:
-            break
-        node = top
-    return node, False
+    return out
 
 
 def blocks(node: Node, is_article: bool) -> list[str]:
@@ -296,12 +314,17 @@ def blocks(node: Node, is_article: bool) -> list[str]:
     return out
 
 
-def main_text(html: str | None, template: str | None) -> str:
+def main_text(html: str | None, template: str | Shape | None) -> str:
     if not html:
         return ""
     root = parse(html)
-    mark(root, template or "")
-    return "\n\n".join(blocks(*main_element(root)))
+    if template:
+        mark(root, loads(template) if isinstance(template, str) else template)
+        if found := blocks(root, False):
+            return "\n\n".join(found)
+    if found := articles(root):
+        return "\n\n".join(words for a in found for words in blocks(a, True))
+    return "" if template else "\n\n".join(blocks(root, False))
 
 
 def host_of(url_col: str) -> F.Column:
@@ -309,23 +332,43 @@ def host_of(url_col: str) -> F.Column:
 
 
 def templates(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """(host, template): from the first page, by a hash of its content, of each of REFERENCES parts of a host."""
-    seed = F.xxhash64(F.col(html_col))
-    rows = pages.where(F.length(html_col) > 0).select(host_of(url_col).alias("host"), F.pmod(F.xxhash64(id_col, html_col), F.lit(REFERENCES)).alias("part"), seed.alias("h"), F.col(html_col).alias("html"))
-    chosen = small_side(rows.groupBy("host", "part").agg(F.min("h").alias("h")))
-    picked = rows.join(chosen, ["host", "part", "h"], "left_semi").groupBy("host", "part").agg(F.min("html").alias("html"))
+    """(host, template) from all pages; each task folds its own, then parts of a host are folded, then the host."""
+    rows = bounded_batches(pages.where(F.length(html_col) > 0).select(host_of(url_col).alias("host"), F.col(html_col).alias("html")))
+
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: dict[str, Shape] = {}
+
+        def flush() -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(held, pa.string()), pa.array(map(dumps, held.values()), pa.string())], names=["host", "tree"])
+
+        for b in batches:
+            for host, html in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                held[host] = merge(held.get(host), template_of(html))
+            if sum(map(size_of, held.values())) > HELD_NODES:
+                yield flush()
+                held.clear()
+        if held:
+            yield flush()
+
+    def join(last: bool) -> Callable:
+        def run(t: pa.Table) -> pa.Table:
+            tree = None
+            for x in sorted(t.column("tree").to_pylist()):
+                tree = merge(tree, loads(x))
+            text = "" if last and tree[4][0] == tree[4][1] else dumps(tree)
+            return pa.table({"host": pa.array([t.column("host")[0].as_py()], pa.string()), "tree": pa.array([text], pa.string())})
 
-    def run(t: pa.Table) -> pa.Table:
-        html = sorted(set(t.column("html").to_pylist()))
-        return pa.table({"host": pa.array([t.column("host")[0].as_py()], pa.string()), "template": pa.array([induce(html)], pa.string())})
+        return run
 
-    return picked.groupBy("host").applyInArrow(run, "host string, template string")
+    parts = rows.mapInArrow(first, "host string, tree string").withColumn("part", F.pmod(F.xxhash64("tree"), F.lit(PARTS)))
+    some = parts.groupBy("host", "part").applyInArrow(join(False), "host string, tree string")
+    return some.groupBy("host").applyInArrow(join(True), "host string, tree string").withColumnRenamed("tree", "template")
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
     """page_id, url, text and n_chars of every row; null or empty html gives an empty text.
 
-    A host with one page has no template: its text comes from marked elements, or from the largest one. Templates
+    A host without two different pages has no template: its text comes from marked elements, or from all. Templates
     are broadcast if their measured size allows it, so pages are not shuffled; else they are joined by host, and a
     host with a large share of all rows can be split by the join.
     """
@@ -334,13 +377,16 @@ def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", htm
     joined = rows.join(known, F.col("host") == F.col("sw__host"), "left").select("page_id", "url", "html", "template")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trees: dict[str, Shape] = {}
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 part = b.slice(at, 256)
-                texts = [main_text(h, t) for h, t in zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True)]
+                new = {t for t in part.column(3).to_pylist() if t}
+                trees = {t: trees[t] if t in trees else loads(t) for t in new}
+                texts = [main_text(h, trees.get(t)) for h, t in zip(part.column(2).to_pylist(), part.column(3).to_pylist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(texts, pa.string()), pa.array(list(map(len, texts)), pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
-    return joined.mapInArrow(run, "page_id bigint, url string, text string, n_chars bigint")
+    return bounded_batches(joined).mapInArrow(run, "page_id bigint, url string, text string, n_chars bigint")
 
 
 def op4_html_wrapper(spark: SparkSession, sf_dir: str) -> DataFrame:

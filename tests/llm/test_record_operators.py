@@ -69,6 +69,16 @@ def test_tree_matching():
     assert size >= 5 and html_wrapper.main_text("<div>" * 3000 + "deep", "") == "deep"
 
 
+def extracted(spark, pages):
+    d = spark.createDataFrame([(i, "http://h.example/x", p) for i, p in enumerate(pages)], "page_id bigint, url string, html string")
+    return {r.page_id: r.text for r in html_wrapper.extract(d).collect()}
+
+
+def test_template_decides_inside_and_around_articles(spark):
+    got = extracted(spark, [f"<body><div class=lead>Lead {i}</div><article><h1>T{i}</h1><p>Text {i}</p><p>Same line on each page</p></article><div class=end>All rights</div></body>" for i in range(6)])
+    assert got == {i: f"Lead {i}\n\nT{i}\n\nText {i}" for i in range(6)}
+
+
 # ---- archives (5)
 
 
