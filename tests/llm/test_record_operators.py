@@ -79,6 +79,16 @@ def test_template_decides_inside_and_around_articles(spark):
     assert got == {i: f"Lead {i}\n\nT{i}\n\nText {i}" for i in range(6)}
 
 
+def test_all_pages_of_a_host_make_its_template(spark):
+    a = [f"<body><div class=x>Menu of the site</div><div class=text><p>First {i} words</p></div></body>" for i in range(7)]
+    b = [f"<body><section class=y>Other menu</section><main><h2>Second {i}</h2></main></body>" for i in range(2)]
+    late = "<body><div class=x>Not the menu</div><div class=text><p>Odd one</p></div></body>"
+    got = extracted(spark, [p for p in a + b for _ in range(40)])
+    assert set(got.values()) == {f"First {i} words" for i in range(7)} | {f"Second {i}" for i in range(2)}
+    got = extracted(spark, a + [late])
+    assert got[0] == "Menu of the site\n\nFirst 0 words" and got[7] == "Not the menu\n\nOdd one"
+
+
 # ---- archives (5)
 
 
