@@ -89,6 +89,14 @@ def test_all_pages_of_a_host_make_its_template(spark):
     assert got[0] == "Menu of the site\n\nFirst 0 words" and got[7] == "Not the menu\n\nOdd one"
 
 
+def test_text_beside_the_largest_element_and_second_articles_stay(spark):
+    page = "<body><h1>Head {n}</h1><p>Lead {n}</p><div class=content><p>{long}</p></div><div class=more><p>More {n}</p></div><div class=menubar>m</div></body>"
+    got = extracted(spark, [page.replace("{n}", str(i)).replace("{long}", f"long {i} text " * 60) for i in range(5)])
+    assert all(got[i].split("\n\n")[:2] == [f"Head {i}", f"Lead {i}"] and got[i].endswith(f"More {i}") and "long" in got[i] for i in range(5))
+    two = "<main><article><p>one</p></article></main><main><article><p>two, longer</p></article></main><article class=comment><p>c</p></article>"
+    assert html_wrapper.main_text(two, "") == "one\n\ntwo, longer"
+
+
 # ---- archives (5)
 
 
