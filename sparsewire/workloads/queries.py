@@ -244,25 +244,18 @@ def _policy(policy: str) -> None:
 for _p in ("naive", "p0", "p1", "left", "middle", "right"):
     _policy(_p)
 
-FEW, FEW_R = 3, 40
-FEW_SQL = f"SELECT tensor_id, idx, value FROM (SELECT *, row_number() OVER (PARTITION BY tensor_id ORDER BY abs(value) DESC, idx) AS n FROM ({q.small('supp_part')}) WHERE tensor_id < {FEW}) WHERE n <= {FEW_R}"
 SETS_SQL = f"SELECT tensor_id, pos, count(*) AS size, list(idx ORDER BY {q.priority('idx', SEED, 'p2')}, idx) AS members FROM ({' UNION '.join(f'SELECT tensor_id, p.idx, {q.pos('p.idx', j, 'm', SEED)} AS pos FROM p JOIN meta USING (tensor_id)' for j in range(bl.hashes_for(0.05)))}) GROUP BY 1, 2"
 
 
-def _few(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    coo = sp.top_r(small(spark, sf_dir, "supp_part").where(F.col("tensor_id") < FEW), FEW_R)
-    return coo, ts.meta(coo, dim(spark, sf_dir, "supp_part"))
-
-
-@query("q_conflict_sets", "WITH " + q.filter_ctes(FEW_SQL, q.DIMENSIONS["supp_part"], 0.05, SEED) + f" SELECT tensor_id, pos AS bit, size FROM ({SETS_SQL})")
+@query("q_conflict_sets", _filtered("supp_part", 0.05) + f"SELECT tensor_id, pos AS bit, size FROM ({SETS_SQL})")
 def conflict_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
-    coo, meta = _few(spark, sf_dir)
+    coo, meta = with_meta(spark, sf_dir, "supp_part")
     p = bl.positives(bl.filters(coo, meta, 0.05, SEED), 0.05, SEED)
     return bl.conflict_sets(p, meta, 0.05, SEED).select("tensor_id", "bit", "size")
 
 
 P2_SQL = (
-    "WITH RECURSIVE " + q.filter_ctes(FEW_SQL, q.DIMENSIONS["supp_part"], 0.05, SEED) + f", s AS MATERIALIZED (SELECT tensor_id, members, row_number() OVER (PARTITION BY tensor_id ORDER BY size, pos) - 1 AS n, count(*) OVER (PARTITION BY tensor_id) AS c FROM ({SETS_SQL})), "
+    "WITH RECURSIVE " + q.filter_ctes(q.small("supp_part"), q.DIMENSIONS["supp_part"], 0.05, SEED) + f", s AS MATERIALIZED (SELECT tensor_id, members, row_number() OVER (PARTITION BY tensor_id ORDER BY size, pos) - 1 AS n, count(*) OVER (PARTITION BY tensor_id) AS c FROM ({SETS_SQL})), "
     "w AS (SELECT tensor_id, r, CAST(0 AS BIGINT) AS step, CAST([] AS BIGINT[]) AS got FROM meta "
     "UNION ALL SELECT w.tensor_id, w.r, w.step + 1, list_concat(w.got, list_slice(list_filter(s.members, lambda x: NOT list_contains(w.got, x)), 1, 1)) FROM w JOIN s ON s.tensor_id = w.tensor_id AND s.n = w.step % s.c WHERE len(w.got) < w.r) "
     "SELECT c.tensor_id, c.idx, coalesce(t.value, 0) AS value FROM (SELECT tensor_id, unnest(got) AS idx FROM w WHERE len(got) = r) c LEFT JOIN t ON t.tensor_id = c.tensor_id AND t.idx = c.idx"
@@ -275,7 +268,7 @@ def bloom_p2(spark: SparkSession, sf_dir: str) -> DataFrame:
     import numpy as np
     import pyarrow as pa
 
-    coo, meta = _few(spark, sf_dir)
+    coo, meta = with_meta(spark, sf_dir, "supp_part")
     codec = Codec(BloomKeys(0.05, "p2", SEED))
 
     def run(batches):

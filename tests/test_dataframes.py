@@ -16,6 +16,7 @@ from sparsewire.operators.value_codecs import FitPoly, Qsgd
 from sparsewire.plans.pipeline import Codec, ThreeLC, catalogue
 from sparsewire.sources import tensors as ts
 from sparsewire.streaming import gradients as gr
+from sparsewire.workloads import queries
 
 
 @pytest.fixture(scope="module")
@@ -155,3 +156,10 @@ def test_quality_measures(spark):
     assert ms.hit_rate(c, 1).first()[0] == 0.5 and ms.hit_rate(c, 2).first()[0] == 1.0
     t = ms.timeline({"a": spark.createDataFrame([(1, 0.2), (2, 0.6)], "epoch int, metric double")})
     assert ms.epochs_to(t, 0.5).first()["epochs"] == 2
+
+
+def test_conflict_set_queries_draw_for_every_supplier(spark, sf):
+    want = {r.tensor_id: r["count"] for r in queries.small(spark, sf, "supp_part").groupBy("tensor_id").count().collect()}
+    drawn = {r.tensor_id: r["count"] for r in queries.QUERIES["q_bloom_p2"](spark, sf).groupBy("tensor_id").count().collect()}
+    assert drawn == want and len(want) > 3
+    assert {r.tensor_id for r in queries.QUERIES["q_conflict_sets"](spark, sf).select("tensor_id").distinct().collect()} == set(want)
