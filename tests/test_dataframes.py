@@ -16,7 +16,7 @@ from sparsewire.operators.value_codecs import FitPoly, Qsgd
 from sparsewire.plans.pipeline import Codec, ThreeLC, catalogue
 from sparsewire.sources import tensors as ts
 from sparsewire.streaming import gradients as gr
-from sparsewire.workloads import queries
+from sparsewire.workloads import experiments, queries
 
 
 @pytest.fixture(scope="module")
@@ -163,3 +163,14 @@ def test_conflict_set_queries_draw_for_every_supplier(spark, sf):
     drawn = {r.tensor_id: r["count"] for r in queries.QUERIES["q_bloom_p2"](spark, sf).groupBy("tensor_id").count().collect()}
     assert drawn == want and len(want) > 3
     assert {r.tensor_id for r in queries.QUERIES["q_conflict_sets"](spark, sf).select("tensor_id").distinct().collect()} == set(want)
+
+
+def test_experiments_cover_every_tensor_and_row(spark, sf, monkeypatch):
+    seen, error = [], ms.compression_error
+    monkeypatch.setattr(ms, "compression_error", lambda a, b: (seen.append(a.select("tensor_id").distinct().count()), error(a, b))[1])
+    monkeypatch.setattr(experiments, "catalogue", lambda *_: {"topr": Codec()})
+    assert queries.QUERIES["e16_every_codec"](spark, sf).first().ok
+    queries.QUERIES["e20_quantile_means"](spark, sf)
+    assert seen == [10] * 4
+    dealt = ts.nation_part(spark, sf, "pmod(l_orderkey, 4)").selectExpr("tensor_id", "idx", "value div 1000 AS value").where("value <> 0")
+    assert rows_of(experiments.accumulated(spark, sf), "tensor_id", "idx", "value") == rows_of(dealt, "tensor_id", "idx", "value")
