@@ -174,3 +174,28 @@ def test_experiments_cover_every_tensor_and_row(spark, sf, monkeypatch):
     assert seen == [10] * 4
     dealt = ts.nation_part(spark, sf, "pmod(l_orderkey, 4)").selectExpr("tensor_id", "idx", "value div 1000 AS value").where("value <> 0")
     assert rows_of(experiments.accumulated(spark, sf), "tensor_id", "idx", "value") == rows_of(dealt, "tensor_id", "idx", "value")
+
+
+def test_recommender_training_and_lookup_take_all(spark, sf, monkeypatch):
+    monkeypatch.setattr(experiments.tr, "train_recommender", lambda s, d, c=None, **k: c)
+    monkeypatch.setattr(experiments.tr, "as_frame", lambda s, rows: rows)
+    assert set(experiments.recommender_training(spark, sf)) == {"none", *experiments.inherent_codecs()}
+    positions, made = experiments.BloomKeys.positions, []
+
+    class Table(np.ndarray):
+        def __getitem__(self, key):
+            made.append(np.asarray(self)[key])
+            return made[-1]
+
+    class Positions:
+        def astype(self, kind):
+            return self.found.astype(kind).view(Table)
+
+    def of(self, *args):
+        p = Positions()
+        p.found = positions(self, *args)
+        return p
+
+    monkeypatch.setattr(experiments.BloomKeys, "positions", of)
+    experiments.lookup_table(spark, sf)
+    assert made[0].shape[1] == 25 * ts.load(spark, sf, "part").count()
