@@ -66,6 +66,16 @@ def _fold(hashes: np.ndarray, owner: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
+def majority(hashes: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """uint64 fingerprints of owners with so many hashes each, in order."""
+    ones = np.zeros((len(sizes), BITS))
+    owner = np.repeat(np.arange(len(sizes)), sizes)
+    for at in range(0, len(hashes), CHUNK):
+        low, high = owner[at], owner[min(at + CHUNK, len(owner)) - 1] + 1
+        ones[low:high] += _fold(hashes[at : at + CHUNK], owner[at : at + CHUNK] - low, high - low)
+    return np.packbits((ones * 2 > np.asarray(sizes)[:, None]).astype(np.uint8), axis=1, bitorder="little").view(np.uint64).ravel()
+
+
 def fingerprint_array(texts: list[bytes | None]) -> np.ndarray:
     """uint64 fingerprints; a bit is set if more than half of the shingles have it."""
     ones, totals = np.zeros((len(texts), BITS)), np.zeros(len(texts))
@@ -210,7 +220,7 @@ def op9_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The pipeline's stage: one document of each group of five-word similarity 0.8, which op9's radius cannot tell."""
+    """The pipeline's stage: one document of each group of five-word similarity 0.8; op9's index, then an exact join."""
     from .similar_sets import keep_one as stage
 
     return stage(docs, id_col, text_col)

@@ -1,14 +1,19 @@
-"""Groups of documents whose sets of word runs are alike, by an exact set-similarity join.
+"""Groups of documents whose sets of word runs are alike: SimHash links first, an exact set join for the rest.
 
-Two documents are linked if the Jaccard similarity of their sets of WORDS-word shingles is NUM / DEN or more. In any
-fixed order of shingles, linked sets of sizes m and n share a shingle among the first m - ceil(m * NUM / DEN) + 1 of
-one and the first n - ceil(n * NUM / DEN) + 1 of the other, so lists over these prefixes meet every linked pair; no
-radius of fingerprints has that guarantee. Shingles that a sample of documents repeats come last in the order, which
-keeps lists short and has no influence on what is found.
+Two documents are linked if the Jaccard similarity of their sets of WORDS-word shingles is NUM / DEN or more.
+
+1. The byte-position index of simhash_dedup gives pairs of fingerprints within its radius; pairs whose sets are found
+   alike are links. No radius of fingerprints meets every pair of that similarity, so this alone would lose links.
+2. In any fixed order of shingles, linked sets of sizes m and n share a shingle among the first
+   m - ceil(m * NUM / DEN) + 1 of one and the first n - ceil(n * NUM / DEN) + 1 of the other, so lists over these
+   prefixes meet every linked pair. Pairs that step 1 has joined already are passed over. Shingles that a sample of
+   documents repeats come last in the order, which keeps lists short and has no influence on what is found.
 
 Short lists give all their pairs. A long one first gives each member's pairs with its neighbour by size and with its
 middle; once these are verified and joined to components, it gives the pairs that lie in different components, so a
 large group of near copies does not cost the square of its size.
+
+Sets are never stored: each step reads the texts again, which costs less than the disk for eight bytes a word.
 """
 
 from __future__ import annotations
@@ -22,31 +27,65 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import NO_ID, bounded_batches, connected_components, cut, id_or_last, shuffle_partitions, small_side
-from .simhash_dedup import shingle_hashes
+from .shingles import shingles
+from .simhash_dedup import links as fingerprint_links
+from .simhash_dedup import majority
 
 WORDS, NUM, DEN = 5, 4, 5
 SHORT_LIST = 48
-#: Documents whose shingles are counted for the order, and most shingles that the order knows.
-SAMPLE, ORDERED = 10_000, 100_000
-#: Pairs that a long list yields at once.
-CHUNK = 1 << 16
+#: Classes whose shingles are counted for the order, and most shingles that the order knows.
+SAMPLE, ORDERED = 5_000, 100_000
+#: Pairs that a long list yields at once; classes that a task remembers, to send a class's shingles once.
+CHUNK, REMEMBERED = 1 << 16, 1 << 18
+
+
+def _named(part: pa.RecordBatch) -> tuple[list[np.ndarray], np.ndarray, np.ndarray, np.ndarray]:
+    """Set, and hash of the set, of each text in the second column; all shingle hashes and how many each text has."""
+    h, n = shingles(part.column(1).to_pylist(), WORDS)
+    stops = np.cumsum(n).tolist()
+    sets = [np.unique(h[a:b]) for a, b in zip([0, *stops[:-1]], stops, strict=True)]
+    k = np.array([xxhash.xxh64_intdigest(s.tobytes()) for s in sets], np.uint64).view(np.int64)
+    return sets, k, h, n
+
 
+def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    return docs.select(id_or_last(id_col).alias("id"), F.encode(F.col(text_col), "UTF-8").alias("b"))
 
-def _sets(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(id, k, tokens): the sorted set of shingle hashes of each row, and a hash of the set."""
+
+def _classes(rows: DataFrame) -> DataFrame:
+    """(id, k, fp) of each row: a hash of its set of shingles, and the fingerprint of all its shingles."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 part = b.slice(at, 256)
-                sets = [np.unique(np.array(shingle_hashes(t or b"", WORDS), np.uint64)).view(np.int64) for t in part.column(1).to_pylist()]
-                k = np.array([xxhash.xxh64_intdigest(s.tobytes()) for s in sets], np.uint64).view(np.int64)
-                ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-                tokens = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(sets)))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(k), tokens], names=["id", "k", "tokens"])
+                _, k, h, n = _named(part)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(k), pa.array(majority(h, n).view(np.int64))], names=["id", "k", "fp"])
+
+    return bounded_batches(rows).mapInArrow(run, "id bigint, k bigint, fp bigint")
 
-    rows = docs.select(id_or_last(id_col).alias("id"), F.encode(F.col(text_col), "UTF-8").alias("b"))
-    return bounded_batches(rows).mapInArrow(run, "id bigint, k bigint, tokens array<bigint>")
+
+def _sets(rows: DataFrame) -> DataFrame:
+    """(k, tokens): the sorted set of each class, once for each task that meets it."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()
+        for b in batches:
+            for at in range(0, b.num_rows, 256):
+                sets, k, _, _ = _named(b.slice(at, 256))
+                new = []
+                for i, name in enumerate(k.tolist()):
+                    if name not in seen:
+                        seen.add(name)
+                        new.append(i)
+                if len(seen) > REMEMBERED:
+                    seen.clear()
+                if new:
+                    ends = np.cumsum([0, *(len(sets[i]) for i in new)]).astype(np.int32)
+                    tokens = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([sets[i] for i in new]).view(np.int64)))
+                    yield pa.RecordBatch.from_arrays([pa.array(k[new]), tokens], names=["k", "tokens"])
+
+    return bounded_batches(rows).mapInArrow(run, "k bigint, tokens array<bigint>")
 
 
 def _lists(sets: DataFrame, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
@@ -71,7 +110,7 @@ def _lists(sets: DataFrame, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
                 k = part.column(0).to_numpy()
                 yield pa.RecordBatch.from_arrays([pa.array(flat[order][keep]), pa.array(k[owner[keep]]), pa.array(n[owner[keep]]), pa.array(pos[keep])], names=["token", "k", "n", "pos"])
 
-    return sets.select("k", "tokens").mapInArrow(run, "token bigint, k bigint, n bigint, pos bigint")
+    return sets.mapInArrow(run, "token bigint, k bigint, n bigint, pos bigint")
 
 
 def _may(n: np.ndarray, pos: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
@@ -117,13 +156,16 @@ def _pairs(lists: DataFrame, choose: Callable) -> DataFrame:
             return pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array(np.full(len(a), kind, np.int32))], names=["a", "b", "kind"])
 
         def scan(cols: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+            # a class that several tasks met is there several times, side by side
+            once = np.concatenate(([True], (cols[0][1:] != cols[0][:-1]) | (cols[1][1:] != cols[1][:-1])))
+            cols = [c[once] for c in cols]
             token, k, n, pos = cols[:4]
             start = np.flatnonzero(np.concatenate(([True], token[1:] != token[:-1])))
             size = np.diff(np.append(start, len(token)))
             if len(long := token[start[size > SHORT_LIST]]):
                 yield batch(long, long, 1)
             for i, j in choose(start, size, cols):
-                hit = _may(n, pos, i, j) & (k[i] != k[j])
+                hit = _may(n, pos, i, j) & (cols[4][i] != cols[4][j])
                 if hit.any():
                     x, y = k[i[hit]], k[j[hit]]
                     yield batch(np.minimum(x, y), np.maximum(x, y), 0)
@@ -146,35 +188,53 @@ def _pairs(lists: DataFrame, choose: Callable) -> DataFrame:
     return cut(dealt.mapInArrow(run, "a bigint, b bigint, kind int").distinct())
 
 
-def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
+def _verified(pairs: DataFrame, rows: DataFrame, base: DataFrame) -> DataFrame:
+    """The pairs (a, b) of classes whose sets are alike."""
     touched = small_side(pairs.select(F.explode(F.array("a", "b")).alias("k")).distinct())
-    some = sets.join(touched, "k", "left_semi")
+    ids = base.join(touched, "k", "left_semi").groupBy("k").agg(F.min("id").alias("id")).select(F.col("id").alias("sw__id")).distinct()
+    some = _sets(rows.join(small_side(ids), rows.id == F.col("sw__id"), "left_semi")).join(touched, "k", "left_semi").dropDuplicates(["k"])
     both = pairs.join(some.select(F.col("k").alias("a"), F.col("tokens").alias("x")), "a").join(some.select(F.col("k").alias("b"), F.col("tokens").alias("y")), "b")
     return both.where((NUM + DEN) * F.size(F.array_intersect("x", "y")) >= NUM * (F.size("x") + F.size("y"))).select("a", "b")
 
 
+def _order(rows: DataFrame, classes: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Shingles that the sample repeats, and their counts."""
+    ids = classes.where(F.pmod(F.xxhash64("k"), F.lit(max(1, classes.count() // SAMPLE))) == 0).select(F.col("id").alias("sw__id")).distinct()
+    some = _sets(rows.join(small_side(ids), rows.id == F.col("sw__id"), "left_semi")).select(F.explode("tokens").alias("token"))
+    seen = sorted(some.groupBy("token").count().where("count > 2").orderBy(F.desc("count"), "token").limit(ORDERED).collect())
+    return np.array([r[0] for r in seen], np.int64), np.array([r[1] for r in seen], np.int64)
+
+
+def _alike(classes: DataFrame) -> DataFrame:
+    """Pairs (a, b) of classes with fingerprints within the radius: each class with the first of its fingerprint, and
+    links between the first ones."""
+    first = cut(classes.groupBy("fp").agg(F.min("k").alias("rep"), F.count("*").alias("n")))
+    many = small_side(first.where("n > 1").select("fp", "rep"))
+    equal = classes.join(many, "fp").where("k <> rep").select(F.least("k", "rep").alias("a"), F.greatest("k", "rep").alias("b"))
+    return cut(equal.unionByName(fingerprint_links(first.select("fp", "rep"))).distinct())
+
+
 def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, least) of every row: its id and the smallest id of its group, NO_ID for null ids.
 
     Groups are connected components of links. Rows with equal sets are one node, so texts without a word are one group.
     """
-    base = cut(_sets(docs, id_col, text_col).withColumn("row", F.monotonically_increasing_id()))
-    classes = cut(base.groupBy("k").agg(F.min("row").alias("row"), F.min("id").alias("id"), F.count("*").alias("n")))
-    copies = base.select("k", "row").join(classes.where("n > 1").select("k", F.col("row").alias("kept")), "k").where("row <> kept").select("row")
-    sets = base.join(small_side(copies), "row", "left_anti").select("k", "tokens")
-    some = sets.where(F.pmod(F.xxhash64("k"), F.lit(max(1, classes.count() // SAMPLE))) == 0).select(F.explode("tokens").alias("token"))
-    seen = sorted(some.groupBy("token").count().where("count > 2").orderBy(F.desc("count"), "token").limit(ORDERED).collect())
-    lists = _lists(sets, (np.array([r[0] for r in seen], np.int64), np.array([r[1] for r in seen], np.int64)))
-
+    rows = _rows(docs, id_col, text_col)
+    base = cut(_classes(rows))
+    classes = cut(base.groupBy("k").agg(F.min("id").alias("id"), F.min("fp").alias("fp")))
+    near = cut(_verified(_alike(classes), rows, base))
+    comp = cut(connected_components(near))
+    lists = _lists(_sets(rows), _order(rows, classes)).join(small_side(comp.select(F.col("node").alias("k"), "component")), "k", "left")
+    lists = lists.select("token", "k", "n", "pos", F.coalesce("component", "k").alias("component"))
     found = _pairs(lists, _first_pairs)
-    links = cut(_verified(found.where("kind = 0").select("a", "b"), sets))
-    comp = connected_components(links)
+    met = found.where("kind = 0").select("a", "b")
+    links = cut(near.unionByName(_verified(met, rows, base)))
+    comp = cut(connected_components(links))
     long = found.where("kind = 1").select(F.col("a").alias("token"))
     if not long.isEmpty():
-        named = cut(comp)
-        rows = lists.join(small_side(long), "token", "left_semi").join(named, F.col("k") == F.col("node"), "left")
-        more = _pairs(rows.select("token", "k", "n", "pos", F.coalesce("component", "k").alias("component")), _other_pairs)
-        comp = connected_components(links.unionByName(_verified(more.where("kind = 0").select("a", "b").join(found.select("a", "b"), ["a", "b"], "left_anti"), sets)))
+        again = lists.drop("component").join(small_side(long), "token", "left_semi").join(comp, F.col("k") == F.col("node"), "left")
+        more = _pairs(again.select("token", "k", "n", "pos", F.coalesce("component", "k").alias("component")), _other_pairs)
+        comp = connected_components(links.unionByName(_verified(more.where("kind = 0").select("a", "b").join(met, ["a", "b"], "left_anti"), rows, base)))
     named = cut(classes.join(comp, classes.k == comp.node, "left").select("k", "id", F.coalesce("component", "k").alias("component")))
     least = named.groupBy("component").agg(F.min("id").alias("least"))
     return base.select("id", "k").join(named.join(least, "component").select("k", "least"), "k").select("id", "least")
