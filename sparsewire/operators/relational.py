@@ -1,35 +1,32 @@
-"""Codecs as window and aggregate expressions, for tensors that no single task should hold.
+"""Codecs as window and aggregate expressions, for tensors that no single task should hold; ranks.py cuts them.
 
 They give the same codes as the block kernels where a kernel exists; both are tested against SQL.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window, WindowSpec
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import PRIME, hash_sql
-
-def by_idx() -> WindowSpec:
-    return Window.partitionBy("tensor_id").orderBy("idx")
+from ..sources.checkpoints import checkpointed, small_side
+from .ranks import by_idx, by_value, neighbours, ntile
 
 
 def delta_keys(coo: DataFrame) -> DataFrame:
     """(tensor_id, idx, gap, gap_bytes): gaps to the previous key, the first from -1."""
-    rows = coo.withColumn("gap", F.col("idx") - F.lag("idx", 1, -1).over(by_idx()))
+    rows = neighbours(coo).withColumn("gap", F.col("idx") - F.coalesce("prev", F.lit(-1)))
     return rows.select("tensor_id", "idx", "gap", F.expr("CASE WHEN gap < 256 THEN 1 WHEN gap < 65536 THEN 2 WHEN gap < 16777216 THEN 3 WHEN gap < 4294967296 THEN 4 ELSE 5 END").alias("gap_bytes"))
 
 
 def runs(coo: DataFrame, meta: DataFrame) -> DataFrame:
     """(tensor_id, first, symbol, length) of the alternating runs of each bitmap."""
-    island = coo.withColumn("g", F.col("idx") - F.row_number().over(by_idx()))
-    ones = island.groupBy("tensor_id", "g").agg(F.min("idx").alias("first"), F.count("*").alias("length"))
-    w = Window.partitionBy("tensor_id").orderBy("first")
-    ones = ones.withColumn("before", F.lag(F.col("first") + F.col("length"), 1, 0).over(w)).withColumn("last", F.lead("first").over(w))
-    ones = ones.join(meta.select("tensor_id", "d"), "tensor_id")
-    gap = ones.select("tensor_id", F.col("before").alias("first"), F.lit(0).alias("symbol"), (F.col("first") - F.col("before")).alias("length"))
-    tail = ones.where("last IS NULL").select("tensor_id", (F.col("first") + F.col("length")).alias("first"), F.lit(0).alias("symbol"), F.expr("d - first - length").alias("length"))
-    return ones.select("tensor_id", "first", F.lit(1).alias("symbol"), "length").unionByName(gap).unionByName(tail).where("length > 0")
+    island = by_idx(coo).withColumn("g", F.col("idx") - F.col("n"))
+    ones = island.groupBy("tensor_id", "g").agg(F.min("idx").alias("first"), F.count("*").alias("length")).select("tensor_id", "first", F.lit(1).alias("symbol"), "length")
+    ends = neighbours(coo).join(meta.select("tensor_id", "d"), "tensor_id")
+    after = ends.select("tensor_id", (F.col("idx") + 1).alias("first"), F.lit(0).alias("symbol"), (F.coalesce("next", "d") - F.col("idx") - 1).alias("length"))
+    head = ends.where("prev IS NULL").select("tensor_id", F.lit(0).cast("bigint").alias("first"), F.lit(0).alias("symbol"), F.col("idx").alias("length"))
+    return ones.unionByName(after).unionByName(head).where("length > 0")
 
 
 def gamma_bits(col: str) -> Column:
@@ -45,7 +42,7 @@ def key_bytes(coo: DataFrame) -> DataFrame:
 def qsgd(coo: DataFrame, bits: int = 7, bucket: int = 512, seed: int = 0) -> DataFrame:
     """(tensor_id, idx, bucket, level, decoded): stochastic levels of a bucket's norm; positions count by idx."""
     s = 2 ** (bits - 1) - 1
-    pos = coo.withColumn("pos", F.row_number().over(by_idx()) - 1).withColumn("bucket", F.expr(f"pos div {bucket}"))
+    pos = by_idx(coo, "pos").withColumn("pos", F.col("pos") - 1).withColumn("bucket", F.expr(f"pos div {bucket}"))
     norms = pos.groupBy("tensor_id", "bucket").agg(F.sqrt(F.sum(F.col("value") * F.col("value"))).alias("norm"))
     u = f"(({hash_sql('pos', 0, seed, 'qsgd')}) + 0.5D) / {PRIME}D"
     rows = pos.join(norms, ["tensor_id", "bucket"]).withColumn("level", F.expr(f"CAST(CASE WHEN norm = 0 THEN 0 ELSE least({s}, floor({s} * abs(CAST(value AS DOUBLE)) / norm + {u})) END AS BIGINT)"))
@@ -54,7 +51,7 @@ def qsgd(coo: DataFrame, bits: int = 7, bucket: int = 512, seed: int = 0) -> Dat
 
 def quantile_buckets(coo: DataFrame, q: int) -> DataFrame:
     """(tensor_id, idx, bucket, decoded): buckets of equal count over (value, idx); decoded is the bucket's mean."""
-    rows = coo.withColumn("bucket", F.ntile(q).over(Window.partitionBy("tensor_id").orderBy("value", "idx")))
+    rows = by_value(coo, ["tensor_id"], "value").withColumn("bucket", ntile("n", "n_total", q))
     means = rows.groupBy("tensor_id", "bucket").agg(F.avg("value").alias("decoded"))
     return rows.join(means, ["tensor_id", "bucket"]).select("tensor_id", "idx", "bucket", "decoded")
 
@@ -68,27 +65,36 @@ def sketched_quantiles(coo: DataFrame, q: int) -> DataFrame:
 def sorted_curve(coo: DataFrame, order: str = "value") -> DataFrame:
     """(tensor_id, sign, rank, idx, y): ranks from 1 down the sorted curve of each sign, or of the magnitudes (sign 0)."""
     if order == "magnitude":
-        w = Window.partitionBy("tensor_id").orderBy(F.abs("value").desc(), "idx")
-        return coo.select("tensor_id", F.lit(0).alias("sign"), F.row_number().over(w).cast("bigint").alias("rank"), "idx", F.abs("value").alias("y"))
-    rows = coo.withColumn("sign", F.when(F.col("value") > 0, 1).otherwise(-1))
-    w = Window.partitionBy("tensor_id", "sign").orderBy(F.desc("value"), "idx")
-    return rows.select("tensor_id", "sign", F.row_number().over(w).cast("bigint").alias("rank"), "idx", F.col("value").alias("y"))
+        rows = coo.select("tensor_id", F.lit(0).alias("sign"), "idx", F.abs("value").alias("y"))
+    else:
+        rows = coo.select("tensor_id", F.when(F.col("value") > 0, 1).otherwise(-1).alias("sign"), "idx", F.col("value").alias("y"))
+    return by_value(rows, ["tensor_id", "sign"], "y", descending=True, name="rank").select("tensor_id", "sign", F.col("rank").cast("bigint").alias("rank"), "idx", "y")
+
+
+SEGMENT = ["tensor_id", "sign", "seg"]
 
 
 def segment_level(curve: DataFrame, least: int) -> DataFrame:
     """One round of chord splitting: curve with a segment number seg (0 at first) to curve with finer numbers.
 
-    Segments keep their order; a segment without a gap, or with children of fewer than least points, stays.
+    Segments keep their order; a segment without a gap, or with children of fewer than least points, stays. The curve
+    is aggregated twice and never shuffled: a segment's ends and knot are one row, broadcast if measured small.
     """
     if "seg" not in curve.columns:
         curve = curve.withColumn("seg", F.lit(0).cast("bigint"))
-    keys = ["tensor_id", "sign", "seg"]
-    ends = curve.groupBy(*keys).agg(F.min("rank").alias("lo"), F.max("rank").alias("hi"), F.max_by("y", F.col("rank")).alias("y_hi"), F.min_by("y", F.col("rank")).alias("y_lo"))
-    rows = curve.join(ends, keys)
+    ends = small_side(curve.groupBy(*SEGMENT).agg(F.min("rank").alias("lo"), F.max("rank").alias("hi"), F.max_by("y", F.col("rank")).alias("y_hi"), F.min_by("y", F.col("rank")).alias("y_lo")))
     gap = F.expr("CASE WHEN hi = lo THEN 0D ELSE pow(y - (y_lo + (y_hi - y_lo) * (rank - lo) / CAST(hi - lo AS DOUBLE)), 2) END")
-    knots = rows.withColumn("gap", gap).groupBy(*keys).agg(F.max(F.struct(F.round("gap", 3).alias("gap"), (-F.col("rank")).alias("at"))).alias("k"), F.first("lo").alias("lo"), F.first("hi").alias("hi"))
-    knots = knots.select(*keys, F.expr(f"CASE WHEN k.gap > 0 AND -k.at - lo + 1 >= {least} AND hi + k.at >= {least} THEN -k.at END").alias("knot"))
-    return curve.join(knots, keys).select("tensor_id", "sign", (F.col("seg") * 2 + F.expr("CASE WHEN rank > knot THEN 1 ELSE 0 END")).alias("seg"), "rank", "idx", "y")
+    knots = curve.join(ends, SEGMENT).withColumn("gap", gap).groupBy(*SEGMENT).agg(F.max(F.struct(F.round("gap", 3).alias("gap"), (-F.col("rank")).alias("at"))).alias("k"), F.first("lo").alias("lo"), F.first("hi").alias("hi"))
+    knots = small_side(knots.select(*SEGMENT, F.expr(f"CASE WHEN k.gap > 0 AND -k.at - lo + 1 >= {least} AND hi + k.at >= {least} THEN -k.at END").alias("knot")))
+    return curve.join(knots, SEGMENT).select("tensor_id", "sign", (F.col("seg") * 2 + F.expr("CASE WHEN rank > knot THEN 1 ELSE 0 END")).alias("seg"), "rank", "idx", "y")
+
+
+def segmented(curve: DataFrame, least: int, rounds: int) -> DataFrame:
+    """curve after rounds of splitting; it is written once, since every round reads it twice."""
+    curve = checkpointed(curve)
+    for _ in range(rounds):
+        curve = segment_level(curve, least)
+    return curve
 
 
 def basis_sql(n: str, t: str, degree: int) -> list[str]:
@@ -102,8 +108,8 @@ def basis_sql(n: str, t: str, degree: int) -> list[str]:
 
 def gram_fit(curve: DataFrame, degree: int) -> DataFrame:
     """(tensor_id, sign, seg, lo, n, c0, c1, ...): least squares of a degree on each segment, by sums in one pass."""
-    keys = ["tensor_id", "sign", "seg"]
-    size = curve.groupBy(*keys).agg(F.min("rank").alias("lo"), F.count("*").alias("n"))
+    keys = SEGMENT
+    size = small_side(curve.groupBy(*keys).agg(F.min("rank").alias("lo"), F.count("*").alias("n")))
     rows = curve.join(size, keys).withColumn("t", F.col("rank") - F.col("lo"))
     base = basis_sql("n", "t", degree)
     for k, b in enumerate(base):
@@ -115,7 +121,7 @@ def gram_fit(curve: DataFrame, degree: int) -> DataFrame:
 
 def gram_values(curve: DataFrame, fit: DataFrame, degree: int) -> DataFrame:
     """curve with y_hat."""
-    rows = curve.join(fit, ["tensor_id", "sign", "seg"]).withColumn("t", F.col("rank") - F.col("lo"))
+    rows = curve.join(small_side(fit), SEGMENT).withColumn("t", F.col("rank") - F.col("lo"))
     terms = " + ".join(f"c{k} * {b}" for k, b in enumerate(basis_sql("n", "t", degree)))
     return rows.select("tensor_id", "sign", "seg", "rank", "idx", "y", F.expr(terms).alias("y_hat"))
 

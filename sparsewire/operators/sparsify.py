@@ -56,14 +56,16 @@ def densify(coo: DataFrame, meta: DataFrame) -> DataFrame:
 
 
 def universe(meta: DataFrame, block: int = BLOCK) -> DataFrame:
-    starts = meta.select("tensor_id", "d", F.explode(F.expr(f"sequence(0L, d - 1, {block}L)")).alias("lo"))
+    """All indices of each tensor; its blocks are dealt to tasks before they are spelled out."""
+    starts = meta.select("tensor_id", "d", F.explode(F.expr(f"sequence(0L, d - 1, {block}L)")).alias("lo")).repartition("tensor_id", "lo")
     return starts.select("tensor_id", F.explode(F.expr(f"sequence(lo, least(lo + {block}L, d) - 1)")).alias("idx"))
 
 
 def split(coo: DataFrame) -> tuple[DataFrame, DataFrame]:
     """Index set and value array, in order of idx."""
-    w = Window.partitionBy("tensor_id").orderBy("idx")
-    rows = coo.withColumn("pos", F.row_number().over(w) - 1)
+    from .ranks import by_idx
+
+    rows = by_idx(coo, "pos").withColumn("pos", F.col("pos") - 1)
     return rows.select("tensor_id", "pos", "idx"), rows.select("tensor_id", "pos", "value")
 
 

@@ -5,11 +5,29 @@ from __future__ import annotations
 import tempfile
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+#: A side of a join is broadcast only if it has been written and found no larger than this.
+BROADCAST_BYTES = 32 << 20
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
-    """df written to spark.checkpoint.dir and read again; a temporary folder only where none is set, as in tests."""
+    """df written to spark.checkpoint.dir and read again.
+
+    Where no folder is set, a temporary one serves a local session; on a cluster that is an error, since executors
+    would write to their own disks.
+    """
     sc = df.sparkSession.sparkContext
     if not (sc.getConf().get("spark.checkpoint.dir", "") or sc._jsc.sc().getCheckpointDir().isDefined()):
+        if not sc.master.startswith("local") or sc.master.startswith("local-cluster"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         sc.setCheckpointDir(f"file://{tempfile.mkdtemp()}")
     return df.checkpoint(eager=True)
+
+
+def small_side(df: DataFrame) -> DataFrame:
+    """df, checkpointed, with a broadcast hint if its rows are measured to be within BROADCAST_BYTES."""
+    rows = checkpointed(df)
+    width = sum((F.coalesce(F.octet_length(F.col(f"`{f.name}`").cast("string")), F.lit(0)) + 16 for f in rows.schema.fields), F.lit(0))
+    total = rows.agg(F.sum(width)).first()[0] or 0
+    return F.broadcast(rows) if total <= BROADCAST_BYTES else rows

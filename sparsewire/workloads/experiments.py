@@ -79,7 +79,7 @@ def random_policy(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Counts of kept true keys and the expected error of the rest, against the error of one draw."""
     coo, meta = with_meta(spark, sf_dir, "supp_part")
     p = bl.positives(bl.filters(coo, meta, 0.05, SEED), 0.05, SEED)
-    c = bl.chosen(p, meta, "p1", SEED)
+    c = bl.chosen(p, bl.sizes(coo, meta, 0.05), "p1", SEED)
     err = ms.compression_error(coo, bl.fetched(c, coo))
     return bl.hybrid_counts(coo, c).join(err, "tensor_id").select("tensor_id", "k1", "k2", F.round("error", 6).alias("error"), F.round(F.col("k2") / (F.col("k1") + F.col("k2")), 6).alias("expected"))
 

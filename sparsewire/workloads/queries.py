@@ -225,7 +225,7 @@ def bloom_words(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("q_bloom_positives", _filtered("nation_part") + "SELECT tensor_id, idx FROM p")
 def bloom_positives(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bl.positives(bl.filters(*with_meta(spark, sf_dir, "nation_part"), FPR, SEED), FPR, SEED)
+    return bl.positives(bl.filters(*with_meta(spark, sf_dir, "nation_part"), FPR, SEED), FPR, SEED).select("tensor_id", "idx")
 
 
 @query("q_bloom_fpr", _filtered("supp_part") + "SELECT p.tensor_id, count(*) AS positives, count(*) - count(t.idx) AS false_positives FROM p LEFT JOIN t ON t.tensor_id = p.tensor_id AND t.idx = p.idx GROUP BY 1")
@@ -251,7 +251,7 @@ SETS_SQL = f"SELECT tensor_id, pos, count(*) AS size, list(idx ORDER BY {q.prior
 def conflict_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
     coo, meta = with_meta(spark, sf_dir, "supp_part")
     p = bl.positives(bl.filters(coo, meta, 0.05, SEED), 0.05, SEED)
-    return bl.conflict_sets(p, meta, 0.05, SEED).select("tensor_id", "bit", "size")
+    return bl.conflict_sets(p, bl.sizes(coo, meta, 0.05), 0.05, SEED).select("tensor_id", "bit", "size")
 
 
 P2_SQL = (
@@ -284,7 +284,7 @@ def bloom_p2(spark: SparkSession, sf_dir: str) -> DataFrame:
 def p1_hybrid_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     coo, meta = with_meta(spark, sf_dir, "supp_part")
     p = bl.positives(bl.filters(coo, meta, 0.05, SEED), 0.05, SEED)
-    return bl.hybrid_counts(coo, bl.chosen(p, meta, "p1", SEED))
+    return bl.hybrid_counts(coo, bl.chosen(p, bl.sizes(coo, meta, 0.05), "p1", SEED))
 
 
 GRID = [(f, p) for f in (0.001, 0.01, 0.1) for p in ("p0", "p1", "left", "middle", "right", "naive")]
@@ -302,16 +302,8 @@ def _grid_sql(f: float, p: str) -> str:
 @query("q_policy_error_volume", " UNION ALL ".join(_grid_sql(f, p) for f, p in GRID))
 def policy_error_volume(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Error and volume of each policy and rate on the recommender stand-in."""
-    coo, meta = with_meta(spark, sf_dir, "nation_part")
-    coo = coo.persist()
-    out = None
-    for f, p in GRID:
-        c = bl.decode(coo, meta, f, p, SEED)
-        sent = c.groupBy("tensor_id").agg(F.count("*").alias("n"))
-        size = meta.join(sent, "tensor_id").withColumn("m", F.expr(bl.bits_sql("r", f))).select("tensor_id", ((F.col("m") + 32 * (F.col("n") if p == "p0" else F.col("r"))) / (32 * F.col("d"))).alias("v"))
-        row = ms.compression_error(coo, c).join(size, "tensor_id").select(F.lit(f).alias("fpr"), F.lit(p).alias("policy"), F.round("error", 9).alias("error"), F.round("v", 9).alias("rel_volume"))
-        out = row if out is None else out.unionByName(row)
-    return out
+    rows = bl.policy_errors(*with_meta(spark, sf_dir, "nation_part"), sorted({f for f, _ in GRID}), SEED)
+    return rows.select("fpr", "policy", F.round("error", 9).alias("error"), F.round("rel_volume", 9).alias("rel_volume"))
 
 
 # ---- values
@@ -345,10 +337,7 @@ ROUNDS = 2
 
 
 def _segmented(spark: SparkSession, sf_dir: str) -> DataFrame:
-    curve = sorted_curve(spark, sf_dir)
-    for _ in range(ROUNDS):
-        curve = rl.segment_level(curve, 6)
-    return curve
+    return rl.segmented(sorted_curve(spark, sf_dir), 6, ROUNDS)
 
 
 @query("q_segments_level", f"WITH {_split_sql(ROUNDS)} SELECT tensor_id, sign, seg, min(rank) AS lo, max(rank) AS hi FROM s{ROUNDS} GROUP BY 1, 2, 3")

@@ -49,7 +49,7 @@ def test_relational_filter_equals_kernel(coo):
     for t in range(3):
         keys = np.array([r.idx for r in coo.where(F.col("tensor_id") == t).orderBy("idx").collect()])
         for policy in ("p0", "p1", "left", "middle", "right"):
-            got = [r.idx for r in bl.chosen(p, meta, policy).where(F.col("tensor_id") == t).orderBy("idx").collect()]
+            got = [r.idx for r in bl.chosen(p, bl.sizes(coo, meta, 0.05), policy).where(F.col("tensor_id") == t).orderBy("idx").collect()]
             assert got == BloomKeys(0.05, policy).encode(keys, 3000).sent.tolist(), policy
 
 
@@ -143,10 +143,10 @@ def test_stream_windows_and_memory(spark, sf, tmp_path):
 def test_rounds_choose_between_random_and_sequential(spark, coo):
     meta = ts.meta(coo, 3000)
     p = bl.positives(bl.filters(coo, meta, 0.05), 0.05)
-    got = bl.chosen_by_rounds(p, meta, 0.05)
+    got = bl.chosen_by_rounds(p, bl.sizes(coo, meta, 0.05), 0.05)
     assert got.distinct().groupBy("tensor_id").count().where("count = 150").count() == 3
     kept = lambda c: bl.hybrid_counts(coo, c).agg(F.sum("k1")).first()[0]
-    assert kept(got) > kept(bl.chosen(p, meta, "p1"))
+    assert kept(got) > kept(bl.chosen(p, bl.sizes(coo, meta, 0.05), "p1"))
 
 
 def test_quality_measures(spark):
