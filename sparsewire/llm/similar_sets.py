@@ -13,7 +13,8 @@ Short lists give all their pairs. A long one first gives each member's pairs wit
 middle; once these are verified and joined to components, it gives the pairs that lie in different components, so a
 large group of near copies does not cost the square of its size.
 
-Sets are never stored: each step reads the texts again, which costs less than the disk for eight bytes a word.
+Sets are never stored: each step reads the texts again, which costs less than the disk for eight bytes a word. Pairs
+are first tested by parity bits of their sets, which proves most chance meetings unlike, and only then by the sets.
 """
 
 from __future__ import annotations
@@ -37,6 +38,8 @@ SHORT_LIST = 48
 SAMPLE, ORDERED = 5_000, 100_000
 #: Pairs that a long list yields at once; classes that a task remembers, to send a class's shingles once.
 CHUNK, REMEMBERED = 1 << 16, 1 << 18
+#: Least number of parity bits, as a power of two.
+LEAST_BITS = 8
 
 
 def _named(part: pa.RecordBatch) -> tuple[list[np.ndarray], np.ndarray, np.ndarray, np.ndarray]:
@@ -52,17 +55,50 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return docs.select(id_or_last(id_col).alias("id"), F.encode(F.col(text_col), "UTF-8").alias("b"))
 
 
-def _classes(rows: DataFrame) -> DataFrame:
-    """(id, k, fp) of each row: a hash of its set of shingles, and the fingerprint of all its shingles."""
+def parities(s: np.ndarray) -> bytes:
+    """A bit for each of a power of two of buckets, set if an odd number of the set's hashes fall into it."""
+    bits = 1 << max(LEAST_BITS, (max(len(s), 1) - 1).bit_length())
+    odd = np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
+
+
+def _base(rows: DataFrame) -> DataFrame:
+    """(id, k, fp, n, bits) of each row: a hash of its set of shingles, the fingerprint of all of them, the size and
+    the parities of the set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 part = b.slice(at, 256)
-                _, k, h, n = _named(part)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(k), pa.array(majority(h, n).view(np.int64))], names=["id", "k", "fp"])
+                sets, k, h, n = _named(part)
+                cols = [part.column(0), pa.array(k), pa.array(majority(h, n).view(np.int64)), pa.array([len(s) for s in sets], pa.int64()), pa.array([parities(s) for s in sets], pa.binary())]
+                yield pa.RecordBatch.from_arrays(cols, names=["id", "k", "fp", "n", "bits"])
+
+    return bounded_batches(rows).mapInArrow(run, "id bigint, k bigint, fp bigint, n bigint, bits binary")
+
+
+def _may_be_alike(pairs: DataFrame, classes: DataFrame) -> DataFrame:
+    """The pairs (a, b) but those whose parities prove them unlike.
+
+    Each hash that only one set has turns one bit, so the sets differ in as many hashes at least as their parities
+    differ in bits; of unequal lengths the longer is folded. No alike pair is lost, and a bit for a shingle travels
+    where its set would take sixty-four.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y, m, n in zip(*(batch.column(c).to_pylist() for c in ("x", "y", "m", "n")), strict=True):
+                u, v = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
+                least = min(len(u), len(v))
+                apart = np.bitwise_count(np.bitwise_xor.reduce(u.reshape(-1, least)) ^ np.bitwise_xor.reduce(v.reshape(-1, least))).sum()
+                keep.append(bool((NUM + DEN) * apart <= (DEN - NUM) * (m + n)))
+            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    return bounded_batches(rows).mapInArrow(run, "id bigint, k bigint, fp bigint")
+    own = classes.select("k", "n", "bits")
+    both = pairs.join(own.select(F.col("k").alias("a"), F.col("n").alias("m"), F.col("bits").alias("x")), "a")
+    both = both.join(own.select(F.col("k").alias("b"), "n", F.col("bits").alias("y")), "b")
+    return both.select("a", "b", "m", "n", "x", "y").mapInArrow(run, "a bigint, b bigint")
 
 
 def _sets(rows: DataFrame) -> DataFrame:
@@ -188,10 +224,11 @@ def _pairs(lists: DataFrame, choose: Callable) -> DataFrame:
     return cut(dealt.mapInArrow(run, "a bigint, b bigint, kind int").distinct())
 
 
-def _verified(pairs: DataFrame, rows: DataFrame, base: DataFrame) -> DataFrame:
-    """The pairs (a, b) of classes whose sets are alike."""
+def _verified(pairs: DataFrame, rows: DataFrame, classes: DataFrame) -> DataFrame:
+    """The pairs (a, b) of classes whose sets are alike: by parities what can be, and by the sets what is."""
+    pairs = cut(_may_be_alike(pairs, classes))
     touched = small_side(pairs.select(F.explode(F.array("a", "b")).alias("k")).distinct())
-    ids = base.join(touched, "k", "left_semi").groupBy("k").agg(F.min("id").alias("id")).select(F.col("id").alias("sw__id")).distinct()
+    ids = classes.join(touched, "k", "left_semi").select(F.col("id").alias("sw__id")).distinct()
     some = _sets(rows.join(small_side(ids), rows.id == F.col("sw__id"), "left_semi")).join(touched, "k", "left_semi").dropDuplicates(["k"])
     both = pairs.join(some.select(F.col("k").alias("a"), F.col("tokens").alias("x")), "a").join(some.select(F.col("k").alias("b"), F.col("tokens").alias("y")), "b")
     return both.where((NUM + DEN) * F.size(F.array_intersect("x", "y")) >= NUM * (F.size("x") + F.size("y"))).select("a", "b")
@@ -220,21 +257,21 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     Groups are connected components of links. Rows with equal sets are one node, so texts without a word are one group.
     """
     rows = _rows(docs, id_col, text_col)
-    base = cut(_classes(rows))
-    classes = cut(base.groupBy("k").agg(F.min("id").alias("id"), F.min("fp").alias("fp")))
-    near = cut(_verified(_alike(classes), rows, base))
+    base = cut(_base(rows))
+    classes = cut(base.groupBy("k").agg(F.min("id").alias("id"), *[F.first(c).alias(c) for c in ("fp", "n", "bits")]))
+    near = cut(_verified(_alike(classes), rows, classes))
     comp = cut(connected_components(near))
     lists = _lists(_sets(rows), _order(rows, classes)).join(small_side(comp.select(F.col("node").alias("k"), "component")), "k", "left")
     lists = lists.select("token", "k", "n", "pos", F.coalesce("component", "k").alias("component"))
     found = _pairs(lists, _first_pairs)
     met = found.where("kind = 0").select("a", "b")
-    links = cut(near.unionByName(_verified(met, rows, base)))
+    links = cut(near.unionByName(_verified(met, rows, classes)))
     comp = cut(connected_components(links))
     long = found.where("kind = 1").select(F.col("a").alias("token"))
     if not long.isEmpty():
         again = lists.drop("component").join(small_side(long), "token", "left_semi").join(comp, F.col("k") == F.col("node"), "left")
         more = _pairs(again.select("token", "k", "n", "pos", F.coalesce("component", "k").alias("component")), _other_pairs)
-        comp = connected_components(links.unionByName(_verified(more.where("kind = 0").select("a", "b").join(met, ["a", "b"], "left_anti"), rows, base)))
+        comp = connected_components(links.unionByName(_verified(more.where("kind = 0").select("a", "b").join(met, ["a", "b"], "left_anti"), rows, classes)))
     named = cut(classes.join(comp, classes.k == comp.node, "left").select("k", "id", F.coalesce("component", "k").alias("component")))
     least = named.groupBy("component").agg(F.min("id").alias("least"))
     return base.select("id", "k").join(named.join(least, "component").select("k", "least"), "k").select("id", "least")
