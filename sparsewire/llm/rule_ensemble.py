@@ -18,6 +18,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructField, StructType
 
 from .common import bounded_batches, table
 
@@ -54,20 +55,28 @@ def statistics_of(text: bytes | None) -> list[float]:
     return [float(np.log1p(n)), float(np.log1p(w)), sum(map(len, words)) / max(w, 1), *shares, distinct / max(w, 1), again / max(w - 1, 1), ends / max(w, 1)]
 
 
-def with_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The columns of keep and the statistics of the whole text; null texts count as empty."""
+def quoted(name: str) -> str:
+    return "`" + name.replace("`", "``") + "`"
+
+
+def with_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), prefix: str = "") -> DataFrame:
+    """The columns of keep and the statistics of the whole text, named prefix and STATS; null texts count as empty.
+
+    A text is read at once, whatever its length; a task holds an Arrow batch of bounded size or one text.
+    """
     cols = [*keep, *([] if text_col in keep else [text_col])]
-    rows, at_text, n = docs.select(*cols), cols.index(text_col), len(keep)
+    rows, at_text, n = docs.select(*map(quoted, cols)), cols.index(text_col), len(keep)
+    names = [prefix + x for x in STATS]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for at in range(0, b.num_rows, 256):
                 part = b.slice(at, 256)
                 got = np.array([statistics_of(t) for t in part.column(at_text).cast(pa.binary()).to_pylist()]).reshape(-1, len(STATS))
-                yield pa.RecordBatch.from_arrays([*part.columns[:n], *(pa.array(np.ascontiguousarray(got[:, k])) for k in range(len(STATS)))], names=[*keep, *STATS])
+                yield pa.RecordBatch.from_arrays([*part.columns[:n], *(pa.array(np.ascontiguousarray(got[:, k])) for k in range(len(STATS)))], names=[*keep, *names])
 
-    fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[:n]]
-    return bounded_batches(rows).mapInArrow(run, ", ".join([*fields, *(f"{s} double" for s in STATS)]))
+    fields = [*rows.schema.fields[:n], *(StructField(x, DoubleType()) for x in names)]
+    return bounded_batches(rows).mapInArrow(run, StructType(fields))
 
 
 Condition = tuple[int, bool, float]  # statistic, above, threshold
@@ -84,13 +93,14 @@ class RuleModel:
     def score(self, x: np.ndarray) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.margin(x), -40, 40)))
 
-    def column(self) -> Column:
+    def column(self, prefix: str = "") -> Column:
         """The score as an expression over the columns of STATS."""
         total = F.lit(self.bias)
         for rule, w in self.rules:
             test = F.lit(True)
             for k, above, at in rule:
-                test = test & (F.col(STATS[k]) > F.lit(at) if above else F.col(STATS[k]) <= F.lit(at))
+                stat = F.col(prefix + STATS[k])
+                test = test & (stat > F.lit(at) if above else stat <= F.lit(at))
             total = total + F.when(test, F.lit(float(w))).otherwise(F.lit(0.0))
         return F.lit(1.0) / (F.lit(1.0) + F.exp(-F.greatest(F.least(total, F.lit(40.0)), F.lit(-40.0))))
 
@@ -183,18 +193,25 @@ def fold(id_col: str = "doc_id") -> Column:
 
 
 def train(docs: DataFrame, labels: DataFrame, text_col: str = "text", label: str = "quality", max_rows: int = MAX_TRAIN) -> RuleModel:
-    """Fit on labelled rows outside fold 0: the first max_rows ids by hash; of repeated ids the mean label and one text count."""
+    """Fit on labelled rows outside fold 0: the first max_rows ids by hash; of repeated ids the mean label and one text count.
+
+    Rows without a label or an id teach nothing; whole texts are measured, however long.
+    """
     some = labels.where(F.col(label).isNotNull() & (fold() != 0)).groupBy("doc_id").agg(F.avg(label).alias("sw__y"))
     some = some.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
-    rows = docs.select("doc_id", text_col).join(F.broadcast(some), "doc_id")
+    rows = docs.select("doc_id", quoted(text_col)).join(F.broadcast(some), "doc_id")
     got = with_statistics(rows, text_col, ("doc_id", "sw__y")).groupBy("doc_id").agg(*[F.min(c).alias(c) for c in ("sw__y", *STATS)]).toPandas().sort_values("doc_id")
     return fit(got[list(STATS)].to_numpy(), (got["sw__y"].to_numpy() >= 0.5).astype(float))
 
 
-def scores(docs: DataFrame, model: RuleModel, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """keep, score and predicted of every row, empty and null texts included."""
-    score = with_statistics(docs, text_col, keep).select(*keep, model.column().alias("score"))
-    return score.withColumn("predicted", (F.col("score") >= THRESHOLD).cast("int"))
+def scores(docs: DataFrame, model: RuleModel, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), score: str = "score", predicted: str = "predicted") -> DataFrame:
+    """keep, score and predicted of every row, empty and null texts, repeated rows and rows without an id included.
+
+    Columns of keep may have any name but those of score and predicted, which can be chosen.
+    """
+    own = with_statistics(docs, text_col, keep, "sw__")
+    out = own.select(*map(quoted, keep), model.column("sw__").alias(score))
+    return out.withColumn(predicted, (F.col(quoted(score)) >= THRESHOLD).cast("int"))
 
 
 def op10_rule_ensemble_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -204,6 +221,6 @@ def op10_rule_ensemble_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """Rows of docs that the model predicts good; columns and order of columns as in docs."""
-    out = scores(docs, train(docs, labels), "text", tuple(docs.columns))
-    return out.where("predicted = 1").select(*docs.columns)
+    """Rows of docs that the model predicts good; columns and order of columns as in docs, whatever their names."""
+    out = scores(docs, train(docs, labels), "text", tuple(docs.columns), "sw__score", "sw__predicted")
+    return out.where("sw__predicted = 1").select(*map(quoted, docs.columns))

@@ -1,6 +1,7 @@
 """Dedup, quality, decontamination, encoding and the pipeline against brute force."""
 
 import hashlib
+import math
 import random
 
 import numpy as np
@@ -273,8 +274,52 @@ def test_quality_without_labels_and_odd_texts(spark, docs_schema, odd_texts):
     labels = spark.createDataFrame([(1, None), (2, None)], "doc_id bigint, quality int")
     got = rule_ensemble.scores(d, rule_ensemble.train(d, labels)).collect()
     assert len(got) == len(odd_texts) and all(r.score == pytest.approx(0.5) for r in got)
-    kept = rule_ensemble.keep_good(d.drop("score", "log_bytes"), labels)
-    assert kept.count() == len(odd_texts) and kept.columns == ["doc_id", "text", "lang", "source", "n_chars"]
+    wide = d.withColumn("predicted", F.lit("x")).withColumn("a.b", F.lit(2)).withColumn("words share", F.lit(3))
+    kept = rule_ensemble.keep_good(wide, labels)
+    assert kept.count() == len(odd_texts) and kept.columns == wide.columns and kept.schema == wide.schema
+    assert sorted(map(repr, kept.collect())) == sorted(map(repr, wide.collect()))
+    assert rule_ensemble.keep_good(wide.limit(0), labels).count() == 0
+
+
+def plain_statistics(text):
+    """The statistics by counting characters and words one at a time."""
+    raw = text or b""
+    words, n = raw.split(), len(raw)
+    out = [math.log(1 + n), math.log(1 + len(words)), sum(len(w) for w in words) / max(1, len(words))]
+    for test in (bytes.isupper, bytes.islower, bytes.isdigit, lambda c: c in b" \t", lambda c: c == b"\n", lambda c: c[0] > 127, lambda c: c in b".,;:?", lambda c: c == b"!", lambda c: c == b"|", lambda c: c == b"*", lambda c: c == b"$", lambda c: c == b"%", lambda c: c == b"&", lambda c: c == b"#", lambda c: c in b"\"'()[]{}<>/\\=+-_@^~`"):
+        out.append(sum(test(bytes([c])) for c in raw) / max(1, n))
+    out.append(len({w for w in words}) / max(1, len(words)))
+    out.append(sum(words[i] == words[i + 1] for i in range(len(words) - 1)) / max(1, len(words) - 1))
+    out.append(sum(w[-1:] in (b"!", b"|", b"*", b"$", b"%", b"&", b"#", b"^", b"~", b"=", b"+") for w in words) / max(1, len(words)))
+    return out
+
+
+def test_scores_equal_brute_force(spark, docs_schema, odd_texts, small_docs, sf):
+    """Statistics, rules and weights one by one, and the conditions that the fitted weights must meet."""
+    labels = spark.read.parquet(f"{sf}/labels.parquet")
+    model = rule_ensemble.train(small_docs, labels)
+    texts = odd_texts + ["long words here! " * 70_000] + [r.text for r in small_docs.limit(40).collect()]
+    got = {r.doc_id: r.score for r in rule_ensemble.scores(frame(spark, docs_schema, texts), model).collect()}
+    assert model.rules and len(got) == len(texts)
+    for i, t in enumerate(texts):
+        x = plain_statistics(None if t is None else t.encode())
+        total = model.bias
+        for rule, w in model.rules:
+            if all((x[k] > cut) == above for k, above, cut in rule):
+                total += w
+        assert got[i] == pytest.approx(1 / (1 + math.exp(-total)), abs=1e-9), i
+
+
+def test_lasso_meets_its_conditions():
+    """At the minimum each weight's slope equals the penalty, and is no larger where the weight is zero."""
+    rng = np.random.default_rng(3)
+    z = rng.integers(0, 2, (300, 8)).astype(float)
+    y = (rng.random(300) < 1 / (1 + np.exp(1 - 2 * z[:, 0] + 1.5 * z[:, 3]))).astype(float)
+    bias, w = rule_ensemble.lasso_logistic(z, y, 0.02, 20_000)
+    a = (z - z.mean(axis=0)) / z.std(axis=0)
+    slope = a.T @ (1 / (1 + np.exp(-(z @ w + bias))) - y) / len(y)
+    assert np.allclose(slope[w != 0], -0.02 * np.sign(w[w != 0]), atol=1e-4) and (np.abs(slope[w == 0]) <= 0.02 + 1e-4).all()
+    assert abs((1 / (1 + np.exp(-(z @ w + bias))) - y).mean()) < 1e-4 and np.count_nonzero(w) < 8
 
 
 def test_lasso_drops_useless_rules():
