@@ -3,9 +3,10 @@
 Bytes travel through the library as printable characters (``byte_characters``); decoding reverses that table and
 joins the bytes of all ids before it reads UTF-8, so characters split over several ids come back whole.
 
-A text is cut at every space that has no white space beside it. The split pattern always starts a new match
-there and never looks past it, so the pieces encode separately to what the whole text gives. Pieces repeat a lot;
-each worker remembers the ids of those it has met and gives the library only new ones.
+The library splits, spells and merges, and tells which characters each id covers. A text is cut at every space that
+has no white space beside it first: the split pattern always starts a new match there and never looks past it, so the
+pieces encode separately to what the whole text gives. Pieces repeat a lot; each worker remembers the ids and offsets
+of those it has met and gives the library only new ones, a batch at a time.
 """
 
 from __future__ import annotations
@@ -13,7 +14,6 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
-from array import array
 from collections.abc import Iterator
 from functools import lru_cache
 from itertools import chain
@@ -24,7 +24,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, table
+from .common import any_names, bounded_batches, table
 
 #: Pieces that a worker remembers before it starts anew; bounds its memory, changes no result.
 REMEMBERED = 250_000
@@ -70,51 +70,103 @@ class Codec:
     """Encoder and decoder of one rank file."""
 
     def __init__(self, path: str, pattern: str) -> None:
-        import regex
         from tokenizers import Regex, Tokenizer, models, pre_tokenizers
 
         ranks, chars = read_ranks(path), byte_characters()
         spell = lambda b: "".join(chars[x] for x in b)
         self.model = models.BPE(vocab={spell(t): r for t, r in ranks.items()}, merges=[(spell(a), spell(b)) for a, b in _merges(ranks)], cache_capacity=0)
         self.tokenizer = Tokenizer(self.model)
-        self.tokenizer.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.Split(Regex(pattern), "isolated"), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
-        self.matches, self.spelled = regex.compile(pattern).findall, dict(enumerate(chars))
+        self.spelled, self.split = dict(enumerate(chars)), pre_tokenizers.Split(Regex(pattern), "isolated")
+        self.tokenizer.pre_tokenizer = pre_tokenizers.Sequence([self.split, pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         self.tokenizer.encode_special_tokens = True
         back = {c: b for b, c in enumerate(chars)}
         self.bytes_of = {i: bytes(back[c] for c in t) for t, i in self.tokenizer.get_vocab().items()}
-        #: Ids as int32 bytes: of pieces after a space, and of matches of the pattern.
+        self.sizes = np.zeros(max(self.bytes_of) + 1, np.int64)
+        self.sizes[list(self.bytes_of)] = [len(x) for x in self.bytes_of.values()]
+        #: Per string, int32 triples (id, first character, past-the-last character): of pieces with the space before
+        #: them, of words, and of other short strings.
         self.known: dict[str, bytes] = {}
         self.words: dict[str, bytes] = {}
+        self.strings: dict[str, bytes] = {}
+
+    def _word_triples(self, words: list[str]) -> list[bytes]:
+        """Triples of matches of the pattern; the model merges those that are new, spelled by the byte table.
+
+        A token's bytes follow from its id, so what it covers is counted in bytes first and then in the characters
+        that these bytes begin.
+        """
+        known = self.words
+        new = list(set(words).difference(known))
+        if new:
+            raw = [w.encode() for w in new]
+            ids = [[t.id for t in self.model.tokenize(r.decode("latin-1").translate(self.spelled))] for r in raw]
+            data = np.frombuffer(b"".join(raw), np.uint8)
+            begun = np.concatenate(([0], np.cumsum(data & 0xC0 != 0x80)))
+            n = np.fromiter(map(len, ids), np.int64, len(ids))
+            flat = np.fromiter(chain.from_iterable(ids), np.int32, int(n.sum()))
+            stop = np.cumsum(self.sizes[flat])
+            base = begun[np.cumsum([0, *map(len, raw[:-1])])]
+            out = np.empty((len(flat), 3), np.int32)
+            out[:, 0] = flat
+            out[:, 1] = begun[stop - self.sizes[flat] + 1] - 1 - np.repeat(base, n)
+            out[:, 2] = begun[stop] - np.repeat(base, n)
+            raw_out, ends = out.tobytes(), (12 * np.cumsum(n)).tolist()
+            known.update(zip(new, [raw_out[x:y] for x, y in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
+        return list(map(known.__getitem__, words))
+
+    def _split_triples(self, text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Triples of a text, and for each match of the pattern its first character and number of tokens."""
+        found = self.split.pre_tokenize_str(text)
+        got = self._word_triples([w for w, _ in found])
+        start = np.fromiter((a for _, (a, _) in found), np.int64, len(found))
+        each = np.fromiter(map(len, got), np.int64, len(got)) // 12
+        flat = np.frombuffer(b"".join(got), np.int32).reshape(-1, 3).copy()
+        flat[:, 1:] += np.repeat(start.astype(np.int32), each)[:, None]
+        return flat, start, each
 
-    def _word_ids(self, found: list[str]) -> list[bytes]:
-        words = self.words
-        for w in set(found).difference(words):
-            words[w] = array("i", [t.id for t in self.model.tokenize(w.encode().decode("latin-1").translate(self.spelled))]).tobytes()
-        return list(map(words.__getitem__, found))
+    def _learn(self, pieces: list[str]) -> list[bytes]:
+        """Triples of pieces that each follow a space and have no white space at their ends, split by one call."""
+        flat, start, each = self._split_triples(" " + " ".join(pieces))
+        space = np.cumsum([0, *(len(p) + 1 for p in pieces)])
+        ends = np.concatenate(([0], np.cumsum(each)))[np.searchsorted(start, space)]
+        flat[:, 1:] -= np.repeat(space[:-1].astype(np.int32), np.diff(ends))[:, None]
+        raw, ends = flat.tobytes(), (12 * ends).tolist()
+        return [raw[x:y] for x, y in zip(ends[:-1], ends[1:], strict=True)]
+
+    def _one(self, text: str) -> bytes:
+        got = self.strings.get(text)
+        if got is None:
+            got = self._split_triples(text)[0].tobytes()
+            if len(text) <= LONGEST_REMEMBERED:
+                self.strings[text] = got
+        return got
 
     def _whole(self, text: str) -> bytes:
-        """Ids of a text, match by match."""
-        return b"".join(self._word_ids(self.matches(text)))
-
-    def _learn(self, pieces: list[str]) -> list[bytes]:
-        """Ids of pieces that each follow a space and have no white space at their ends."""
-        found = self.matches(" " + " ".join(pieces))
-        stops = np.searchsorted(np.cumsum([len(w) for w in found]), np.cumsum([len(p) + 1 for p in pieces])) + 1
-        ids, stops = self._word_ids(found), stops.tolist()
-        return [b"".join(ids[a:b]) for a, b in zip([0, *stops[:-1]], stops, strict=True)]
+        """Triples of a text with white space of other kinds, piece by piece."""
+        head, *rest = CUT.split(text)
+        parts, at = [self._one(head)], len(head)
+        for p in rest:
+            t = np.frombuffer(self.known.get(p) or self._one(" " + p), np.int32).reshape(-1, 3) + np.array([0, at, at], np.int32)
+            parts.append(t.tobytes())
+            at += len(p) + 1
+        return b"".join(parts)
 
     def encode_flat(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all texts in one array, and where each text's end (one more entry than texts)."""
-        if len(self.known) > REMEMBERED:
-            self.known.clear()
-        if len(self.words) > REMEMBERED:
-            self.words.clear()
+        """(id, first character, past-the-last character) of all texts' tokens, and where each text's end (one more
+        entry than texts)."""
+        for held in (self.known, self.words, self.strings):
+            if len(held) > REMEMBERED:
+                held.clear()
         known, texts = self.known, pc.fill_null(texts, "")
         lists = pc.split_pattern(texts, " ")
         first = lists.offsets.to_numpy()
         first = first - first[0]
         coded = pc.dictionary_encode(lists.flatten())
         at, pieces = coded.indices.to_numpy().astype(np.int64), coded.dictionary.to_pylist()
+        # the space before a piece stands where the pieces before it, and their spaces, end
+        run = np.cumsum(np.array([len(p) + 1 for p in pieces], np.int64)[at]) if len(at) else at
+        space = np.concatenate(([0], run[:-1])) if len(at) else at
+        space = space - np.repeat(space[first[:-1]], np.diff(first)) - 1
         got = list(map(known.get, pieces))
         odd = np.zeros(len(pieces), bool)
         missed = []
@@ -132,33 +184,30 @@ class Codec:
                 if len(pieces[i]) <= LONGEST_REMEMBERED:
                     known[pieces[i]] = x
         # what opens a text has no space before it, and odd pieces are not cut at single spaces: those go one by one
-        own: list[bytes] = []
         whole = np.logical_or.reduceat(odd[at], first[:-1]) if len(texts) else np.zeros(0, bool)
-        for d in range(len(texts)):
-            if whole[d]:
-                head, *rest = CUT.split(texts[d].as_py())
-                own.append(self._whole(head) + b"".join([known.get(p) or self._whole(" " + p) for p in rest]))
-            else:
-                own.append(self._whole(pieces[at[first[d]]]))
+        own = [self._whole(texts[d].as_py()) if whole[d] else self._one(pieces[at[first[d]]]) for d in range(len(texts))]
         use = ~np.repeat(whole, np.diff(first))
         use[first[:-1]] = True
         at[first[:-1]] = len(pieces) + np.arange(len(texts))
-        sizes = np.array([*map(len, got), *map(len, own)], np.int64) // 4
-        tokens, begin = np.frombuffer(b"".join([*got, *own]), np.int32), np.concatenate(([0], np.cumsum(sizes)))
+        space[first[:-1]] = 0
+        sizes = np.array([*map(len, got), *map(len, own)], np.int64) // 12
+        tokens, begin = np.frombuffer(b"".join([*got, *own]), np.int32).reshape(-1, 3), np.concatenate(([0], np.cumsum(sizes)))
         owner = np.repeat(np.arange(len(texts)), np.diff(first))[use]
-        at = at[use]
+        at, space = at[use], space[use].astype(np.int32)
         each = sizes[at]
         end = np.cumsum(each)
         flat = tokens[np.repeat(begin[at] - (end - each), each) + np.arange(end[-1] if len(end) else 0)]
+        flat[:, 1:] += np.repeat(space, each)[:, None]
         return flat, np.concatenate(([0], np.cumsum(np.bincount(owner, weights=each, minlength=len(texts))))).astype(np.int64)
 
     def encode(self, texts: pa.Array | list[str | None]) -> list[list[int]]:
         flat, ends = self.encode_flat(texts if isinstance(texts, pa.Array) else pa.array(texts, pa.string()))
-        return [flat[a:b].tolist() for a, b in zip(ends[:-1], ends[1:], strict=True)]
+        return [flat[a:b, 0].tolist() for a, b in zip(ends[:-1], ends[1:], strict=True)]
 
-    def encode_with_offsets(self, texts: list[str]) -> list[tuple[list[int], list[int], list[int]]]:
+    def encode_with_offsets(self, texts: pa.Array | list[str | None]) -> list[tuple[list[int], list[int], list[int]]]:
         """Ids with the first and past-the-last character that each covers; a split character counts for each part."""
-        return [(e.ids, [a for a, _ in e.offsets], [b for _, b in e.offsets]) for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
+        flat, ends = self.encode_flat(texts if isinstance(texts, pa.Array) else pa.array(texts, pa.string()))
+        return [tuple(flat[a:b].T.tolist()) for a, b in zip(ends[:-1], ends[1:], strict=True)]
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, ids))
@@ -205,7 +254,8 @@ def encode(docs: DataFrame, text_col: str = "text", path: str | None = None, ids
         for b in batches:
             for part in _portions(b, b.schema.get_field_index(text_col)):
                 texts = [t or "" for t in part.column(part.schema.get_field_index(text_col)).to_pylist()]
-                cols = [[x[k] for x in c.encode_with_offsets(texts)] for k in range(3)] if offsets else [c.encode(texts)]
+                got = c.encode_with_offsets(texts) if offsets else [(x,) for x in c.encode(texts)]
+                cols = [[x[k] for x in got] for k in range(len(added))]
                 yield pa.RecordBatch.from_arrays([*part.columns, *(pa.array(x, schema) for x in cols)], names=[*part.schema.names, *added])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields)
@@ -229,8 +279,12 @@ def decode(rows: DataFrame, ids_col: str = "ids", path: str | None = None, to: s
     return base.mapInArrow(run, f"{fields}, `{to}` binary")
 
 
+@any_names
 def round_trip(docs: DataFrame, text_col: str = "text", path: str | None = None) -> DataFrame:
-    """docs with ids and n_tokens, and the text that the ids decode to, in one pass; null texts stay null."""
+    """docs with ids and n_tokens, and the text that the ids decode to, in one pass; null texts stay null.
+
+    Columns ids and n_tokens that docs has are replaced.
+    """
     path = path or vocabulary_path()
     base = docs.drop("ids", "n_tokens")
 
@@ -242,17 +296,20 @@ def round_trip(docs: DataFrame, text_col: str = "text", path: str | None = None)
             for part in _portions(b, k):
                 old = part.column(k)
                 flat, ends = c.encode_flat(old)
-                back = [c.decode(flat[x:y].tolist()).decode() if there else None for x, y, there in zip(ends[:-1], ends[1:], old.is_valid().to_pylist(), strict=True)]
+                back = [c.decode(flat[x:y, 0].tolist()).decode() if there else None for x, y, there in zip(ends[:-1], ends[1:], old.is_valid().to_pylist(), strict=True)]
                 cols = [*part.columns]
                 cols[k] = pa.array(back, pa.string())
-                yield pa.RecordBatch.from_arrays([*cols, pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat)), pa.array(np.diff(ends))], names=[*part.schema.names, "ids", "n_tokens"])
+                yield pa.RecordBatch.from_arrays([*cols, pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.ascontiguousarray(flat[:, 0]))), pa.array(np.diff(ends))], names=[*part.schema.names, "ids", "n_tokens"])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields)
     return bounded_batches(base).mapInArrow(run, f"{fields}, ids array<int>, n_tokens bigint")
 
 
 def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", path: str | None = None) -> DataFrame:
-    """Per row: doc_id, n_tokens, ids_sha256 and decoded_sha256; ids are made and decoded within one pass."""
+    """Per row: doc_id, n_tokens, ids_sha256, decoded_sha256 and offsets_sha256, in one pass.
+
+    offsets_sha256 is the digest of the tokens' first and past-the-last characters as little-endian 32-bit numbers.
+    """
     path = path or vocabulary_path()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -261,12 +318,15 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", pat
         names = list(map(str, range(max(c.bytes_of) + 1)))
         for b in batches:
             for part in _portions(b, 1):
-                encoded = c.encode(part.column(1))
-                ids = [hashlib.sha256(" ".join(map(names.__getitem__, x)).encode()).hexdigest() for x in encoded]
-                back = [hashlib.sha256(c.decode(x)).hexdigest() for x in encoded]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(list(map(len, encoded)), pa.int64()), pa.array(ids, pa.string()), pa.array(back, pa.string())], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
-
-    return bounded_batches(docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))).mapInArrow(run, "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string")
+                flat, ends = c.encode_flat(part.column(1))
+                out: list[list[str]] = [[], [], []]
+                for x, y in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True):
+                    ids = flat[x:y, 0].tolist()
+                    for held, raw in zip(out, (" ".join(map(names.__getitem__, ids)).encode(), c.decode(ids), flat[x:y, 1:].astype("<i4").tobytes()), strict=True):
+                        held.append(hashlib.sha256(raw).hexdigest())
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.diff(ends)), *(pa.array(x, pa.string()) for x in out)], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "offsets_sha256"])
+
+    return bounded_batches(docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))).mapInArrow(run, "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string, offsets_sha256 string")
 
 
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
+import functools
 import math
+import re
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -17,12 +20,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one set here where it is unset (tests)."""
+    """The folder that driver and executors share: spark.checkpoint.dir.
+
+    Where it is unset a local session, as in tests, gets one of its own; on a cluster that is an error.
+    """
     found = spark.sparkContext.getConf().get("spark.checkpoint.dir", "") or ""
     if not found:
         jsc = spark.sparkContext._jsc.sc()
         if jsc.getCheckpointDir().isDefined():
             return jsc.getCheckpointDir().get()
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = f"file:///tmp/sparsewire-{uuid.uuid4().hex}"
         spark.sparkContext.setCheckpointDir(found)
     return found
@@ -52,6 +60,21 @@ def bounded_batches(df: DataFrame) -> DataFrame:
     return df
 
 
+def any_names(stage: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+    """A stage whose documents may have columns with dots, spaces or quotes in their names: Arrow calls refuse these."""
+
+    @functools.wraps(stage)
+    def run(docs: DataFrame, *args: object, **named: object) -> DataFrame:
+        plain = [c if re.fullmatch(r"\w+", c) else f"sw__c{i}" for i, c in enumerate(docs.columns)]
+        if plain == docs.columns:
+            return stage(docs, *args, **named)
+        old = dict(zip(plain, docs.columns, strict=True))
+        out = stage(docs.toDF(*plain), *args, **named)
+        return out.toDF(*[old.get(c, c) for c in out.columns])
+
+    return run
+
+
 def id_or_last(col: str | Column) -> Column:
     return F.coalesce(F.col(col) if isinstance(col, str) else col, F.lit(NO_ID)).cast("bigint")
 
@@ -80,17 +103,18 @@ def small_side(df: DataFrame) -> DataFrame:
     return F.broadcast(rows) if total <= BROADCAST_BYTES else rows
 
 
-def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_rounds: int = 60) -> DataFrame:
+def connected_components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, component) with component the smallest node reachable; nodes without an edge do not appear.
 
     Alternates two star contractions over (larger, smaller) pairs until a round changes nothing. Minima are
     aggregated before the shuffle, and hubs meet their edges again in a join that Spark can split. Each round's
-    pairs are checkpointed, so lost executors repeat one round at most.
+    pairs are checkpointed, so lost executors repeat one round at most. Every round that changes something lowers the
+    sum of the pairs' smaller ends, so rounds end; they are about the logarithm of the longest path.
     """
     big, small = F.greatest("u", "v"), F.least("u", "v")
     pairs = cut(edges.select(F.col(a).alias("u"), F.col(b).alias("v")).where("u <> v").select(big.alias("u"), small.alias("v")).distinct())
     seen = None
-    for _ in range(max_rounds):
+    while True:
         state = pairs.agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("u", "v")).alias("x")).first()
         if state == seen:
             break
@@ -101,7 +125,5 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         moved = large.join(least, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         pairs = cut(moved.unionByName(least.select("u", F.col("m").alias("v"))).distinct())
-    else:
-        raise RuntimeError("components did not settle")
     roots = pairs.select(F.col("v").alias("node")).distinct().select("node", F.col("node").alias("component"))
     return pairs.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("component")).unionByName(roots)

@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, cut, table
+from .common import any_names, bounded_batches, cut, table
 
 SHINGLE, SIMILAR = 5, 0.8
 BITS, BLOCK_BITS, RADIUS = 64, 8, 28
@@ -185,6 +185,7 @@ def op1_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+@any_names
 def keep_clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """Rows of docs whose text meets no item.
 

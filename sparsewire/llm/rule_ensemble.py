@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from .common import bounded_batches, table
+from .common import any_names, bounded_batches, table
 
 MAX_TRAIN = 20_000
 THRESHOLD = 0.3
@@ -55,17 +55,13 @@ def statistics_of(text: bytes | None) -> list[float]:
     return [float(np.log1p(n)), float(np.log1p(w)), sum(map(len, words)) / max(w, 1), *shares, distinct / max(w, 1), again / max(w - 1, 1), ends / max(w, 1)]
 
 
-def quoted(name: str) -> str:
-    return "`" + name.replace("`", "``") + "`"
-
-
 def with_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ...] = ("doc_id",), prefix: str = "") -> DataFrame:
     """The columns of keep and the statistics of the whole text, named prefix and STATS; null texts count as empty.
 
     A text is read at once, whatever its length; a task holds an Arrow batch of bounded size or one text.
     """
     cols = [*keep, *([] if text_col in keep else [text_col])]
-    rows, at_text, n = docs.select(*map(quoted, cols)), cols.index(text_col), len(keep)
+    rows, at_text, n = docs.select(*cols), cols.index(text_col), len(keep)
     names = [prefix + x for x in STATS]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -199,7 +195,7 @@ def train(docs: DataFrame, labels: DataFrame, text_col: str = "text", label: str
     """
     some = labels.where(F.col(label).isNotNull() & (fold() != 0)).groupBy("doc_id").agg(F.avg(label).alias("sw__y"))
     some = some.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
-    rows = docs.select("doc_id", quoted(text_col)).join(F.broadcast(some), "doc_id")
+    rows = docs.select("doc_id", text_col).join(F.broadcast(some), "doc_id")
     got = with_statistics(rows, text_col, ("doc_id", "sw__y")).groupBy("doc_id").agg(*[F.min(c).alias(c) for c in ("sw__y", *STATS)]).toPandas().sort_values("doc_id")
     return fit(got[list(STATS)].to_numpy(), (got["sw__y"].to_numpy() >= 0.5).astype(float))
 
@@ -210,8 +206,8 @@ def scores(docs: DataFrame, model: RuleModel, text_col: str = "text", keep: tupl
     Columns of keep may have any name but those of score and predicted, which can be chosen.
     """
     own = with_statistics(docs, text_col, keep, "sw__")
-    out = own.select(*map(quoted, keep), model.column("sw__").alias(score))
-    return out.withColumn(predicted, (F.col(quoted(score)) >= THRESHOLD).cast("int"))
+    out = own.select(*keep, model.column("sw__").alias(score))
+    return out.withColumn(predicted, (F.col(score) >= THRESHOLD).cast("int"))
 
 
 def op10_rule_ensemble_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -220,7 +216,8 @@ def op10_rule_ensemble_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("doc_id", F.coalesce(fold() == 0, F.lit(False)).alias("held_out"), "score", "predicted")
 
 
+@any_names
 def keep_good(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """Rows of docs that the model predicts good; columns and order of columns as in docs, whatever their names."""
     out = scores(docs, train(docs, labels), "text", tuple(docs.columns), "sw__score", "sw__predicted")
-    return out.where("sw__predicted = 1").select(*map(quoted, docs.columns))
+    return out.where("sw__predicted = 1").select(*docs.columns)

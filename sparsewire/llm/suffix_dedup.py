@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from .common import NO_ID, block_count, id_or_last, table
+from .common import NO_ID, any_names, block_count, id_or_last, table
 from .suffix_array import permuted_common_prefixes, suffix_array
 
 LENGTH = 50
@@ -299,6 +299,7 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     return dealt.groupBy(BLOCK).cogroup(spans.groupBy("block")).applyInArrow(drop, "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string")
 
 
+@any_names
 def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", count_col: str | None = "n_chars") -> DataFrame:
     """docs with repeated spans cut out of the texts; columns as before, count_col the new number of characters.
 

@@ -142,6 +142,21 @@ def test_null_ids_and_one_of_each(spark, docs_schema):
     assert simhash_dedup.near_duplicates(d).count() == 4 and simhash_dedup.near_duplicates(d.limit(0)).count() == 0
 
 
+def brute_groups(texts):
+    """For each text the first text of its group by five-word similarity 0.8."""
+    sets = []
+    for t in texts:
+        w = (t or "").encode().lower().split()
+        sets.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set())
+    name = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if name[i] != name[j] and 9 * len(sets[i] & sets[j]) >= 4 * (len(sets[i]) + len(sets[j])):
+                old, new = max(name[i], name[j]), min(name[i], name[j])
+                name = [new if x == old else x for x in name]
+    return name
+
+
 def test_one_of_each_equals_brute_force_at_similarity(spark, docs_schema, odd_texts, small_docs):
     rng = random.Random(5)
     base = [" ".join(f"w{rng.randrange(5000)}" for _ in range(n)) for n in (30, 60, 120, 300)]
@@ -153,17 +168,7 @@ def test_one_of_each_equals_brute_force_at_similarity(spark, docs_schema, odd_te
                 w[rng.randrange(len(w))] = "changed"
             texts.append(" ".join(w))
     rng.shuffle(texts)
-    sets = []
-    for t in texts:
-        w = (t or "").encode().lower().split()
-        sets.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set())
-    name = list(range(len(texts)))
-    for i in range(len(texts)):
-        for j in range(i):
-            if name[i] != name[j] and 9 * len(sets[i] & sets[j]) >= 4 * (len(sets[i]) + len(sets[j])):
-                old, new = max(name[i], name[j]), min(name[i], name[j])
-                name = [new if x == old else x for x in name]
-    want = sorted(set(name))
+    want = sorted(set(brute_groups(texts)))
     assert sorted(r.doc_id for r in simhash_dedup.keep_one(frame(spark, docs_schema, texts)).collect()) == want
     assert simhash_dedup.keep_one(frame(spark, docs_schema, texts).limit(0)).count() == 0
 
@@ -233,7 +238,7 @@ def test_encoding_equals_the_library(spark, docs_schema, odd_texts, small_docs):
     import public_tokenizers as P
 
     enc = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=byte_bpe.read_ranks(byte_bpe.vocabulary_path()), special_tokens={})
-    texts = odd_texts + ["  two  spaces ", "a \n b", " lead", "trail ", "it's we'LL 'tis", "\u3000wide\u2003space x", "<|endoftext|> a", "tab\tand\r\nline", "a\u00a0b c"] + [r.text for r in small_docs.collect()]
+    texts = odd_texts + ["one more word, " * 80_000, "  two  spaces ", "a \n b", " lead", "trail ", "it's we'LL 'tis", "\u3000wide\u2003space x", "<|endoftext|> a", "tab\tand\r\nline", "a\u00a0b c"] + [r.text for r in small_docs.collect()]
     want = {i: enc.encode_ordinary(t or "") for i, t in enumerate(texts)}
     d = frame(spark, docs_schema, texts).withColumn("ids", F.lit("old"))
     rows = byte_bpe.decode(byte_bpe.encode(d)).collect()
@@ -242,6 +247,8 @@ def test_encoding_equals_the_library(spark, docs_schema, odd_texts, small_docs):
     for r in byte_bpe.digests(d).collect():
         assert r.n_tokens == len(want[r.doc_id]) and r.ids_sha256 == hashlib.sha256(" ".join(map(str, want[r.doc_id])).encode()).hexdigest()
         assert r.decoded_sha256 == hashlib.sha256((texts[r.doc_id] or "").encode()).hexdigest()
+        whole = byte_bpe.codec(byte_bpe.vocabulary_path()).tokenizer.encode(texts[r.doc_id] or "", add_special_tokens=False)
+        assert r.offsets_sha256 == hashlib.sha256(np.array(whole.offsets, "<i4").tobytes()).hexdigest()
     spans = byte_bpe.encode(d.where("doc_id = 7"), offsets=True).first()
     assert spans.char_start[0] == 0 and max(spans.char_end) == len(texts[7]) and byte_bpe.digests(d.limit(0)).count() == 0
 
@@ -341,8 +348,8 @@ def test_pipeline_stages_chain(spark, sf):
     # the same steps by brute force
     labels, bench = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("labels", "benchmark"))
     good = rule_ensemble.scores(docs, rule_ensemble.train(docs, labels)).where("predicted = 1").join(docs, "doc_id").select(*docs.columns).collect()
-    comp = brute_components({r.doc_id: brute_fingerprint(r.text) for r in good})
-    first = [(r.doc_id, r.text) for r in good if comp[r.doc_id] == r.doc_id]
+    good = sorted(good, key=lambda r: r.doc_id)
+    first = [(good[i].doc_id, good[i].text) for i in sorted(set(brute_groups([r.text for r in good])))]
     cut = {r[0]: r for r in brute_repeats(first)}
     assert set(rows.doc_id) <= set(cut)
     dropped = set(cut) - set(rows.doc_id)
