@@ -24,10 +24,10 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import any_names, bounded_batches, table
+from .common import any_names, bounded_batches, give_back, table
 
 #: Pieces that a worker remembers before it starts anew; bounds its memory, changes no result.
-REMEMBERED = 250_000
+REMEMBERED = 100_000
 #: Longer pieces are encoded each time they occur.
 LONGEST_REMEMBERED = 64
 CUT = re.compile(r"(?<=\S) (?=\S)")
@@ -151,6 +151,12 @@ class Codec:
             at += len(p) + 1
         return b"".join(parts)
 
+    def forget(self) -> None:
+        """At the end of a task: the worker may serve other stages next."""
+        for held in (self.known, self.words, self.strings):
+            held.clear()
+        give_back()
+
     def encode_flat(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(id, first character, past-the-last character) of all texts' tokens, and where each text's end (one more
         entry than texts)."""
@@ -257,6 +263,7 @@ def encode(docs: DataFrame, text_col: str = "text", path: str | None = None, ids
                 got = c.encode_with_offsets(texts) if offsets else [(x,) for x in c.encode(texts)]
                 cols = [[x[k] for x in got] for k in range(len(added))]
                 yield pa.RecordBatch.from_arrays([*part.columns, *(pa.array(x, schema) for x in cols)], names=[*part.schema.names, *added])
+        c.forget()
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields)
     return bounded_batches(base).mapInArrow(run, fields + "".join(f", `{x}` array<int>" for x in added))
@@ -300,6 +307,7 @@ def round_trip(docs: DataFrame, text_col: str = "text", path: str | None = None)
                 cols = [*part.columns]
                 cols[k] = pa.array(back, pa.string())
                 yield pa.RecordBatch.from_arrays([*cols, pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.ascontiguousarray(flat[:, 0]))), pa.array(np.diff(ends))], names=[*part.schema.names, "ids", "n_tokens"])
+        c.forget()
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in base.schema.fields)
     return bounded_batches(base).mapInArrow(run, f"{fields}, ids array<int>, n_tokens bigint")
@@ -325,6 +333,7 @@ def digests(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", pat
                     for held, raw in zip(out, (" ".join(map(names.__getitem__, ids)).encode(), c.decode(ids), flat[x:y, 1:].astype("<i4").tobytes()), strict=True):
                         held.append(hashlib.sha256(raw).hexdigest())
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.diff(ends)), *(pa.array(x, pa.string()) for x in out)], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "offsets_sha256"])
+        c.forget()
 
     return bounded_batches(docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).alias("text"))).mapInArrow(run, "doc_id bigint, n_tokens bigint, ids_sha256 string, decoded_sha256 string, offsets_sha256 string")
 

@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import functools
 import math
 import re
 import uuid
 from collections.abc import Callable
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -60,6 +63,13 @@ def bounded_batches(df: DataFrame) -> DataFrame:
     return df
 
 
+def give_back() -> None:
+    """Returns what Arrow and the C library hold free; workers live on after a task, and their idle memory counts."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def any_names(stage: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
     """A stage whose documents may have columns with dots, spaces or quotes in their names: Arrow calls refuse these."""
 

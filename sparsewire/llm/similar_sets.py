@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NO_ID, bounded_batches, connected_components, cut, id_or_last, shuffle_partitions, small_side
+from .common import NO_ID, bounded_batches, connected_components, cut, give_back, id_or_last, shuffle_partitions, small_side
 from .shingles import shingles
 from .simhash_dedup import links as fingerprint_links
 from .simhash_dedup import majority
@@ -73,6 +73,7 @@ def _base(rows: DataFrame) -> DataFrame:
                 sets, k, h, n = _named(part)
                 cols = [part.column(0), pa.array(k), pa.array(majority(h, n).view(np.int64)), pa.array([len(s) for s in sets], pa.int64()), pa.array([parities(s) for s in sets], pa.binary())]
                 yield pa.RecordBatch.from_arrays(cols, names=["id", "k", "fp", "n", "bits"])
+        give_back()
 
     return bounded_batches(rows).mapInArrow(run, "id bigint, k bigint, fp bigint, n bigint, bits binary")
 
@@ -120,6 +121,8 @@ def _sets(rows: DataFrame) -> DataFrame:
                     ends = np.cumsum([0, *(len(sets[i]) for i in new)]).astype(np.int32)
                     tokens = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([sets[i] for i in new]).view(np.int64)))
                     yield pa.RecordBatch.from_arrays([pa.array(k[new]), tokens], names=["k", "tokens"])
+        seen.clear()
+        give_back()
 
     return bounded_batches(rows).mapInArrow(run, "k bigint, tokens array<bigint>")
 
