@@ -9,13 +9,18 @@ comments and the like are left out by element and by class, since their texts va
 The mark of an article is read only where the template cannot tell: on hosts without two different pages, and on pages
 of which nothing varies (pages of one host may carry the same article).
 
-Runs of siblings of the same shape count as one node in the alignment, so long articles cost no more than short ones.
+Siblings alike in tag and names are one node in the alignment, so each node of one tree has at most one counterpart in
+another, matching takes time in proportion to the page, and long articles cost no more than short ones. Trees may be
+of any depth.
 """
 
 from __future__ import annotations
 
 import json
+import math
 import re
+import sys
+from collections import Counter
 from collections.abc import Callable, Iterator
 from html import unescape
 
@@ -26,52 +31,84 @@ from pyspark.sql import functions as F
 
 from .common import bounded_batches, small_side, table
 
-DEEPEST = 150
-#: Parts whose trees are folded apart before those of a host meet; nodes that a task holds before it passes them on.
+#: Parts, at least, whose trees are folded apart before those of a host meet; nodes that a task holds before it passes them on.
 PARTS, HELD_NODES = 16, 200_000
+#: Calls between plain Python functions take no C stack, so trees may be as deep as their page is long.
+DEPTH = 10_000_000
 #: Element names by their role in HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style textarea title noscript template iframe svg math select option button object canvas video audio".split())
+RAW = frozenset("script style textarea title noscript template iframe svg select option button object canvas video audio".split())
+#: Elements whose content is no markup, up to their end tag or the page's end.
+UNPARSED = frozenset("script style textarea title".split())
 BLOCK = frozenset("address article aside blockquote body center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html legend li main menu nav ol p pre search section summary table tbody td tfoot th thead tr ul caption".split())
 CLOSES_P = BLOCK - {"body", "html", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "legend"}
 CLOSED_BY = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "tbody": {"tr", "td", "th", "thead", "tbody"}, "tfoot": {"tr", "td", "th", "thead", "tbody"}}
 SCOPES = frozenset("table ul ol dl div section article main body html nav aside form blockquote td th".split())
 LEFT_OUT = frozenset("head nav aside footer form menu dialog search fieldset".split()) | RAW
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert alertdialog menu menubar toolbar".split())
-LEFT_OUT_NAMES = frozenset(
+FURNITURE = frozenset(
     "nav navbar navigation menu menubar header masthead footer sidebar aside ad ads advert adverts advertisement adsense sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices alert popup modal overlay "
-    "comment comments respond replies disqus share sharing social breadcrumb breadcrumbs related recommended newsletter subscribe signup login form widget toolbar pagination pager copyright skip".split()
+    "comment comments respond replies disqus share sharing social breadcrumb breadcrumbs related recommended newsletter subscribe signup login form widget widgets toolbar pagination pager copyright skip".split()
+)
+#: Words beside one of FURNITURE that leave a name the name of furniture.
+BESIDE = frozenset(
+    "site page main top bottom left right upper lower side bar box block container wrapper wrap outer inner list lists link links button buttons icon icons area zone group item items slot unit row col column primary secondary global fixed sticky mobile desktop js id posts articles stories section user users reader readers thread post article".split()
 )
 #: Lists and table rows are constant as a whole or not at all.
 ITEMS = frozenset("li dt dd td th tr".split())
 COMMENT_NAMES = frozenset("comment comments respond replies disqus".split())
 STATES = frozenset("has with no without".split())
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*)(?:>|\Z)", re.S)
-NAMED = re.compile(r"\b(?:class|id|role|hidden)\b\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?", re.I)
-ROLE = re.compile(r"\brole\s*=\s*[\"']?(\w+)", re.I)
+#: A quote opens a value only after an equals sign, as in the standard's tokenizer; elsewhere it is a character.
+TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:=\s*(?:\"[^\"]*\"|'[^']*')?|[^>=])*+)(?:>|\Z)", re.S)
+NAMED = re.compile(r"(?<![\w-])(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 
 
 class Node:
-    __slots__ = ("tag", "names", "role", "kids", "fixed")
-
-    def __init__(self, tag: str, names: tuple[str, ...] = (), role: str = "") -> None:
-        self.tag, self.names, self.role, self.kids, self.fixed = tag, names, role, [], False
+    __slots__ = ("tag", "names", "furniture", "comments", "role", "kids", "fixed", "holds")
+
+    def __init__(self, tag: str, attrs: str = "") -> None:
+        self.tag, self.names, self.role, self.kids = tag, (), "", []
+        #: fixed: its text is the template's; holds: an article or main element is within; furniture: words of names
+        #: that say the element is no text, all of them about page furniture.
+        self.fixed = self.holds = False
+        self.furniture: set[str] = set()
+        self.comments = False
+        for x in NAMED.finditer(attrs) if len(attrs) > 3 else ():
+            value = x[2] or x[3] or x[4] or ""
+            if x[1].lower() == "role":
+                self.role = (value.split() or [""])[0].lower()
+                continue
+            for name in value.split():
+                words = [w for w in re.split(r"[^a-z0-9]+", re.sub(r"(?<=[a-z])(?=[A-Z])", "-", name).lower()) if w]
+                self.names += tuple(words)
+                about = FURNITURE.intersection(words)
+                if about and STATES.isdisjoint(words):
+                    self.comments = self.comments or not COMMENT_NAMES.isdisjoint(words)
+                    if all(w in FURNITURE or w in BESIDE or w.isdigit() for w in words):
+                        self.furniture |= about
 
 
 def parse(html: str) -> Node:
     """A tree of elements and texts; forgiving about missing and stray end tags."""
     root = Node("#root")
-    stack = [root]
+    stack, open_ = [root], Counter()
     at, n = 0, len(html)
 
     def text(s: str) -> None:
         if s:
             stack[-1].kids.append(unescape(s) if "&" in s else s)
 
+    def cut(k: int) -> None:
+        for x in stack[k:]:
+            open_[x.tag] -= 1
+        del stack[k:]
+
     def close(names: set[str] | frozenset[str]) -> None:
+        if not any(open_[x] for x in names):
+            return
         for k in range(len(stack) - 1, 0, -1):
             if stack[k].tag in names:
-                del stack[k:]
+                cut(k)
                 return
             if stack[k].tag in SCOPES:
                 return
@@ -88,125 +125,131 @@ def parse(html: str) -> Node:
             continue
         tag = tag.lower()
         if m[1]:
-            for k in range(len(stack) - 1, 0, -1):
-                if stack[k].tag == tag:
-                    del stack[k:]
-                    break
+            if open_[tag]:
+                for k in range(len(stack) - 1, 0, -1):
+                    if stack[k].tag == tag:
+                        cut(k)
+                        break
             continue
         if tag in CLOSES_P:
             close({"p"})
         if tag in CLOSED_BY:
             close(CLOSED_BY[tag])
-        names, role, attrs = (), "", m[3]
-        if attrs and len(attrs) > 3:
-            names = tuple(w for x in NAMED.finditer(attrs) for w in re.split(r"[^a-z0-9]+", (x[1] or x[2] or x[3] or "").lower()) if w)
-            if r := ROLE.search(attrs):
-                role = r[1].lower()
-        node = Node(tag, names, role)
+        node = Node(tag, m[3])
         stack[-1].kids.append(node)
-        if tag in VOID or attrs.rstrip().endswith("/") and tag in RAW:
+        if tag in ("article", "main"):
+            for x in reversed(stack):
+                if x.holds:
+                    break
+                x.holds = True
+        if tag in VOID or m[3].rstrip().endswith("/") and tag in RAW:
             continue
         if tag in RAW:
             end = re.compile(rf"</{re.escape(tag)}\b[^>]*>", re.I).search(html, at)
-            at = end.end() if end else n
-        elif len(stack) < DEEPEST:
+            at = end.end() if end else n if tag in UNPARSED else at
+        else:
             stack.append(node)
+            open_[tag] += 1
     return root
 
 
-def _holds_article(node: Node) -> bool:
-    return any(isinstance(k, Node) and (k.tag in ("article", "main") or _holds_article(k)) for k in node.kids)
-
-
 def left_out(node: Node, in_article: bool) -> bool:
     """Whether an element is of a kind that is never main text.
 
-    An article may have a header of its own. Names such as has-sidebar tell of a page, not of the element, and an
-    element around an article is no part of the page's furniture.
+    An article may have a header of its own. A name counts only as a whole: notice-period or share-price are no names
+    of furniture, and has-sidebar tells of a page, not of the element. An element around an article is none either.
     """
     if node.tag in LEFT_OUT or node.role in ROLES or node.tag == "header" and not in_article:
         return True
     if node.tag == "article":
-        return not COMMENT_NAMES.isdisjoint(node.names) and STATES.isdisjoint(node.names)
-    if node.tag in ("html", "body", "main") or not node.names or LEFT_OUT_NAMES.isdisjoint(node.names):
-        return False
-    if in_article and LEFT_OUT_NAMES.intersection(node.names) <= {"header", "masthead"}:
+        return node.comments
+    if node.tag in ("html", "body", "main") or not node.furniture or node.holds:
         return False
-    return STATES.isdisjoint(node.names) and not _holds_article(node)
+    return not (in_article and node.furniture <= {"header", "masthead"})
 
 
-# A shape is [tag, names, hashes of texts, kids, nodes]; runs of kids alike in tag and names are one. In a template the
-# fifth entry is the smallest and largest hash of the pages that have the node: two pages at least if they differ.
+# A shape is [tag, names, hashes of texts, kids, nodes]; kids alike in tag and names are one. In a template the fifth
+# entry is the smallest and largest hash of the pages that have the node: two pages at least if they differ.
 Shape = list
 
 
-def own_text(node: Node) -> str:
-    """Text of a node outside of the blocks within it, inline elements included."""
-    return "".join(k if isinstance(k, str) else " " if k.tag in BLOCK or k.tag in RAW or k.tag == "br" else own_text(k) for k in node.kids)
-
-
 def text_hash(node: Node) -> int | None:
-    words = " ".join(own_text(node).split())
+    """Hash of a node's text outside of the blocks within it, inline elements included."""
+    parts: list[str] = []
+    todo = list(reversed(node.kids))
+    while todo:
+        k = todo.pop()
+        if isinstance(k, str):
+            parts.append(k)
+        elif k.tag in BLOCK or k.tag in RAW or k.tag == "br":
+            parts.append(" ")
+        else:
+            todo.extend(reversed(k.kids))
+    words = " ".join("".join(parts).split())
     return xxhash.xxh64_intdigest(words.encode("utf-8", "surrogatepass")) if words else None
 
 
 def shape(node: Node) -> Shape:
-    words = text_hash(node)
-    kids: list[Shape] = []
+    # inline elements inside inline elements are read once, with the block around them
+    words = text_hash(node) if node.tag in BLOCK or node.tag == "#root" else None
+    kids: dict[tuple[str, str], Shape] = {}
     for k in node.kids:
         if isinstance(k, Node) and k.tag not in RAW and k.tag not in VOID:
             s = shape(k)
-            if kids and kids[-1][:2] == s[:2]:
-                fold(kids[-1], s, match(kids[-1], s)[1], set.union, list.__add__)
-            else:
-                kids.append(s)
-    return [node.tag, " ".join(w for w in node.names if w.isalpha()), set() if words is None else {words}, kids, [node]]
+            same = kids.setdefault((s[0], s[1]), s)
+            if same is not s:
+                fold(same, s, match(same, s)[1], _add, _extend)
+    return [node.tag, " ".join(w for w in node.names if w.isalpha()), set() if words is None else {words}, list(kids.values()), [node]]
+
+
+def _add(x: set, y: set) -> set:
+    x |= y
+    return x
+
+
+def _extend(x: list, y: list) -> list:
+    x.extend(y)
+    return x
 
 
 def fold(a: Shape, b: Shape, pairs: list, texts: Callable, ends: Callable) -> None:
-    """b becomes part of a: matched nodes are joined, the others keep their place between them."""
+    """b becomes part of a: matched nodes are joined, the others follow the one that they followed in b."""
     a[2], a[4] = texts(a[2], b[2]), ends(a[4], b[4])
-    kids, i, j = [], 0, 0
-    for p, q, inner in reversed(pairs):
-        while a[3][i] is not p:
-            kids.append(a[3][i])
-            i += 1
-        while b[3][j] is not q:
-            kids.append(b[3][j])
-            j += 1
+    partner = {}
+    for p, q, inner in pairs:
         fold(p, q, inner, texts, ends)
+        partner[id(q)] = id(p)
+    if len(partner) == len(b[3]):
+        return
+    after: dict[int, list[Shape]] = {}
+    last = 0
+    for q in b[3]:
+        if id(q) in partner:
+            last = partner[id(q)]
+        else:
+            after.setdefault(last, []).append(q)
+    kids = list(after.get(0, ()))
+    for p in a[3]:
         kids.append(p)
-        i, j = i + 1, j + 1
-    a[3] = kids + a[3][i:] + b[3][j:]
+        kids += after.get(id(p), ())
+    a[3] = kids
 
 
 def match(a: Shape, b: Shape) -> tuple[int, list]:
-    """Size of the largest order-keeping match of two trees with equal roots, and the matched pairs of kids."""
+    """Size of the largest match of two trees with equal roots, and the matched pairs of kids.
+
+    No two kids of a node are alike in tag and names, so a kid can match one kid only and all that can match do.
+    """
     if a[0] != b[0]:
         return 0, []
-    x, y = a[3], b[3]
-    if not x or not y:
-        return 1, []
-    best = [[0] * (len(y) + 1) for _ in range(len(x) + 1)]
-    inner: dict[tuple[int, int], tuple[int, list]] = {}
-    for i, p in enumerate(x):
-        row, above = best[i + 1], best[i]
-        for j, q in enumerate(y):
-            w = 0
-            if p[0] == q[0] and p[1] == q[1]:
-                w, _ = inner[i, j] = match(p, q)
-                w += 1
-            row[j + 1] = max(row[j], above[j + 1], above[j] + w if w else 0)
-    i, j, pairs = len(x), len(y), []
-    while i and j:
-        if best[i][j] == best[i - 1][j]:
-            i -= 1
-        elif best[i][j] == best[i][j - 1]:
-            j -= 1
-        else:
-            i, j = i - 1, j - 1
-            pairs.append((x[i], y[j], inner[i, j][1]))
-    return best[-1][-1] + 1, pairs
+    size, pairs, theirs = 1, [], {(q[0], q[1]): q for q in b[3]}
+    for p in a[3]:
+        q = theirs.get((p[0], p[1]))
+        if q is not None:
+            n, inner = match(p, q)
+            size += n
+            pairs.append((p, q, inner))
+    return size, pairs
 
 
 def merge(template: Shape | None, other: Shape) -> Shape:
@@ -219,6 +262,7 @@ def merge(template: Shape | None, other: Shape) -> Shape:
 
 def template_of(html: str) -> Shape:
     """The template of one page."""
+    sys.setrecursionlimit(DEPTH)
     name = xxhash.xxh64_intdigest(html.encode("utf-8", "surrogatepass"))
 
     def named(s: Shape) -> Shape:
@@ -228,17 +272,36 @@ def template_of(html: str) -> Shape:
 
 
 def size_of(s: Shape) -> int:
-    return 1 + len(s[2]) + sum(map(size_of, s[3]))
+    total, todo = 0, [s]
+    while todo:
+        x = todo.pop()
+        total += 1 + len(x[2])
+        todo += x[3]
+    return total
 
 
 def dumps(s: Shape) -> str:
-    plain = lambda x: [x[0], x[1], sorted(x[2]), [plain(k) for k in x[3]], x[4]]
-    return json.dumps(plain(s), separators=(",", ":"))
+    """Nodes before their kids, each with the number of its kids."""
+    rows, todo = [], [s]
+    while todo:
+        x = todo.pop()
+        rows.append([x[0], x[1], sorted(x[2]), x[4], len(x[3])])
+        todo.extend(reversed(x[3]))
+    return json.dumps(rows, separators=(",", ":"))
 
 
 def loads(template: str) -> Shape:
-    sets = lambda x: [x[0], x[1], set(x[2]), [sets(k) for k in x[3]], x[4]]
-    return sets(json.loads(template))
+    root: Shape = ["", "", set(), [], []]
+    todo = [(root, 1)]
+    for tag, names, texts, ends, n in json.loads(template):
+        node = [tag, names, set(texts), [], ends]
+        parent, left = todo.pop()
+        parent[3].append(node)
+        if left > 1:
+            todo.append((parent, left - 1))
+        if n:
+            todo.append((node, n))
+    return root[3][0]
 
 
 def induce(pages: list[str]) -> str:
@@ -273,7 +336,7 @@ def articles(root: Node) -> list[Node]:
     def find(node: Node, inside: bool) -> None:
         for k in node.kids:
             if isinstance(k, Node) and not left_out(k, inside):
-                if k.tag == "article" or "articlebody" in k.names:
+                if k.tag == "article" or "articlebody" in "".join(k.names):
                     out.append(k)
                 else:
                     find(k, inside or k.tag == "main")
@@ -317,6 +380,7 @@ def blocks(node: Node, is_article: bool) -> list[str]:
 def main_text(html: str | None, template: str | Shape | None) -> str:
     if not html:
         return ""
+    sys.setrecursionlimit(DEPTH)
     root = parse(html)
     if template:
         mark(root, loads(template) if isinstance(template, str) else template)
@@ -352,6 +416,7 @@ def templates(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", h
 
     def join(last: bool) -> Callable:
         def run(t: pa.Table) -> pa.Table:
+            sys.setrecursionlimit(DEPTH)
             tree = None
             for x in sorted(t.column("tree").to_pylist()):
                 tree = merge(tree, loads(x))
@@ -360,7 +425,9 @@ def templates(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", h
 
         return run
 
-    parts = rows.mapInArrow(first, "host string, tree string").withColumn("part", F.pmod(F.xxhash64("tree"), F.lit(PARTS)))
+    # of the trees that tasks send for one host, no group takes more than about the square root
+    n = max(PARTS, math.isqrt(rows.rdd.getNumPartitions()))
+    parts = rows.mapInArrow(first, "host string, tree string").withColumn("part", F.pmod(F.xxhash64("tree"), F.lit(n)))
     some = parts.groupBy("host", "part").applyInArrow(join(False), "host string, tree string")
     return some.groupBy("host").applyInArrow(join(True), "host string, tree string").withColumnRenamed("tree", "template")
 

@@ -1,5 +1,6 @@
 """Pages, archives, vectors, chats and shards."""
 
+import html.parser
 import random
 
 import duckdb
@@ -69,6 +70,86 @@ def test_tree_matching():
     assert size >= 5 and html_wrapper.main_text("<div>" * 3000 + "deep", "") == "deep"
 
 
+def test_depth_names_quotes_and_formulas():
+    deep = "<div>" * 160 + "<article><p>body</p><nav>menu</nav></article>"
+    assert html_wrapper.main_text(deep, "") == "body"
+    assert html_wrapper.main_text("<i><div class=x>" * 60_000 + "<p>end</p>", "") == "end"
+    kept = '<article><h1>T</h1><p class="notice-period">one</p><p id="related-work">two</p><div class="share-price">three <math><mi>x</mi></math></div><div class="share-buttons">s</div><div class="relatedPosts">r</div><p data-id="nav">four</p></article>'
+    assert html_wrapper.main_text(kept, "") == "T\n\none\n\ntwo\n\nthree x\n\nfour"
+    assert html_wrapper.main_text('<article><p>a<img alt="5" tall">b <a href=x title=\'q">\'>c</a></p><p title="x > y">d</p></article>', "") == "ab c\n\nd"
+    assert html_wrapper.main_text("<p>a</p></div></p></b><select><option>x<option>y</select><p>b</p>", "") == "a\n\nb"
+
+
+def test_long_pages_are_read_in_linear_time(spark):
+    import time
+
+    page = lambda n, k: "<article>" + "".join(f"<h2>Head {k} {i}</h2><p>Text {k} {i} of some words</p>" for i in range(n)) + "</article>"
+    template = html_wrapper.induce([page(12_000, 0), page(12_000, 1)])
+    start = time.perf_counter()
+    got = html_wrapper.main_text(page(12_000, 2), template)
+    assert len(page(12_000, 2)) > 600_000 and got.count("\n\n") == 23_999 and time.perf_counter() - start < 6
+    many = "".join(f"<x-{'abcdefghij'[i % 10]}{'klmnopqrst'[i // 10 % 10]}{i}>w{i}</x-{'abcdefghij'[i % 10]}{'klmnopqrst'[i // 10 % 10]}{i}>" for i in range(20_000))
+    start = time.perf_counter()
+    html_wrapper.induce([many, many + "<p>x</p>"])
+    assert time.perf_counter() - start < 6
+
+
+class Blocks(html.parser.HTMLParser):
+    """Texts of block elements with the path of tags and classes to them; well-formed pages only."""
+
+    def __init__(self, page):
+        super().__init__(convert_charrefs=True)
+        self.path, self.found, self.words = [], [], []
+        self.feed(page)
+
+    def flush(self):
+        if text := " ".join("".join(self.words).split()):
+            self.found.append((tuple(self.path), text))
+        self.words = []
+
+    def handle_starttag(self, tag, attrs):
+        if tag == "br":
+            self.words.append(" ")
+        elif tag != "meta":
+            if tag not in ("b", "i", "a"):
+                self.flush()
+            self.path.append((tag, dict(attrs).get("class", "")))
+
+    def handle_endtag(self, tag):
+        if tag not in ("b", "i", "a"):
+            self.flush()
+        self.path.pop()
+
+    def handle_data(self, data):
+        self.words.append(data)
+
+
+def brute_texts(pages):
+    """Main texts of one host's pages: what is not on all pages that have the path, and not in furniture by tag or class."""
+    seen = [Blocks(p).found for p in pages]
+    out = []
+    for mine in seen:
+        keep = []
+        for path, text in mine:
+            on = [x for x in seen if any(p == path for p, _ in x)]
+            constant = all((path, text) in x for x in on) and len({pages[i] for i, x in enumerate(seen) if x in on}) > 1
+            if not constant and not any(t in ("head", "nav", "footer", "aside", "script", "style", "title") or c in ("ad", "comments") for t, c in path):
+                keep.append(text)
+        out.append("\n\n".join(keep))
+    return out
+
+
+def test_wrappers_equal_brute_force(spark):
+    rng = random.Random(4)
+    pages = []
+    for i in range(14):
+        body = "".join(f"<p>{rng.choice(['Shared line of the site', f'Own line {i} {k}', f'Line {k} with <b>bold {i}</b> words'])}</p>" for k in range(6))
+        extra = "<section class=more><h2>Read on</h2><p>Always the same</p><p>More {i}</p></section>".replace("{i}", str(i)) if i % 3 else ""
+        pages.append(f"<html><head><title>t{i}</title></head><body><nav><a>n</a></nav><div class=lead>Lead {i % 5}</div><div class=ad>buy {i}</div><article><h1>Title {i}</h1>{body}<p>End note of all</p></article>{extra}<div class=legal>All rights</div><footer>f</footer></body></html>")
+    got = extracted(spark, pages)
+    assert [got[i] for i in range(len(pages))] == brute_texts(pages)
+
+
 def extracted(spark, pages):
     d = spark.createDataFrame([(i, "http://h.example/x", p) for i, p in enumerate(pages)], "page_id bigint, url string, html string")
     return {r.page_id: r.text for r in html_wrapper.extract(d).collect()}
