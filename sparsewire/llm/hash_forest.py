@@ -1,13 +1,14 @@
 """Approximate nearest neighbours by a forest of hash prefixes.
 
-Every tree is a sorted array of long hash strings (64 random-hyperplane bits). A query descends each tree to its
-longest-prefix match, which may be of a different length in each, and then ascends all trees together, one bit at a
-time, until the vectors under its prefixes are enough candidates. Candidates are ranked by their exact cosine.
+Every tree is a sorted array of long hash strings: 64 of a pool of random-hyperplane bits, in an order of its own. A
+query descends each tree to its longest-prefix match, which may be of a different length in each, and then ascends
+all trees together, one bit at a time, until enough rows are met under its prefixes. Rows are tallied by the trees
+that met them, since a near row shares prefixes with the query in far more trees than a chance one; those of most
+trees are the candidates, ranked by their exact cosine.
 
 Vectors are dealt to shards of bounded size, each with a forest of its own over all its vectors; the query set goes
 to every shard and the best of all shards are kept. Equal vectors are one entry with their smallest ids, so a vector
-that fills a third of the table costs one entry. The number of candidates is a share of a shard: nearly random
-vectors, where the fifth neighbour is hardly nearer than the hundredth, need a large one to find nine of ten.
+that fills a third of the table costs one entry. The number of candidates is a share of a shard.
 """
 
 from __future__ import annotations
@@ -21,10 +22,10 @@ from pyspark.sql import functions as F
 
 from .common import shuffle_partitions, table
 
-TREES, BITS, SEED = 64, 64, 29
-SHARE = 0.65
-LEAST_CANDIDATES = 64
-SHARD_ROWS, LEAST_SHARD_ROWS = 1 << 16, 512
+TREES, BITS, POOL, SEED = 256, 64, 512, 29
+#: Candidates as a share of a shard, and at least so many; rows met in all trees for each candidate.
+SHARE, LEAST_CANDIDATES, MET = 0.08, 256, 50
+SHARD_ROWS, LEAST_SHARD_ROWS = 1 << 15, 1 << 13
 
 
 class Forest:
@@ -32,15 +33,22 @@ class Forest:
 
     def __init__(self, x: np.ndarray, trees: int = TREES, seed: int = SEED) -> None:
         rng = np.random.default_rng(seed)
-        self.x, self.planes = x, [rng.standard_normal((x.shape[1], BITS)) for _ in range(trees)]
+        self.n, self.planes = len(x), rng.standard_normal((x.shape[1], POOL))
+        self.chosen = [rng.permutation(POOL)[:BITS] for _ in range(trees)]
         self.order, self.strings = [], []
-        for codes in self.hash(x):
+        bits = x @ self.planes > 0
+        for t in range(trees):
+            codes = self._tree(bits, t)
             order = np.argsort(codes, kind="stable")
-            self.order.append(order)
+            self.order.append(order.astype(np.int32))
             self.strings.append(codes[order])
 
+    def _tree(self, bits: np.ndarray, t: int) -> np.ndarray:
+        return np.ascontiguousarray(np.packbits(bits[:, self.chosen[t]], axis=1)).view(">u8").ravel().astype(np.uint64)
+
     def hash(self, x: np.ndarray) -> list[np.ndarray]:
-        return [np.packbits(x @ p > 0, axis=1).view(">u8").ravel().astype(np.uint64) for p in self.planes]
+        bits = x @ self.planes > 0
+        return [self._tree(bits, t) for t in range(len(self.chosen))]
 
     @staticmethod
     def _common(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -53,36 +61,45 @@ class Forest:
         return out + (x == 0) * (out == 63)
 
     def candidates(self, queries: np.ndarray, wanted: int) -> list[np.ndarray]:
-        """For each query the rows under its prefixes at the deepest common level that gives wanted rows, or all."""
-        n, codes = len(self.x), self.hash(queries)
+        """For each query the rows that most trees have under its prefixes, at the deepest common level where the trees
+        meet MET rows for each wanted one; rows of equal tally come together, so there may be more than wanted."""
+        n, codes = self.n, self.hash(queries)
+        wanted = min(wanted, n)
         longest = np.zeros((len(codes), len(queries)), np.int64)
         for t, (c, s) in enumerate(zip(codes, self.strings, strict=True)):
             at = np.searchsorted(s, c)
             longest[t] = np.maximum(self._common(s[np.minimum(at, n - 1)], c), self._common(s[np.maximum(at - 1, 0)], c))
-        level = int(longest.max(initial=0))
-        found: list[np.ndarray | None] = [None] * len(queries)
-        open_ = np.arange(len(queries))
+        found: list[np.ndarray] = [np.arange(n)] * len(queries)
+        if wanted == n:
+            return found
+
+        def ranges(some: np.ndarray, level: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            """Where the rows under each query's prefix of its level begin and end in each tree."""
+            low = np.where(level > 0, (np.uint64(1) << (64 - np.maximum(level, 1)).astype(np.uint64)) - np.uint64(1), np.uint64(2**64 - 1))
+            lo = np.stack([np.searchsorted(s, c[some] & ~low, "left") for c, s in zip(codes, self.strings, strict=True)])
+            hi = np.stack([np.searchsorted(s, c[some] | low, "right") for c, s in zip(codes, self.strings, strict=True)])
+            return lo, hi
+
+        # rows met only grow on the way up, so the level to stop at is found by halving
+        up, down = np.zeros(len(queries), np.int64), longest.max(axis=0)
+        every = np.arange(len(queries))
+        while (up < down).any():
+            mid = (up + down + 1) // 2
+            lo, hi = ranges(every, mid)
+            enough = (hi - lo).sum(axis=0) >= min(MET * wanted, n * len(codes))
+            up, down = np.where(enough, mid, up), np.where(enough, down, mid - 1)
+        open_ = every[up > 0]
         while len(open_):
-            if level == 0:
-                for q in open_:
-                    found[q] = np.arange(n)
-                break
-            low = np.uint64((1 << (64 - level)) - 1)
-            lo = np.stack([np.searchsorted(s, c[open_] & ~low, "left") for c, s in zip(codes, self.strings, strict=True)])
-            hi = np.stack([np.searchsorted(s, c[open_] | low, "right") for c, s in zip(codes, self.strings, strict=True)])
-            left = []
-            for k in range(len(open_)):
-                if (hi[:, k] - lo[:, k]).sum() >= min(wanted, n):
-                    seen = np.zeros(n, bool)
-                    for order, a, b in zip(self.order, lo[:, k], hi[:, k], strict=True):
-                        seen[order[a:b]] = True
-                    rows = np.flatnonzero(seen)
-                    if len(rows) >= min(wanted, n):
-                        found[open_[k]] = rows
-                        continue
-                left.append(open_[k])
-            open_ = np.array(left, np.int64)
-            level -= 1
+            lo, hi = ranges(open_, up[open_])
+            for k, q in enumerate(open_.tolist()):
+                met = np.concatenate([order[a:b] for order, a, b in zip(self.order, lo[:, k].tolist(), hi[:, k].tolist(), strict=True)])
+                tally = np.bincount(met, minlength=n)
+                least = np.partition(tally, n - wanted)[n - wanted]
+                # too few different rows: one level further up
+                up[q] = 0 if least else up[q] - 1
+                if least:
+                    found[q] = np.flatnonzero(tally >= least)
+            open_ = open_[up[open_] > 0]
         return found
 
 
