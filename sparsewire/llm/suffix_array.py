@@ -1,7 +1,12 @@
 """Suffix arrays by induced sorting, and permuted common prefixes, on numpy arrays.
 
-Induction goes bucket by bucket: all suffixes that a bucket's present members induce are placed at once, in the order
-in which a scan would place them; a bucket is visited again while it induces into itself.
+Induction goes bucket by bucket. A bucket's members that induce into the bucket itself are those with a run of its
+letter before them: they are laid out at once, those one letter away first, then those two letters away, and so on,
+which is the order in which a scan would place them. Then all members induce into other buckets at once. So a bucket
+takes a few array operations whatever runs it has.
+
+The string of names is ordered by the same method where it has few different names, as repetitive texts have. Else
+each bucket would hold a few members only, and names are joined two by two until all differ.
 """
 
 from __future__ import annotations
@@ -21,6 +26,10 @@ def suffix_types(t: np.ndarray) -> np.ndarray:
     return (t[at] < t[after]) | (at == n - 1)
 
 
+#: Most different names for which the reduced string is ordered by induction.
+FEW_NAMES = 2048
+
+
 def _scatter(sa: np.ndarray, edge: np.ndarray, p: np.ndarray, ch: np.ndarray, step: int) -> None:
     """Place p at the edges of the buckets of ch, in order, outwards by step."""
     order = np.argsort(ch, kind="stable")
@@ -31,7 +40,27 @@ def _scatter(sa: np.ndarray, edge: np.ndarray, p: np.ndarray, ch: np.ndarray, st
     edge += step * count
 
 
-def induce(t: np.ndarray, small: np.ndarray, seeds: np.ndarray, count: np.ndarray) -> np.ndarray:
+def runs_before(t: np.ndarray) -> np.ndarray:
+    """For each position, how many letters right before it equal its own."""
+    at = np.arange(len(t))
+    new = np.ones(len(t), bool)
+    np.not_equal(t[1:], t[:-1], out=new[1:])
+    return at - np.maximum.accumulate(np.where(new, at, 0))
+
+
+def _chain(x: np.ndarray, before: np.ndarray) -> np.ndarray:
+    """What the members x, in order, induce into their own bucket: x - 1, x - 2, ... along each run."""
+    n = before[x]
+    total = int(n.sum())
+    if not total:
+        return x[:0]
+    member = np.repeat(np.arange(len(x)), n)
+    k = np.arange(total) - np.repeat(np.cumsum(n) - n, n) + 1
+    order = np.argsort(k, kind="stable") if len(x) > 1 else slice(None)
+    return (x[member] - k)[order]
+
+
+def induce(t: np.ndarray, small: np.ndarray, seeds: np.ndarray, count: np.ndarray, before: np.ndarray) -> np.ndarray:
     """All suffixes from leftmost-smaller ones given in order."""
     n, letters = len(t), np.flatnonzero(count)
     end = np.cumsum(count)
@@ -41,46 +70,46 @@ def induce(t: np.ndarray, small: np.ndarray, seeds: np.ndarray, count: np.ndarra
     seed_end = np.cumsum(np.bincount(t[seeds], minlength=len(count)))
     seed_start = seed_end - np.bincount(t[seeds], minlength=len(count))
     for c in letters:
-        lo = start[c]
-        while lo < head[c]:
-            x, lo = sa[lo : head[c]], head[c]
-            p = x[x > 0] - 1
-            p = p[~small[p]]
-            if len(p):
-                _scatter(sa, head, p, t[p], 1)
-        x = seeds[seed_start[c] : seed_end[c]]
+        own = _chain(sa[start[c] : head[c]], before)
+        sa[head[c] : head[c] + len(own)] = own
+        head[c] += len(own)
+        x = np.concatenate((sa[start[c] : head[c]], seeds[seed_start[c] : seed_end[c]]))
         p = x[x > 0] - 1
+        p = p[~small[p] & (t[p] != c)]
         if len(p):
             _scatter(sa, head, p, t[p], 1)
     tail = end.copy()
     sa[0], tail[0] = n - 1, 0
     for c in letters[::-1]:
-        hi = end[c]
-        while tail[c] < hi:
-            x, hi = sa[tail[c] : hi][::-1], tail[c]
-            p = x[x > 0] - 1
-            p = p[small[p]]
-            if len(p):
-                _scatter(sa, tail, p, t[p], -1)
-        x = sa[start[c] : head[c]][::-1]
+        own = _chain(sa[tail[c] : end[c]][::-1], before)
+        sa[tail[c] - len(own) : tail[c]] = own[::-1]
+        tail[c] -= len(own)
+        x = np.concatenate((sa[tail[c] : end[c]][::-1], sa[start[c] : head[c]][::-1])) if c else sa[:1]
         p = x[x > 0] - 1
-        p = p[small[p]]
+        p = p[small[p] & (t[p] != c)]
         if len(p):
             _scatter(sa, tail, p, t[p], -1)
     return sa
 
 
+#: Letters compared for all pairs at once; what is still equal then is compared pair by pair.
+TOGETHER = 64
+
+
 def _names(t: np.ndarray, ordered: np.ndarray, length: np.ndarray) -> np.ndarray:
     """Names of leftmost-smaller substrings in sorted order: equal ones share a name."""
     a, b, la, lb = ordered[:-1], ordered[1:], length[:-1], length[1:]
     new = la != lb
     left = np.flatnonzero(~new)
-    k = 0
-    while len(left):
+    for k in range(TOGETHER):
+        if not len(left):
+            break
         same = t[a[left] + k] == t[b[left] + k]
         new[left[~same]] = True
-        k += 1
-        left = left[same & (la[left] > k)]
+        left = left[same & (la[left] > k + 1)]
+    for i in left.tolist():
+        x, y, n = int(a[i]), int(b[i]), int(la[i])
+        new[i] = not np.array_equal(t[x : x + n], t[y : y + n])
     return np.concatenate(([0], np.cumsum(new)))
 
 
@@ -104,13 +133,13 @@ def suffix_array(t: np.ndarray) -> np.ndarray:
     t = t.astype(np.uint16)
     if len(t) == 1:
         return np.zeros(1, np.int64)
-    count = np.bincount(t)
+    count, before = np.bincount(t), runs_before(t)
     small = suffix_types(t)
     leftmost = small.copy()
     leftmost[0] = False
     leftmost[1:] &= ~small[:-1]
     places = np.flatnonzero(leftmost)
-    first = induce(t, small, places[np.argsort(t[places], kind="stable")], count)
+    first = induce(t, small, places[np.argsort(t[places], kind="stable")], count, before)
     ordered = first[leftmost[first]]
     length = np.ones(len(t), np.int64)
     length[places[:-1]] = np.diff(places) + 1
@@ -118,8 +147,24 @@ def suffix_array(t: np.ndarray) -> np.ndarray:
     if names[-1] < len(places) - 1:
         named = np.empty(len(t), np.int64)
         named[ordered] = names
-        ordered = places[_order_names(named[places])]
-    return induce(t, small, ordered, count)
+        # the last place is the end mark, whose name 0 no other place has
+        reduced = named[places]
+        ordered = places[suffix_array(reduced) if names[-1] < FEW_NAMES else _order_names(reduced)]
+    return induce(t, small, ordered, count, before)
+
+
+def _common(t: np.ndarray, a: int, b: int) -> int:
+    """Letters that the suffixes at a and b have in common."""
+    most, known, step = len(t) - max(a, b), 0, 4 * TOGETHER
+    while known < most:
+        n = min(step, most - known)
+        x, y = t[a + known : a + known + n], t[b + known : b + known + n]
+        differ = x != y
+        at = int(differ.argmax())
+        if differ[at]:
+            return known + at
+        known, step = known + n, 2 * step
+    return known
 
 
 def permuted_common_prefixes(t: np.ndarray, sa: np.ndarray) -> np.ndarray:
@@ -143,7 +188,9 @@ def permuted_common_prefixes(t: np.ndarray, sa: np.ndarray) -> np.ndarray:
     common = np.zeros(len(where), np.int64)
     left = np.flatnonzero(j >= 0)
     a, b = i[left], j[left]
-    while len(left):
+    for _ in range(TOGETHER):
+        if not len(left):
+            break
         same = (packed[a] == packed[b]) & (np.maximum(a, b) + 4 < n)
         common[left[same]] += 4
         done = ~same
@@ -153,6 +200,8 @@ def permuted_common_prefixes(t: np.ndarray, sa: np.ndarray) -> np.ndarray:
             x, y, z = x[ok] + 1, y[ok] + 1, z[ok]
             common[z] += 1
         a, b, left = a[same] + 4, b[same] + 4, left[same]
+    for k in left.tolist():
+        common[k] = _common(t, int(i[k]), int(j[k]))
     last = np.maximum.accumulate(np.where(fresh, np.arange(n), 0))
     at = np.cumsum(fresh) - 1
     return np.maximum(common[np.maximum(at, 0)] - (np.arange(n) - last), 0)
