@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from .common import any_names, bounded_batches, give_back, table
 
 #: Pieces that a worker remembers before it starts anew; bounds its memory, changes no result.
-REMEMBERED = 100_000
+REMEMBERED = 60_000
 #: Longer pieces are encoded each time they occur.
 LONGEST_REMEMBERED = 64
 CUT = re.compile(r"(?<=\S) (?=\S)")
@@ -228,7 +228,7 @@ def codec(path: str, pattern: str | None = None) -> Codec:
     return Codec(path, pattern)
 
 
-def _portions(b: pa.RecordBatch, col: int, most: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def _portions(b: pa.RecordBatch, col: int, most: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """Slices of about that many bytes of text, of one row at least."""
     sizes = pc.fill_null(pc.binary_length(b.column(col)), 0).to_numpy(zero_copy_only=False)
     groups = np.cumsum(sizes) // most

@@ -100,7 +100,7 @@ def block_count(spark: SparkSession, texts: DataFrame, text_col: str, block_byte
 
 
 #: Most bytes of an Arrow batch of texts, where Spark can bound it.
-BATCH_BYTES = 8 << 20
+BATCH_BYTES = 4 << 20
 #: A side of a join is broadcast only if it has been written and found no larger than this.
 BROADCAST_BYTES = 32 << 20
 
