@@ -48,3 +48,27 @@ class MinMaxSketch:
 
     def query(self, keys: np.ndarray) -> np.ndarray:
         return np.max([self.cells[r][self._cols(keys, r)] for r in range(len(self.cells))], axis=0)
+
+
+class GroupedMinMaxSketch:
+    """A sketch for each group of neighbouring bucket numbers, so that a query errs within its group only."""
+
+    def __init__(self, buckets: int, groups: int, rows: int, cols: int, seed: int = 0) -> None:
+        self.size = -(-buckets // groups)
+        self.sketches = [MinMaxSketch(rows, max(1, cols // groups), seed) for _ in range(groups)]
+
+    def group(self, ids: np.ndarray) -> np.ndarray:
+        """Sent along with the keys: a query needs it."""
+        return ids // self.size
+
+    def insert(self, keys: np.ndarray, ids: np.ndarray) -> None:
+        for g, s in enumerate(self.sketches):
+            mine = self.group(ids) == g
+            s.insert(keys[mine], ids[mine])
+
+    def query(self, keys: np.ndarray, groups: np.ndarray) -> np.ndarray:
+        out = np.zeros(len(keys), np.int64)
+        for g, s in enumerate(self.sketches):
+            if (groups == g).any():
+                out[groups == g] = s.query(keys[groups == g])
+        return out

@@ -11,6 +11,8 @@ import math
 from abc import ABC, abstractmethod
 from dataclasses import dataclass
 
+from functools import lru_cache
+
 import numpy as np
 
 from ..functions.hashing import hash_array
@@ -196,22 +198,49 @@ def canonical(lengths: dict[int, int]) -> dict[int, str]:
 POLICIES = ("naive", "p0", "p1", "p2", "left", "middle", "right")
 
 
+#: Most bytes of a table of hashes; a larger domain is hashed each time.
+TABLE_BYTES = 1 << 30
+
+
+@lru_cache(maxsize=4)
+def hash_table(d: int, k: int, seed: int, block: int) -> np.ndarray | None:
+    """The k hashes of every index of [0, d), four bytes each, made once for a worker; none if it would be too large.
+
+    Filters of any number of bits share it, since a position is the hash modulo that number.
+    """
+    if 4 * d * k > TABLE_BYTES:
+        return None
+    return np.stack([hash_array(np.arange(d), j, seed, "bloom", block).astype(np.uint32) for j in range(k)])
+
+
 class BloomKeys(IndexCodec):
-    """A filter of the keys; the receiver scans [0, d) and applies the same policy from the filter and seed alone."""
+    """A filter of the keys; the receiver scans [0, d) and applies the same policy from the filter and seed alone.
+
+    lookup: True reads hashes from a table of the whole domain instead of computing them; an array is a table of
+    one's own, a row for each hash function.
+    """
 
-    def __init__(self, fpr: float, policy: str = "p0", seed: int = 0) -> None:
+    def __init__(self, fpr: float, policy: str = "p0", seed: int = 0, lookup: bool | np.ndarray = False) -> None:
         if policy not in POLICIES:
             raise ValueError(policy)
-        self.fpr, self.policy, self.seed = fpr, policy, seed
+        self.fpr, self.policy, self.seed, self.lookup = fpr, policy, seed, lookup
         self.name = f"bloom_{policy}({fpr:g})"
 
-    def positions(self, keys: np.ndarray, m: int, k: int, block: int) -> np.ndarray:
-        return np.stack([hash_array(keys, j, self.seed, "bloom", block) % m for j in range(k)])
+    def _table(self, d: int, k: int, block: int) -> np.ndarray | None:
+        if isinstance(self.lookup, np.ndarray):
+            return self.lookup
+        return hash_table(d, k, self.seed, block % 65_536) if self.lookup else None
+
+    def hashes(self, keys: np.ndarray, j: int, block: int, table: np.ndarray | None = None) -> np.ndarray:
+        return hash_array(keys, j, self.seed, "bloom", block) if table is None else table[j].take(keys).astype(np.int64)
+
+    def positions(self, keys: np.ndarray, m: int, k: int, block: int, table: np.ndarray | None = None) -> np.ndarray:
+        return np.stack([self.hashes(keys, j, block, table) % m for j in range(k)])
 
     def _positives(self, flags: np.ndarray, d: int, k: int, block: int) -> np.ndarray:
-        left = np.arange(d)
+        left, table = np.arange(d), self._table(d, k, block)
         for j in range(k):
-            left = left[flags[hash_array(left, j, self.seed, "bloom", block) % len(flags)] == 1]
+            left = left[flags[self.hashes(left, j, block, table) % len(flags)] == 1]
         return left
 
     def encode(self, keys, d, block=0):
@@ -219,7 +248,7 @@ class BloomKeys(IndexCodec):
             return Encoded(b"", 0, keys)
         m, k = bloom_size(len(keys), self.fpr)
         flags = np.zeros(m, np.uint8)
-        flags[self.positions(keys, m, k, block).ravel()] = 1
+        flags[self.positions(keys, m, k, block, self._table(d, k, block)).ravel()] = 1
         sent = keys if self.policy == "naive" else self._choose(flags, d, len(keys), k, block)
         return Encoded(np.packbits(flags).tobytes(), m, sent, 256)
 
@@ -242,7 +271,7 @@ class BloomKeys(IndexCodec):
             return p[skip : skip + r]
         if self.policy == "p1":
             return np.sort(p[np.lexsort((p, hash_array(p, 0, self.seed, "p1", block)))][:r])
-        return np.sort(draw_by_conflicts(p, self.positions(p, len(flags), k, block), hash_array(p, 0, self.seed, "p2", block), r))
+        return np.sort(draw_by_conflicts(p, self.positions(p, len(flags), k, block, self._table(d, k, block)), hash_array(p, 0, self.seed, "p2", block), r))
 
 
 def draw_by_conflicts(p: np.ndarray, positions: np.ndarray, priority: np.ndarray, r: int) -> np.ndarray:

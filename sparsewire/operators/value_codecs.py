@@ -202,17 +202,26 @@ class FitDoubleExp(ValueCodec):
 
 
 class QuantileBuckets(ValueCodec):
-    """Buckets of equal count over the sorted values; a value becomes its bucket's mean."""
+    """Buckets of equal count over the sorted values; a value becomes its bucket's mean.
 
-    def __init__(self, q: int = 64, huffman: bool = False) -> None:
-        self.q, self.huffman = q, huffman
-        self.name = f"quantile{'_huffman' if huffman else ''}({q})"
+    split_sign: half of the buckets for each sign, so no bucket holds both and no value changes its sign.
+    """
+
+    def __init__(self, q: int = 64, huffman: bool = False, split_sign: bool = False) -> None:
+        self.q, self.huffman, self.split_sign = q, huffman, split_sign
+        self.name = f"quantile{'_huffman' if huffman else ''}{'_signs' if split_sign else ''}({q})"
+
+    def _sizes(self, values: np.ndarray) -> np.ndarray:
+        parts = [(len(values), self.q)]
+        if self.split_sign:
+            below = int((values < 0).sum())
+            parts = [(below, self.q // 2), (len(values) - below, self.q - self.q // 2)]
+        return np.concatenate([n // q + (np.arange(q) < n % q) for n, q in parts]).astype(np.int64)
 
     def encode(self, values):
         n = len(values)
         rank = np.argsort(values, kind="stable")
-        size, more = divmod(n, self.q)
-        sizes = np.array([size + (k < more) for k in range(self.q)])
+        sizes = self._sizes(values)
         bucket = np.empty(n, np.int64)
         bucket[rank] = np.repeat(np.arange(self.q), sizes)
         sums = np.bincount(bucket, values, self.q)

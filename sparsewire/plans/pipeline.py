@@ -157,8 +157,8 @@ def sketchml(buckets: int = 64) -> Codec:
     return Codec(ix.DeltaKeys(), vc.QuantileBuckets(buckets))
 
 
-def skcompress(bits: int = 7) -> Codec:
-    return Codec(ix.DeltaHuffmanKeys(), vc.QuantileBuckets(2**bits, huffman=True), reorder="none")
+def skcompress(bits: int = 7, split_sign: bool = False) -> Codec:
+    return Codec(ix.DeltaHuffmanKeys(), vc.QuantileBuckets(2**bits, huffman=True, split_sign=split_sign), reorder="none")
 
 
 def catalogue(fpr: float = 0.001, seed: int = 0) -> dict[str, Codec]:

@@ -15,11 +15,12 @@ from ..operators import measures as ms
 from ..operators import relational as rl
 from ..operators import sparsify as sp
 from ..operators import theory as th
-from ..operators.index_codecs import BloomKeys, DeltaHuffmanKeys, RunLength, draw_by_conflicts, runs_of
+from ..operators.index_codecs import BloomKeys, DeltaHuffmanKeys, RunLength, draw_by_conflicts, hash_table, runs_of
 from ..operators.value_codecs import FitDoubleExp, FitPoly, HalfValues, Qsgd, QuantileBuckets
 from ..plans.network import comm_bytes, iteration_time
 from ..plans.pipeline import Codec, ThreeLC, catalogue, sketchml, skcompress
 from ..sources import tensors as ts
+from . import sql as q
 from . import train as tr
 from .queries import FPR, SEED, conv_volumes, dim, query, small, with_meta
 
@@ -49,16 +50,15 @@ def runs_and_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("e03_membership", "SELECT * FROM (VALUES ('member', 1), ('other', 0), ('false positive', 1)) v(probe, verdict)")
 def membership(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Twelve bits, three hashes, three keys at positions set by hand."""
-    keys = {"x": (1, 5, 9), "y": (2, 5, 11), "z": (0, 4, 9)}
-    flags = np.zeros(12, int)
-    for p in keys.values():
-        flags[list(p)] = 1
-    probes = {"member": keys["x"], "other": (3, 5, 9), "false positive": (2, 4, 9)}
-    return spark.createDataFrame([(n, int(flags[list(p)].all())) for n, p in probes.items()], "probe string, verdict int")
+    """Twelve bits, three hashes, three keys at positions set by hand; the filter codec tells what it holds."""
+    by_hand = np.array([(1, 5, 9), (2, 5, 11), (0, 4, 9), (3, 5, 9), (2, 4, 9)]).T
+    codec = BloomKeys(0.15, "p0", lookup=by_hand)
+    assert bl.bloom_size(3, 0.15) == (12, 3)
+    held = set(codec.encode(np.arange(3), 5).sent.tolist())
+    return spark.createDataFrame([(n, int(k in held)) for n, k in (("member", 0), ("other", 3), ("false positive", 4))], "probe string, verdict int")
 
 
-@query("e04_conflict_draw")
+@query("e04_conflict_draw", "SELECT * FROM (VALUES (1, 0), (2, 2), (3, 1)) v(draw, item)")
 def conflict_draw(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Four positives with three positions each, eight sets; the singletons' members are drawn first."""
     positions = np.array([[0, 2, 4, 2], [1, 3, 5, 4], [6, 7, 1, 3]])
@@ -66,15 +66,23 @@ def conflict_draw(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(k + 1, int(x)) for k, x in enumerate(drawn)], "draw int, item int")
 
 
-@query("e05_naive_shift", "SELECT * FROM (VALUES (2, 10, 10), (4, 0, 20), (5, 20, 30), (8, 30, 40), (9, 40, 50), (12, 50, 0)) v(idx, truth, rebuilt)")
+@query("e05_naive_shift", "SELECT CAST(idx AS BIGINT) AS idx, truth, rebuilt FROM (VALUES (2, 10, 10), (4, 0, 20), (5, 20, 30), (8, 30, 40), (9, 40, 50), (12, 50, 0)) v(idx, truth, rebuilt)")
 def naive_shift(spark: SparkSession, sf_dir: str) -> DataFrame:
     """One false positive (4) shifts the values behind it; the last true key gets none."""
-    true = {2: 10, 5: 20, 8: 30, 9: 40, 12: 50}
-    rebuilt = dict(zip(sorted([*true, 4]), true.values(), strict=False))
-    return spark.createDataFrame([(i, true.get(i, 0), rebuilt.get(i, 0)) for i in sorted([*true, 4])], "idx int, truth int, rebuilt int")
-
-
-@query("e06_random_policy")
+    true = spark.createDataFrame([(0, 2, 10), (0, 5, 20), (0, 8, 30), (0, 9, 40), (0, 12, 50)], "tensor_id bigint, idx bigint, value int")
+    held = true.select("tensor_id", "idx").union(spark.createDataFrame([(0, 4)], "tensor_id bigint, idx bigint"))
+    p = held.select(F.lit(0.1).alias("fpr"), "tensor_id", F.lit(0).cast("bigint").alias("block"), "idx")
+    rebuilt = bl.decoded_naive(p, true).select("idx", F.col("value").alias("rebuilt"))
+    out = held.select("idx").join(true.select("idx", F.col("value").alias("truth")), "idx", "left").join(rebuilt, "idx", "left")
+    return out.select("idx", F.coalesce("truth", F.lit(0)).alias("truth"), F.coalesce("rebuilt", F.lit(0)).alias("rebuilt"))
+
+
+@query(
+    "e06_random_policy",
+    f"WITH {q.filter_ctes(q.small('supp_part'), q.DIMENSIONS['supp_part'], 0.05, SEED)}, c AS ({q.chosen('p1', SEED)}), k AS (SELECT c.tensor_id, count(t.idx) AS k1, count(*) - count(t.idx) AS k2 FROM c LEFT JOIN t ON t.tensor_id = c.tensor_id AND t.idx = c.idx GROUP BY 1), "
+    "e AS (SELECT t.tensor_id, sum(CASE WHEN c.idx IS NULL THEN value * value ELSE 0 END) / CAST(sum(value * value) AS DOUBLE) AS error FROM t LEFT JOIN c ON t.tensor_id = c.tensor_id AND t.idx = c.idx GROUP BY 1) "
+    "SELECT tensor_id, k1, k2, round(error, 6) AS error, round(k2 / CAST(k1 + k2 AS DOUBLE), 6) AS expected FROM k JOIN e USING (tensor_id)",
+)
 def random_policy(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Counts of kept true keys and the expected error of the rest, against the error of one draw."""
     coo, meta = with_meta(spark, sf_dir, "supp_part")
@@ -97,6 +105,9 @@ def _policy_rows(coo: DataFrame, meta: DataFrame, g: DataFrame | None, rates: li
     return rows
 
 
+SWEEP = [1e-4, 1e-3, 1e-2, 1e-1]
+
+
 @query("e07_rate_sweep")
 def rate_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Volume and error by policy, sparsifier and rate on the dense stand-in, values fetched from the original."""
@@ -108,30 +119,57 @@ def rate_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "sparsifier string, policy string, fpr double, rel_volume double, volume_vs_sparse double, error double")
 
 
-def _softmax_runs(spark: SparkSession, sf_dir: str, codecs: dict[str, tuple], epochs: int) -> DataFrame:
-    return tr.as_frame(spark, {n: tr.train_softmax(spark, sf_dir, c, ratio, epochs=epochs, memory=m) for n, (c, ratio, m) in codecs.items()})
+@query("e07b_rate_sweep_accuracy")
+def rate_sweep_accuracy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Balanced accuracy of the text classifier by policy, sparsifier and rate, beside the bits a worker sends."""
+    methods = {"none": tr.Method(), **{f"{s}/{p}/{f:g}": tr.Method(Codec(BloomKeys(f, p)), 0.05, True, s) for s in ("top_r", "random_r") for p in ("p0", "p1", "p2") for f in SWEEP}}
+    return tr.train_text(spark, sf_dir, methods, epochs=4)
 
 
 @query("e08_policy_convergence")
 def policy_convergence(spark: SparkSession, sf_dir: str) -> DataFrame:
-    bloom = {f"bloom_{p}": (Codec(BloomKeys(0.001, p)), 0.1, False) for p in ("naive", "p0", "p1", "p2")}
-    return _softmax_runs(spark, sf_dir, {"none": (None, None, False), "top_r": (Codec(), 0.1, False), **bloom}, 8)
+    bloom = {f"bloom_{p}": tr.Method(Codec(BloomKeys(0.001, p)), 0.1, False) for p in ("naive", "p0", "p1", "p2")}
+    return tr.train_softmax(spark, sf_dir, {"none": tr.Method(memory=False), "top_r": tr.Method(Codec(), 0.1, False), **bloom}, epochs=8)
 
 
 @query("e08b_policy_convergence_text")
 def policy_convergence_text(spark: SparkSession, sf_dir: str) -> DataFrame:
-    codecs = {"none": None, "bloom_naive": Codec(BloomKeys(0.001, "naive")), "bloom_p2": Codec(BloomKeys(0.001, "p2"))}
-    return tr.as_frame(spark, {n: tr.train_text(spark, sf_dir, c, None if c is None else 0.05, epochs=4, memory=False) for n, c in codecs.items()})
+    bloom = {f"bloom_{p}": tr.Method(Codec(BloomKeys(0.001, p)), 0.05, False) for p in ("naive", "p0", "p1", "p2")}
+    return tr.train_text(spark, sf_dir, {"none": tr.Method(memory=False), "top_r": tr.Method(Codec(), 0.05, False), **bloom}, epochs=6)
 
 
 @query("e09_fit_convergence")
 def fit_convergence(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _softmax_runs(spark, sf_dir, {"none": (None, None, False), "top_r": (Codec(), 0.1, False), "fit_poly": (Codec(None, FitPoly()), 0.1, False), "fit_dexp": (Codec(None, FitDoubleExp()), 0.1, False)}, 8)
+    methods = {"none": tr.Method(memory=False), "top_r": tr.Method(Codec(), 0.1, False), "fit_poly": tr.Method(Codec(None, FitPoly()), 0.1, False), "fit_dexp": tr.Method(Codec(None, FitDoubleExp()), 0.1, False)}
+    return tr.train_softmax(spark, sf_dir, methods, epochs=8)
+
+
+@query("e09b_fit_convergence_text")
+def fit_convergence_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    methods = {"none": tr.Method(), "top_r": tr.Method(Codec(), 0.05), "fit_poly": tr.Method(Codec(None, FitPoly()), 0.05), "fit_dexp": tr.Method(Codec(None, FitDoubleExp()), 0.05)}
+    return tr.train_text(spark, sf_dir, methods, epochs=6)
+
+
+@query("q_train_softmax")
+def train_softmax(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The three optimizers' workload without compression, with plain pairs and with quantised values."""
+    return tr.train_softmax(spark, sf_dir, {"none": tr.Method(), "top_r": tr.Method(Codec(), 0.1), "qsgd": tr.Method(Codec(None, Qsgd()), 0.1)}, epochs=6, rate=1.0, optimizer="sgd_momentum")
+
+
+@query("q_train_text")
+def train_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tr.train_text(spark, sf_dir, {"none": tr.Method(), "top_r": tr.Method(Codec(), 0.05), "random_r": tr.Method(Codec(), 0.05, True, "random_r")}, epochs=6, optimizer="adam", rate=0.2)
+
+
+@query("q_train_recommender")
+def train_recommender(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return tr.train_recommender(spark, sf_dir, {"none": tr.Method(memory=False), "topr_pairs": tr.Method(Codec(), None, False)}, epochs=4)
 
 
 @query("e10_eight_pieces")
 def eight_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Eight chords' segments of one layer's sorted positive values, fitted with degree 5."""
+    # one layer, the first, is the experiment's input
     layer = ts.layers(spark, sf_dir).where("tensor_id = 0 AND value > 0")
     y = np.array([r.value for r in layer.orderBy(F.desc("value")).select("value").toLocalIterator()])
     ends = cv.segments(y, 8, 6)
@@ -141,9 +179,9 @@ def eight_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("e11_stand_alone")
 def stand_alone(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Volume and loss after six steps with memory, beside stand-alone compressors."""
-    codecs = {"none": (None, None), "top_r": (Codec(), 0.01), "bloom_p2": (Codec(BloomKeys(0.001, "p2")), 0.01), "fit_poly": (Codec(None, FitPoly()), 0.01), "3lc": (ThreeLC(), None), "sketchml": (sketchml(64), 0.01)}
-    return tr.as_frame(spark, {n: tr.train_text(spark, sf_dir, c, r, epochs=3) for n, (c, r) in codecs.items()})
+    """Volume, loss and accuracy of twelve steps with memory, beside stand-alone compressors."""
+    codecs = {"none": (None, None), "top_r": (Codec(), 0.01), "bloom_p0": (Codec(BloomKeys(0.001, "p0")), 0.01), "bloom_p2": (Codec(BloomKeys(0.001, "p2")), 0.01), "fit_poly": (Codec(None, FitPoly()), 0.01), "fit_dexp": (Codec(None, FitDoubleExp()), 0.01), "3lc": (ThreeLC(), None), "sketchml": (sketchml(64), 0.01), "skcompress": (skcompress(), 0.01), "skcompress_signs": (skcompress(7, True), 0.01)}
+    return tr.train_text(spark, sf_dir, {n: tr.Method(c, r) for n, (c, r) in codecs.items()}, epochs=12)
 
 
 def inherent_codecs() -> dict[str, Codec]:
@@ -163,7 +201,8 @@ def inherently_sparse(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("e12b_recommender_training")
 def recommender_training(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return tr.as_frame(spark, {"none": tr.train_recommender(spark, sf_dir, epochs=2), **{n: tr.train_recommender(spark, sf_dir, c, epochs=2) for n, c in inherent_codecs().items()}})
+    """Hit rate of the uncompressed run and of all three methods, by adam."""
+    return tr.train_recommender(spark, sf_dir, {"none": tr.Method(memory=False), **{n: tr.Method(c, None, False) for n, c in inherent_codecs().items()}}, epochs=5)
 
 
 @query("e13_convolution_volumes")
@@ -190,6 +229,16 @@ def codec_seconds(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "method string, enc_s double, dec_s double")
 
 
+@query("e14b_job_seconds")
+def job_seconds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of whole Spark jobs that encode and decode all of supp_part, for the methods that are compared by time."""
+    coo, meta = with_meta(spark, sf_dir, "supp_part")
+    coo, meta = coo.persist(), meta.persist()
+    coo.count(), meta.count()
+    codecs = {n: c for n, c in catalogue(0.001, SEED).items() if n in ("topr", "bloom_p0", "bloom_p2", "qsgd", "fit_poly", "fit_dexp", "sketchml", "skcompress", "3lc")} | {"bloom_p0(0.6)+qsgd": inherent_codecs()["bloom_p0(0.6)+qsgd(7,512)"]}
+    return spark.createDataFrame([(n, *map(float, ms.time_codec(c, coo, meta))) for n, c in codecs.items()], "method string, enc_s double, dec_s double")
+
+
 def accumulated(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sums of ten gradients on each of four workers, to which all rows are dealt by order."""
     steps = ts.nation_part(spark, sf_dir, "pmod(l_orderkey, 4) * 10 + pmod(l_orderkey div 4, 10)")
@@ -210,19 +259,23 @@ def iteration_breakdown(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = []
     for name, (codec, tensor) in plans.items():
         if codec is None:
-            size, codec_s = 4.0 * d, 0.0
+            size, half, codec_s = 4.0 * d, 2.0 * d, 0.0
         else:
             meta = ts.meta(tensor, d)
             start = time.perf_counter()
             held = codec.encode(tensor, meta).persist()
-            size = ms.volume_split(held).select(ms.all_bits().alias("b")).first()["b"] / 8 / 4
+            split = ms.volume_split(held).first()
+            size = sum(split[c] for c in ("bits_idx", "bits_val", "bits_map")) / 8 / 4
+            # raw values are halved; what codecs write of values has a precision of its own
+            raw = codec.value.name == "none"
+            half = size - (split["bits_val"] / 2 / 8 / 4 if raw else 0)
             codec.decode(held).write.format("noop").mode("overwrite").save()
             codec_s = (time.perf_counter() - start) / 4
             held.unpersist()
         for mbit in (100, 1000, 10_000):
-            for precision, share in (("fp32", 1.0), ("fp16", 0.5 if codec is None else 1.0)):
-                t = iteration_time(compute, codec_s, "allreduce" if codec is None else "allgather", 4, size * share, mbit * 1e6)
-                rows.append((mbit, precision, name, t["compute"], t["codec"], t["comm"], t["total"], comm_bytes("allgather", 4, size)))
+            for precision, sent in (("fp32", size), ("fp16", half)):
+                t = iteration_time(compute, codec_s, "allreduce" if codec is None else "allgather", 4, sent, mbit * 1e6)
+                rows.append((mbit, precision, name, t["compute"], t["codec"], t["comm"], t["total"], comm_bytes("allgather", 4, sent)))
     return spark.createDataFrame(rows, "mbit int, precision string, method string, compute double, codec double, comm double, total double, bytes double")
 
 
@@ -241,21 +294,73 @@ def every_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("e17_bounds")
 def bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Observed mean counts of positives against expectation, and chord splines of smooth curves against their bound."""
-    rows = []
+    """What is observed on all tensors of supp_part beside its bound, one row a lemma and kind.
+
+    observed and limit are sums over all tensors of the left and right side; worst is the largest quotient of the two in
+    any tensor, for bounds that hold tensor by tensor.
+    """
+    coo, meta = with_meta(spark, sf_dir, "supp_part")
+    coo, meta = coo.persist(), meta.persist()
+    d = F.col("d")
+    norm = ms.compression_error(coo, coo).select("tensor_id", "norm2").join(meta, "tensor_id").persist()
+    rows: list[DataFrame] = []
+
+    def add(name: str, got: DataFrame, observed: F.Column, limit: F.Column, slack: float = 1e-9) -> None:
+        both = got.select("tensor_id", observed.cast("double").alias("o"), limit.cast("double").alias("l"))
+        rows.append(both.agg(F.lit(name).alias("bound"), F.sum("o").alias("observed"), F.sum("l").alias("limit"), F.max(F.when(F.col("l") > 0, F.col("o") / F.col("l")).otherwise(F.when(F.col("o") > slack, 9e9).otherwise(0.0))).alias("worst")))
+
+    r = F.least(F.lit(100), F.col("r"))
+    top = ms.compression_error(coo, sp.top_r(coo, 100)).drop("norm2").join(norm, "tensor_id")
+    add("top-r error <= (1 - r/d) norm2", top, F.col("error2"), (1 - r / d) * F.col("norm2"))
+    seeds = None
+    for seed in range(5):
+        e = ms.compression_error(coo, sp.random_r(coo, 100, seed)).select("tensor_id", "error2")
+        seeds = e if seeds is None else seeds.unionByName(e)
+    mean = seeds.groupBy("tensor_id").agg(F.avg("error2").alias("error2")).join(norm, "tensor_id")
+    add("random-r error ~ (1 - r/n) norm2", mean, F.col("error2"), (1 - r / F.col("r")) * F.col("norm2"))
     for fpr in (0.1, 0.01):
-        d, r = 20_000, 400
-        seen = []
-        for seed in range(20):
-            keys = np.sort(np.random.default_rng(seed).choice(d, r, replace=False))
-            seen.append(len(BloomKeys(fpr, "p0", seed).encode(keys, d).sent))
-        rows.append((f"positives({fpr})", float(np.mean(seen)), float(th.positives_bound(r, d, fpr) + th.positives_spread(r, d, fpr))))
-    x = np.linspace(0, 1, 2001)
-    for p in (2, 4, 8):
-        y, m = np.exp(-x), 1 - np.exp(-1)
-        knots = np.interp(x, np.linspace(0, 1, p + 1), np.exp(-np.linspace(0, 1, p + 1)))
-        rows.append((f"linear({p})", float(np.abs(knots - y).max()), th.fit_bound(m, p, len(x))))
-    return spark.createDataFrame([(n, float(o), float(b), bool(o <= b)) for n, o, b in rows], "bound string, observed double, limit double, holds boolean")
+        p = bl.positives(bl.filters(coo, meta, fpr, SEED), fpr, SEED)
+        n = p.groupBy("tensor_id").agg(F.count("*").alias("n")).join(norm, "tensor_id")
+        spread = 4 * 2 * F.sqrt(F.lit(fpr * (1 - fpr)) * (d - F.col("r")))
+        add(f"positives({fpr}) <= expectation and spread", n, F.col("n"), F.ceil(F.col("r") + fpr * (d - F.col("r"))) + spread)
+    fpr, sized = 0.05, bl.sizes(coo, meta, 0.05)
+    p = bl.positives(bl.filters(coo, meta, fpr, SEED), fpr, SEED).persist()
+    for policy in ("p0", "p1", "left", "middle", "right"):
+        c = bl.chosen(p, sized, policy, SEED)
+        e = ms.compression_error(coo, bl.fetched(c, coo)).select("tensor_id", "error2").join(bl.hybrid_counts(coo, c), "tensor_id").join(norm, "tensor_id")
+        expected = F.lit(0.0) if policy == "p0" else (1 - F.col("k1") / F.col("r")) * F.col("norm2")
+        add(f"{policy} error ~ (1 - k1/r) norm2", e, F.col("error2"), expected)
+    for seed in (1, 2):
+        q_ = ms.compression_error(coo, Codec(None, Qsgd(7, 512, seed)).decode(Codec(None, Qsgd(7, 512, seed)).encode(coo, meta))).select("tensor_id", "error2").join(norm, "tensor_id")
+        add(f"quantiser({seed}) error <= min(n/s^2, sqrt(n)/s) norm2", q_, F.col("error2"), F.least(F.least(F.col("r"), F.lit(512)) / (63.0 * 63), F.sqrt(F.least(F.col("r"), F.lit(512))) / 63) * F.col("norm2"))
+    angle = th.sort_angle(coo)
+    add("sorting: distance2 = 2 (1 - cos) norm2", angle, F.col("distance2"), F.col("twice"))
+    g = error_memory(spark, sf_dir)
+    add("memory: sent and kept are all of it", g, F.col("gap"), F.col("whole") * 1e-12)
+    out = rows[0]
+    for x in rows[1:]:
+        out = out.unionByName(x)
+    return out
+
+
+def error_memory(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(tensor_id, gap, whole): what a top-r compressor sends and keeps against its input."""
+    coo = small(spark, sf_dir, "supp_part")
+    sent = sp.top_r(coo, 100)
+    both = sent.unionByName(rl.residual_after(sent, coo))
+    return ms.compression_error(coo, both).select("tensor_id", F.col("error2").alias("gap"), F.col("norm2").alias("whole"))
+
+
+@query("e17b_spline_bounds")
+def spline_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Chord splines of smooth convex curves against their bound."""
+    rows, x = [], np.linspace(0, 1, 2001)
+    for rate in (1.0, 3.0):
+        for p in (2, 4, 8):
+            y, m = np.exp(-rate * x), rate * (1 - np.exp(-rate))
+            at = np.linspace(0, 1, p + 1)
+            rows.append((rate, p, float(np.abs(np.interp(x, at, np.exp(-rate * at)) - y).max()), float(th.fit_bound(m, p, len(x)))))
+    return spark.createDataFrame([(*r, r[2] <= r[3]) for r in rows], "rate double, pieces int, observed double, bound double, holds boolean")
 
 
 @query("e18_index_layouts")
@@ -275,18 +380,22 @@ def index_layouts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query("e19_lookup_table")
 def lookup_table(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Positions computed each time against a precomputed table of all indices: seconds and bytes."""
-    d, k = dim(spark, sf_dir, "nation_part"), 7
-    keys = np.arange(d)
-    codec = BloomKeys(0.01, "p0", SEED)
+    """Encoding and decoding by computed hashes against a table of the whole domain: seconds, the table's bytes, and
+    whether both give the same keys."""
+    coo, meta = with_meta(spark, sf_dir, "nation_part")
+    keys, d = np.sort(coo.select("idx").toPandas()["idx"].to_numpy()), meta.first()["d"]
+    rows, found = [], []
+    k = bl.hashes_for(0.01)
     start = time.perf_counter()
-    table = codec.positions(keys, 1 << 19, k, 0).astype(np.int32)
+    table = hash_table(d, k, SEED, 0)
     built = time.perf_counter() - start
-    start = time.perf_counter()
-    hit = table[:, keys]
-    looked = time.perf_counter() - start
-    assert hit.shape == (k, d) and not np.shares_memory(hit, table)
-    return spark.createDataFrame([("computed", built, 0), ("table", looked, int(table.nbytes))], "method string, seconds double, bytes bigint")
+    for name, codec in (("computed", BloomKeys(0.01, "p0", SEED)), ("table", BloomKeys(0.01, "p0", SEED, lookup=True))):
+        start = time.perf_counter()
+        for _ in range(3):
+            e = codec.encode(keys, d)
+            found.append(codec.decode(e.payload, d, len(keys), len(e.sent)))
+        rows.append((name, (time.perf_counter() - start) / 3, built if name == "table" else 0.0, int(table.nbytes) if name == "table" else 0, bool(np.array_equal(found[0], found[-1]) and np.array_equal(e.sent, found[0]))))
+    return spark.createDataFrame(rows, "method string, seconds double, built_s double, bytes bigint, same boolean")
 
 
 @query("e20_quantile_means")

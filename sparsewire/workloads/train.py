@@ -1,13 +1,17 @@
 """Distributed gradient descent with compressed gradients on the given tables.
 
-Each step: workers' gradients are aggregates over their rows, the codec turns each worker's tensor into containers,
-containers are decoded and averaged, and the parameters move. Models are small, so parameters travel as literals of
-bounded size; gradients and containers stay distributed. An epoch is one full-batch step.
+All methods of an experiment train at once: a step reads the rows once, and (method, worker) is the key of everything
+after that. Partial gradients of the Arrow batches meet in the group of their worker, where they are summed, the
+residual memory is added, the sparsifier and codec make a container and decode it, and the new residual is left; the
+containers' cells are averaged by an aggregate. The memory is a table, checkpointed with each step, so a lost executor
+repeats one step at most. Models are small: parameters reach the tasks as a broadcast of bounded size, and their mean
+gradient, as long as they are, comes back. An epoch is one full-batch step.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -17,10 +21,21 @@ from pyspark.sql import functions as F
 from ..operators import sparsify as sp
 from ..plans.pipeline import BITS_OF, Codec
 from ..sources import tensors as ts
+from ..sources.checkpoints import checkpointed
 
 CLASSES, WIDTH = 10, 64
 
 
+@dataclass(frozen=True)
+class Method:
+    """How workers send gradients: codec (none: dense), kept share (none: all that is not zero), memory."""
+
+    codec: Codec | None = None
+    ratio: float | None = None
+    memory: bool = True
+    sparsifier: str = "top_r"
+
+
 class Optimizer:
     """sgd, sgd_momentum or adam on an array."""
 
@@ -39,55 +54,119 @@ class Optimizer:
         return x - self.rate * (self.m / (1 - 0.9**self.t)) / (np.sqrt(self.v / (1 - 0.999**self.t)) + 1e-8)
 
 
-class Exchange:
-    """Compresses one gradient per worker with a residual memory, and gives their mean and the bits sent."""
-
-    def __init__(self, d: int, codec: Codec | None, ratio: float | None, memory: bool, sparsifier: str = "top_r", seed: int = 0) -> None:
-        self.d, self.codec, self.ratio, self.memory, self.sparsifier, self.seed = d, codec, ratio, memory, sparsifier, seed
-        self.held: dict[int, np.ndarray] = {}
-
-    def sparse(self, g: np.ndarray) -> np.ndarray:
-        if self.ratio is None:
-            return np.flatnonzero(g)
-        r = sp.r_of(self.d, self.ratio)
-        if self.sparsifier == "random_r":
-            return np.sort(np.random.default_rng(self.seed).choice(self.d, r, replace=False))
-        order = np.lexsort((np.arange(self.d), -np.abs(g)))[:r]
-        return np.sort(order[g[order] != 0])
-
-    def __call__(self, gradients: dict[int, np.ndarray]) -> tuple[np.ndarray, int]:
-        total, bits = np.zeros(self.d), 0
-        for w, g in gradients.items():
-            p = g + self.held.get(w, 0.0) if self.memory else g
-            if self.codec is None:
-                sent, used = p, 32 * self.d
-            else:
-                keys = self.sparse(p)
-                c = self.codec.encode_block(keys, p[keys], self.d, 0, p.__getitem__)
-                k, v = self.codec.decode_block(c)
-                sent = np.zeros(self.d)
-                sent[k] = v
-                used = sum(c[b] for b in BITS_OF)
-            if self.memory:
-                self.held[w] = p - sent
-            total += sent
-            bits += used
-            self.seed += 1
-        return total / len(gradients), bits
-
-
-def _by_worker(df: DataFrame, run, width: int) -> dict[int, tuple[np.ndarray, float, int]]:
-    """Sums of (gradient, loss, rows) by worker: one partial sum from each Arrow batch meets in a small aggregate."""
-    parts = df.mapInArrow(run, "worker int, g array<double>, loss double, n bigint")
-    got: dict[int, tuple[np.ndarray, float, int]] = {}
-    for r in parts.toLocalIterator():
-        g, loss, n = got.get(r.worker, (np.zeros(width), 0.0, 0))
-        got[r.worker] = (g + np.array(r.g), loss + r.loss, n + r.n)
-    return got
-
-
-def _partial(worker: int, g: np.ndarray, loss: float, n: int) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array([worker], pa.int32()), pa.array([g.tolist()], pa.list_(pa.float64())), pa.array([loss]), pa.array([n], pa.int64())], names=["worker", "g", "loss", "n"])
+def kept_keys(p: np.ndarray, method: Method, seed: int) -> np.ndarray:
+    if method.ratio is None:
+        return np.flatnonzero(p)
+    r = sp.r_of(len(p), method.ratio)
+    if method.sparsifier == "random_r":
+        return np.sort(np.random.default_rng(seed).choice(len(p), r, replace=False))
+    order = np.lexsort((np.arange(len(p)), -np.abs(p)))[:r]
+    return np.sort(order[p[order] != 0])
+
+
+def sent_of(p: np.ndarray, method: Method, seed: int) -> tuple[np.ndarray, np.ndarray, int]:
+    """Keys, values and bits of what a worker's gradient becomes on the other side."""
+    if method.codec is None:
+        keys = np.flatnonzero(p)
+        return keys, p[keys], 32 * len(p)
+    keys = kept_keys(p, method, seed)
+    c = method.codec.encode_block(keys, p[keys], len(p), 0, p.__getitem__)
+    k, v = method.codec.decode_block(c)
+    return k, v, sum(c[b] for b in BITS_OF)
+
+
+CELLS = "method string, worker int, keys array<bigint>, values array<double>, bits bigint, left_keys array<bigint>, left_values array<double>, loss double, n bigint"
+PARTIAL = "method string, worker int, keys array<bigint>, values array<double>, loss double, n bigint"
+KINDS = {"method": pa.string(), "worker": pa.int32(), "keys": pa.list_(pa.int64()), "values": pa.list_(pa.float64()), "bits": pa.int64(), "left_keys": pa.list_(pa.int64()), "left_values": pa.list_(pa.float64()), "loss": pa.float64(), "n": pa.int64()}
+
+
+def _row(**cols: object) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([v.tolist() if isinstance(v, np.ndarray) else v], KINDS[k]) for k, v in cols.items()], names=list(cols))
+
+
+#: (parameters, one Arrow batch) to (worker, gradient sum, loss sum, rows) per worker.
+Gradient = Callable[[np.ndarray, pa.RecordBatch], Iterator[tuple[int, np.ndarray, float, int]]]
+#: (parameters, one Arrow batch) to (part, hits, rows); the metric is the mean share over parts.
+Grade = Callable[[np.ndarray, pa.RecordBatch], Iterator[tuple[int, float, int]]]
+
+
+def _partials(rows: DataFrame, params: dict[str, np.ndarray], gradient: Gradient) -> DataFrame:
+    known = rows.sparkSession.sparkContext.broadcast(params)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for name, x in known.value.items():
+                for worker, g, loss, n in gradient(x, b):
+                    keys = np.flatnonzero(g)
+                    yield _row(method=name, worker=worker, keys=keys, values=g[keys], loss=loss, n=n)
+
+    return rows.mapInArrow(run, PARTIAL)
+
+
+def _exchange(partials: DataFrame, held: DataFrame, methods: dict[str, Method], d: int, epoch: int) -> DataFrame:
+    """One row per method and worker: what it sends, its bits, and the residual that it keeps."""
+
+    def summed(t: pa.Table, keys: str, values: str) -> np.ndarray:
+        out = np.zeros(d)
+        for k, v in zip(t.column(keys).to_pylist(), t.column(values).to_pylist(), strict=True):
+            np.add.at(out, np.array(k or [], np.int64), np.array(v or []))
+        return out
+
+    def run(mine: pa.Table, memory: pa.Table) -> pa.Table:
+        rows = mine if mine.num_rows else memory
+        name, worker = rows.column("method")[0].as_py(), rows.column("worker")[0].as_py()
+        n, loss = sum(mine.column("n").to_pylist()), sum(mine.column("loss").to_pylist())
+        p = summed(mine, "keys", "values") / max(n, 1)
+        if methods[name].memory:
+            p = p + summed(memory, "left_keys", "left_values")
+        keys, values, bits = sent_of(p, methods[name], 1000 * epoch + worker)
+        left = p.copy()
+        left[keys] -= values
+        k = np.flatnonzero(left) if methods[name].memory else np.zeros(0, np.int64)
+        return pa.Table.from_batches([_row(method=name, worker=worker, keys=keys, values=values, bits=int(bits), left_keys=k, left_values=left[k], loss=float(loss), n=int(n))])
+
+    both = partials.groupBy("method", "worker").cogroup(held.select("method", "worker", "left_keys", "left_values").groupBy("method", "worker"))
+    return both.applyInArrow(run, CELLS)
+
+
+def _means(sent: DataFrame, names: list[str], d: int) -> dict[str, np.ndarray]:
+    """Mean gradient of each method over its workers: one partial sum a task and cell."""
+    cells = sent.select("method", F.explode(F.arrays_zip("keys", "values")).alias("c")).groupBy("method", F.col("c.keys").alias("idx")).agg(F.sum("c.values").alias("value"))
+    workers = {r.method: r["count"] for r in sent.groupBy("method").count().collect()}
+    t = cells.groupBy("method").agg(F.collect_list("idx").alias("idx"), F.collect_list("value").alias("value")).toArrow()
+    out = {m: np.zeros(d) for m in names}
+    for m, i, v in zip(*(t.column(c).to_pylist() for c in ("method", "idx", "value")), strict=True):
+        out[m][np.array(i, np.int64)] = np.array(v) / workers[m]
+    return out
+
+
+def _graded(rows: DataFrame, params: dict[str, np.ndarray], grade: Grade) -> dict[str, float]:
+    known = rows.sparkSession.sparkContext.broadcast(params)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            got = [(name, *x) for name, p in known.value.items() for x in grade(p, b)]
+            yield pa.RecordBatch.from_arrays([pa.array([g[k] for g in got], t) for k, t in enumerate((pa.string(), pa.int32(), pa.float64(), pa.int64()))], names=["method", "part", "hits", "n"])
+
+    parts = rows.mapInArrow(run, "method string, part int, hits double, n bigint").groupBy("method", "part").agg((F.sum("hits") / F.sum("n")).alias("share"))
+    return {r.method: r.metric for r in parts.groupBy("method").agg(F.avg("share").alias("metric")).collect()}
+
+
+def train(train_rows: DataFrame, test_rows: DataFrame, methods: dict[str, Method], start: np.ndarray, gradient: Callable[[int], Gradient], grade: Grade, epochs: int, optimizer: str, rate: float) -> DataFrame:
+    """(method, epoch, worker_bits, metric, loss, grad_norm) of all methods from the same start."""
+    spark, d, out = train_rows.sparkSession, len(start), []
+    params = {m: start.copy() for m in methods}
+    opt = {m: Optimizer(optimizer, rate) for m in methods}
+    held = spark.createDataFrame([], CELLS)
+    for epoch in range(1, epochs + 1):
+        held = checkpointed(_exchange(_partials(train_rows, params, gradient(epoch)), held, methods, d, epoch))
+        mean = _means(held, list(methods), d)
+        params = {m: opt[m].step(params[m], mean[m]) for m in methods}
+        metric = _graded(test_rows, params, grade)
+        for r in held.groupBy("method").agg(F.avg("bits").alias("bits"), (F.sum("loss") / F.sum("n")).alias("loss")).collect():
+            out.append((r.method, epoch, int(r.bits), float(metric[r.method]), float(r.loss), float(np.linalg.norm(mean[r.method]))))
+    order = {m: k for k, m in enumerate(methods)}
+    return spark.createDataFrame(sorted(out, key=lambda r: (order[r[0]], r[1])), "method string, epoch int, worker_bits bigint, metric double, loss double, grad_norm double")
 
 
 def softmax(z: np.ndarray) -> np.ndarray:
@@ -95,140 +174,109 @@ def softmax(z: np.ndarray) -> np.ndarray:
     return e / e.sum(axis=1, keepdims=True)
 
 
-def train_softmax(spark: SparkSession, sf_dir: str, codec: Codec | None = None, ratio: float | None = None, workers: int = 8, epochs: int = 20, rate: float = 20.0, optimizer: str = "sgd", memory: bool = True, sparsifier: str = "top_r") -> list[dict]:
-    """Ten-class regression on embeddings; test rows are those whose id is divisible by 5. One dict per epoch."""
-    rows = ts.load(spark, sf_dir, "embeddings").select("vec_id", "embedding", "label").persist()
-    train = rows.where(F.col("vec_id") % 5 != 0).select(F.pmod("vec_id", F.lit(workers)).cast("int").alias("worker"), "embedding", "label")
-    test = rows.where(F.col("vec_id") % 5 == 0).select(F.lit(0).alias("worker"), "embedding", "label")
-    w, opt, exchange, out = np.zeros((WIDTH, CLASSES)), Optimizer(optimizer, rate), Exchange(WIDTH * CLASSES, codec, ratio, memory, sparsifier), []
+def train_softmax(spark: SparkSession, sf_dir: str, methods: dict[str, Method], workers: int = 8, epochs: int = 20, rate: float = 20.0, optimizer: str = "sgd") -> DataFrame:
+    """Ten-class regression on embeddings; test rows are those whose id is divisible by 5."""
+    rows = ts.load(spark, sf_dir, "embeddings").select("vec_id", "embedding", "label")
+    own = rows.where(F.col("vec_id") % 5 != 0).select(F.pmod("vec_id", F.lit(workers)).cast("int").alias("worker"), "embedding", "label")
+    test = rows.where(F.col("vec_id") % 5 == 0).select("embedding", "label")
 
-    def gradients(weights: np.ndarray):
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                who, x, y = b.column(0).to_numpy(), np.array(b.column(1).to_pylist()).reshape(-1, WIDTH), b.column(2).to_numpy()
-                for k in np.unique(who).tolist():
-                    xs, ys = x[who == k], y[who == k]
-                    p = softmax(xs @ weights)
-                    loss = float(-np.log(p[np.arange(len(ys)), ys] + 1e-300).sum())
-                    p[np.arange(len(ys)), ys] -= 1
-                    yield _partial(k, (xs.T @ p).ravel(), loss, len(ys))
+    def matrix(b: pa.RecordBatch, k: int) -> np.ndarray:
+        return np.asarray(b.column(k).flatten().to_numpy(zero_copy_only=False), float).reshape(-1, WIDTH)
 
-        return run
+    def gradient(epoch: int) -> Gradient:
+        def of(params: np.ndarray, b: pa.RecordBatch) -> Iterator[tuple[int, np.ndarray, float, int]]:
+            who, x, y = b.column(0).to_numpy(), matrix(b, 1), b.column(2).to_numpy()
+            p = softmax(x @ params.reshape(WIDTH, CLASSES))
+            loss = -np.log(p[np.arange(len(y)), y] + 1e-300)
+            p[np.arange(len(y)), y] -= 1
+            for k in np.unique(who).tolist():
+                yield k, (x[who == k].T @ p[who == k]).ravel(), float(loss[who == k].sum()), int((who == k).sum())
 
-    def right(weights: np.ndarray):
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                x, y = np.array(b.column(1).to_pylist()).reshape(-1, WIDTH), b.column(2).to_numpy()
-                yield _partial(0, np.zeros(1), float(((x @ weights).argmax(axis=1) == y).sum()), len(y))
+        return of
 
-        return run
+    def grade(params: np.ndarray, b: pa.RecordBatch) -> Iterator[tuple[int, float, int]]:
+        y = b.column(1).to_numpy()
+        yield 0, float(((matrix(b, 0) @ params.reshape(WIDTH, CLASSES)).argmax(axis=1) == y).sum()), len(y)
 
-    for epoch in range(1, epochs + 1):
-        sums = _by_worker(train, gradients(w), WIDTH * CLASSES)
-        mean, bits = exchange({k: g / n for k, (g, _, n) in sorted(sums.items())})
-        w = opt.step(w.ravel(), mean).reshape(WIDTH, CLASSES)
-        (_, hits, n) = _by_worker(test, right(w), 1)[0]
-        out.append({"epoch": epoch, "worker_bits": bits // workers, "metric": hits / n, "loss": sum(x[1] for x in sums.values()) / sum(x[2] for x in sums.values()), "grad_norm": float(np.linalg.norm(mean))})
-    rows.unpersist()
-    return out
+    return train(own, test, methods, np.zeros(WIDTH * CLASSES), gradient, grade, epochs, optimizer, rate)
 
 
-def train_text(spark: SparkSession, sf_dir: str, codec: Codec | None = None, ratio: float | None = None, workers: int = 8, epochs: int = 10, rate: float = 4.0, memory: bool = True, width: int = 1 << 14) -> list[dict]:
-    """Logistic regression of labels.quality on hashed words: gradients are sparse by nature. Metric: balanced accuracy."""
+def train_text(spark: SparkSession, sf_dir: str, methods: dict[str, Method], workers: int = 8, epochs: int = 10, rate: float = 4.0, optimizer: str = "sgd", width: int = 1 << 14) -> DataFrame:
+    """Logistic regression of labels.quality on hashed words and on their endings with a mark for long ones; gradients
+    are sparse by nature. Metric: balanced accuracy."""
     docs = ts.load(spark, sf_dir, "documents").join(ts.load(spark, sf_dir, "labels"), "doc_id")
     words = docs.select("doc_id", F.col("quality").cast("int").alias("y"), F.explode(F.array_distinct(F.split(F.lower("text"), r"\s+"))).alias("w")).where("w <> ''")
-    rows = words.select("doc_id", "y", F.expr(f"CAST(conv(substring(md5(concat(right(w, 2), length(w) > 8)), 1, 7), 16, 10) AS BIGINT) % {width}").alias("i")).groupBy("doc_id", "y").agg(F.collect_set("i").alias("x")).persist()
-    train, test = rows.where(F.col("doc_id") % 5 != 0).select(F.pmod("doc_id", F.lit(workers)).cast("int").alias("worker"), "x", "y"), rows.where(F.col("doc_id") % 5 == 0).select(F.lit(0).alias("worker"), "x", "y")
-    w, opt, exchange, out = np.zeros(width), Optimizer("sgd", rate), Exchange(width, codec, ratio, memory), []
-
-    def run_on(weights: np.ndarray, grade: bool):
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                sums: dict[int, list] = {}
-                for k, x, y in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                    p = 1 / (1 + np.exp(-np.clip(weights[x].sum() / np.sqrt(len(x)), -40, 40)))
-                    s = sums.setdefault(k if not grade else 2 * k + y, [np.zeros(1 if grade else width), 0.0, 0])
-                    if grade:
-                        s[1] += float((p >= 0.5) == (y == 1))
-                    else:
-                        s[0][x] += (p - y) / np.sqrt(len(x)) * (0.5 if y else 2.0)
-                        s[1] -= float(np.log(max(p if y else 1 - p, 1e-300)))
-                    s[2] += 1
-                for k, (g, loss, n) in sums.items():
-                    yield _partial(k, g, loss, n)
-
-        return run
+    both = F.explode(F.array(F.concat(F.lit("w"), "w"), F.expr("concat('e', right(w, 2), length(w) > 8)")))
+    at = F.expr(f"CAST(conv(substring(md5(f), 1, 7), 16, 10) AS BIGINT) % {width}")
+    rows = checkpointed(words.select("doc_id", "y", both.alias("f")).select("doc_id", "y", at.alias("i")).groupBy("doc_id", "y").agg(F.collect_set("i").alias("x")))
+    own, test = rows.where(F.col("doc_id") % 5 != 0).select(F.pmod("doc_id", F.lit(workers)).cast("int").alias("worker"), "x", "y"), rows.where(F.col("doc_id") % 5 == 0).select("x", "y")
 
-    for epoch in range(1, epochs + 1):
-        sums = _by_worker(train, run_on(w, False), width)
-        mean, bits = exchange({k: g / n for k, (g, _, n) in sorted(sums.items())})
-        w = opt.step(w, mean)
-        graded = _by_worker(test, run_on(w, True), 1)
-        shares = [hits / n for _, hits, n in graded.values()]
-        out.append({"epoch": epoch, "worker_bits": bits // workers, "metric": sum(shares) / max(len(shares), 1), "loss": sum(x[1] for x in sums.values()) / max(sum(x[2] for x in sums.values()), 1), "grad_norm": float(np.linalg.norm(mean))})
-    rows.unpersist()
-    return out
+    def scores(params: np.ndarray, x: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        flat, n = x.flatten().to_numpy(zero_copy_only=False), np.asarray(x.value_lengths(), np.int64)
+        owner = np.repeat(np.arange(len(n)), n)
+        p = 1 / (1 + np.exp(-np.clip(np.bincount(owner, params[flat], len(n)) / np.sqrt(n), -40, 40)))
+        return p, flat, owner, n
+
+    def gradient(epoch: int) -> Gradient:
+        def of(params: np.ndarray, b: pa.RecordBatch) -> Iterator[tuple[int, np.ndarray, float, int]]:
+            who, y = b.column(0).to_numpy(), b.column(2).to_numpy()
+            p, flat, owner, n = scores(params, b.column(1))
+            pull = (p - y) / np.sqrt(n) * np.where(y == 1, 0.5, 2.0)
+            loss = -np.log(np.maximum(np.where(y == 1, p, 1 - p), 1e-300))
+            for k in np.unique(who).tolist():
+                mine = who[owner] == k
+                yield k, np.bincount(flat[mine], pull[owner[mine]], width), float(loss[who == k].sum()), int((who == k).sum())
+
+        return of
+
+    def grade(params: np.ndarray, b: pa.RecordBatch) -> Iterator[tuple[int, float, int]]:
+        p, y = scores(params, b.column(0))[0], b.column(1).to_numpy()
+        for k in np.unique(y).tolist():
+            yield int(k), float(((p >= 0.5) == (y == 1))[y == k].sum()), int((y == k).sum())
 
+    return train(own, test, methods, np.zeros(width), gradient, grade, epochs, optimizer, rate)
 
-def train_recommender(spark: SparkSession, sf_dir: str, codec: Codec | None = None, workers: int = 8, epochs: int = 6, rate: float = 0.05, factors: int = 8, seed: int = 0) -> list[dict]:
-    """Customer and part factors from orders with logistic loss; the last item of each customer is held out.
+
+def train_recommender(spark: SparkSession, sf_dir: str, methods: dict[str, Method], workers: int = 8, epochs: int = 6, rate: float = 0.05, factors: int = 8, seed: int = 0) -> DataFrame:
+    """Customer and part factors from orders with logistic loss and adam; the last item of each customer is held out.
 
     Candidates are the held-out item and 99 hashed ones; the metric is the share found among the ten best. Gradients
     touch only the rows of factors that a worker's interactions touch, so they are sparse without a sparsifier.
     """
     seen = ts.load(spark, sf_dir, "lineitem").join(ts.load(spark, sf_dir, "orders"), F.col("l_orderkey") == F.col("o_orderkey")).select("o_custkey", "l_partkey", "o_orderdate", "o_orderkey").distinct()
-    last = seen.groupBy("o_custkey").agg(F.max(F.struct("o_orderdate", "o_orderkey", "l_partkey")).alias("m"), F.count("*").alias("n")).where("n > 1").select("o_custkey", F.col("m.l_partkey").alias("held"))
-    train = seen.join(last, "o_custkey", "left").where("held IS NULL OR held <> l_partkey").select("o_custkey", "l_partkey").distinct().persist()
+    last = checkpointed(seen.groupBy("o_custkey").agg(F.max(F.struct("o_orderdate", "o_orderkey", "l_partkey")).alias("m"), F.count("*").alias("n")).where("n > 1").select("o_custkey", F.col("m.l_partkey").alias("held")))
+    own = seen.join(last, "o_custkey", "left").where("held IS NULL OR held <> l_partkey").select(F.pmod(F.xxhash64("o_custkey"), F.lit(workers)).cast("int").alias("worker"), "o_custkey", "l_partkey").distinct()
     users, items = ts.load(spark, sf_dir, "customer").count(), ts.load(spark, sf_dir, "part").count()
-    rng = np.random.default_rng(seed)
-    x = rng.standard_normal((users + items) * factors) * 0.1
-    opt, exchange, out = Optimizer("adam", rate), Exchange(len(x), codec, None, False), []
-    dealt = train.select(F.pmod(F.xxhash64("o_custkey"), F.lit(workers)).cast("int").alias("worker"), "o_custkey", "l_partkey")
-
-    def gradients(params: np.ndarray, epoch: int):
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            u, v = params[: users * factors].reshape(users, factors), params[users * factors :].reshape(items, factors)
-            for b in batches:
-                who, us, pos = (c.to_numpy().astype(np.int64) for c in b.columns)
-                for k in np.unique(who).tolist():
-                    a, p = us[who == k], pos[who == k]
-                    g, loss = np.zeros(len(params)), 0.0
-                    gu, gv = g[: users * factors].reshape(users, factors), g[users * factors :].reshape(items, factors)
-                    for t in range(5):
-                        it = p if t == 0 else (p * 7919 + a * 104_729 + (t + 5 * epoch) * 15_485_863) % items
-                        s = 1 / (1 + np.exp(-(u[a] * v[it]).sum(axis=1)))
-                        e = (s - (t == 0))[:, None]
-                        loss -= float(np.log(np.maximum(s if t == 0 else 1 - s, 1e-300)).sum())
-                        np.add.at(gu, a, e * v[it])
-                        np.add.at(gv, it, e * u[a])
-                    yield _partial(k, g, loss, len(a))
-
-        return run
-
-    def hits(params: np.ndarray):
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            u, v = params[: users * factors].reshape(users, factors), params[users * factors :].reshape(items, factors)
-            for b in batches:
-                a, held = (c.to_numpy().astype(np.int64) for c in b.columns)
-                others = (held[:, None] + 1 + (np.arange(99) * 7919 + a[:, None] * 31) % (items - 1)) % items
-                mine = (u[a] * v[held]).sum(axis=1)
-                better = ((u[a][:, None] * v[others]).sum(axis=2) > mine[:, None]).sum(axis=1)
-                yield _partial(0, np.zeros(1), float((better < 10).sum()), len(a))
-
-        return run
-
-    last = last.persist()
-    for epoch in range(1, epochs + 1):
-        sums = _by_worker(dealt, gradients(x, epoch), len(x))
-        mean, bits = exchange({k: g / n for k, (g, _, n) in sorted(sums.items())})
-        x = opt.step(x, mean)
-        (_, good, n) = _by_worker(last, hits(x), 1)[0]
-        out.append({"epoch": epoch, "worker_bits": bits // workers, "metric": good / n, "loss": sum(s[1] for s in sums.values()) / sum(s[2] for s in sums.values()), "grad_norm": float(np.linalg.norm(mean))})
-    train.unpersist()
-    last.unpersist()
-    return out
-
-
-def as_frame(spark: SparkSession, runs: dict[str, list[dict]]) -> DataFrame:
-    rows = [(m, r["epoch"], int(r["worker_bits"]), float(r["metric"]), float(r["loss"]), float(r["grad_norm"])) for m, run in runs.items() for r in run]
-    return spark.createDataFrame(rows, "method string, epoch int, worker_bits bigint, metric double, loss double, grad_norm double")
+    start = np.random.default_rng(seed).standard_normal((users + items) * factors) * 0.1
+
+    def halves(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return x[: users * factors].reshape(users, factors), x[users * factors :].reshape(items, factors)
+
+    def gradient(epoch: int) -> Gradient:
+        def of(params: np.ndarray, b: pa.RecordBatch) -> Iterator[tuple[int, np.ndarray, float, int]]:
+            u, v = halves(params)
+            who, us, pos = (c.to_numpy().astype(np.int64) for c in b.columns)
+            for k in np.unique(who).tolist():
+                a, p = us[who == k], pos[who == k]
+                g, loss = np.zeros(len(params)), 0.0
+                gu, gv = halves(g)
+                for t in range(5):
+                    it = p if t == 0 else (p * 7919 + a * 104_729 + (t + 5 * epoch) * 15_485_863) % items
+                    s = 1 / (1 + np.exp(-(u[a] * v[it]).sum(axis=1)))
+                    e = (s - (t == 0))[:, None]
+                    loss -= float(np.log(np.maximum(s if t == 0 else 1 - s, 1e-300)).sum())
+                    np.add.at(gu, a, e * v[it])
+                    np.add.at(gv, it, e * u[a])
+                yield k, g, loss, len(a)
+
+        return of
+
+    def grade(params: np.ndarray, b: pa.RecordBatch) -> Iterator[tuple[int, float, int]]:
+        u, v = halves(params)
+        a, held = (c.to_numpy().astype(np.int64) for c in b.columns)
+        others = (held[:, None] + 1 + (np.arange(99) * 7919 + a[:, None] * 31) % (items - 1)) % items
+        mine = (u[a] * v[held]).sum(axis=1)
+        better = ((u[a][:, None] * v[others]).sum(axis=2) > mine[:, None]).sum(axis=1)
+        yield 0, float((better < 10).sum()), len(a)
+
+    return train(checkpointed(own), last, methods, start, gradient, grade, epochs, "adam", rate)

@@ -8,15 +8,18 @@ from sparsewire.functions import extensions as ex
 from sparsewire.functions.hashing import hash_array, hash_of
 from sparsewire.operators import bloom as bl
 from sparsewire.operators import measures as ms
+from sparsewire.operators import ranks as rk
 from sparsewire.operators import relational as rl
 from sparsewire.operators import sparsify as sp
 from sparsewire.operators import theory as th
+from sparsewire.operators.baselines import GroupedMinMaxSketch
 from sparsewire.operators.index_codecs import BitmapKeys, BloomKeys
-from sparsewire.operators.value_codecs import FitPoly, Qsgd
+from sparsewire.operators.value_codecs import FitPoly, Qsgd, QuantileBuckets
 from sparsewire.plans.pipeline import Codec, ThreeLC, catalogue
 from sparsewire.sources import tensors as ts
 from sparsewire.streaming import gradients as gr
 from sparsewire.workloads import experiments, queries
+from sparsewire.workloads import train as tr
 
 
 @pytest.fixture(scope="module")
@@ -176,26 +179,102 @@ def test_experiments_cover_every_tensor_and_row(spark, sf, monkeypatch):
     assert rows_of(experiments.accumulated(spark, sf), "tensor_id", "idx", "value") == rows_of(dealt, "tensor_id", "idx", "value")
 
 
-def test_recommender_training_and_lookup_take_all(spark, sf, monkeypatch):
-    monkeypatch.setattr(experiments.tr, "train_recommender", lambda s, d, c=None, **k: c)
-    monkeypatch.setattr(experiments.tr, "as_frame", lambda s, rows: rows)
-    assert set(experiments.recommender_training(spark, sf)) == {"none", *experiments.inherent_codecs()}
-    positions, made = experiments.BloomKeys.positions, []
-
-    class Table(np.ndarray):
-        def __getitem__(self, key):
-            made.append(np.asarray(self)[key])
-            return made[-1]
-
-    class Positions:
-        def astype(self, kind):
-            return self.found.astype(kind).view(Table)
-
-    def of(self, *args):
-        p = Positions()
-        p.found = positions(self, *args)
-        return p
-
-    monkeypatch.setattr(experiments.BloomKeys, "positions", of)
-    experiments.lookup_table(spark, sf)
-    assert made[0].shape[1] == 25 * ts.load(spark, sf, "part").count()
+def test_training_runs_of_several_methods(spark, sf, monkeypatch):
+    methods = {"none": tr.Method(memory=False), "top_r": tr.Method(Codec(), 0.1), "p2": tr.Method(Codec(BloomKeys(0.01, "p2")), 0.1)}
+    rows = tr.train_softmax(spark, sf, methods, workers=3, epochs=3).collect()
+    assert [(r.method, r.epoch) for r in rows] == [(m, e) for m in methods for e in (1, 2, 3)]
+    loss = {(r.method, r.epoch): r.loss for r in rows}
+    assert all(loss[m, 3] < loss[m, 1] for m in methods)
+    # one step by hand: mean over workers of their mean gradients
+    p = spark.read.parquet(f"{sf}/embeddings.parquet").toPandas()
+    x, y, w = np.array(p.embedding.tolist(), float), p.label.to_numpy(), p.vec_id.to_numpy()
+    parts = []
+    for k in range(3):
+        mine = (w % 3 == k) & (w % 5 != 0)
+        g = np.full((mine.sum(), 10), 0.1)
+        g[np.arange(mine.sum()), y[mine]] -= 1
+        parts.append((x[mine].T @ g).ravel() / mine.sum())
+    first = {r.method: r for r in rows if r.epoch == 1}
+    assert first["none"].grad_norm == pytest.approx(np.linalg.norm(np.mean(parts, axis=0))) and first["none"].worker_bits == 32 * 640
+    assert first["top_r"].worker_bits == 64 * 64 and first["none"].loss == pytest.approx(np.log(10))
+    seen = []
+    monkeypatch.setattr(tr, "train_recommender", lambda s, d, methods, **k: seen.append(set(methods)))
+    experiments.recommender_training(spark, sf)
+    assert seen == [{"none", *experiments.inherent_codecs()}]
+
+
+def test_memory_returns_in_the_next_step():
+    p = np.array([3.0, -1.0, 0.5, 0.0])
+    keys, values, bits = tr.sent_of(p, tr.Method(Codec(), 0.25), 0)
+    assert keys.tolist() == [0] and values.tolist() == [3.0] and bits == 64
+    keys, _, bits = tr.sent_of(p, tr.Method(), 0)
+    assert keys.tolist() == [0, 1, 2] and bits == 128
+
+
+def test_lookup_table_gives_the_same_keys(spark, sf):
+    rows = experiments.lookup_table(spark, sf).collect()
+    assert all(r.same for r in rows) and rows[1].bytes == 4 * 7 * 25 * ts.load(spark, sf, "part").count()
+    keys = np.arange(0, 5000, 9)
+    for policy in ("p0", "p1", "p2", "right"):
+        a, b = (BloomKeys(0.02, policy, 3, lookup=x).encode(keys, 5000, 4) for x in (False, True))
+        assert a.payload == b.payload and np.array_equal(a.sent, b.sent)
+
+
+def test_small_blocks_equal_kernels(spark):
+    """Filters, policies, ranks, gaps and runs over several blocks."""
+    rng = np.random.default_rng(5)
+    keys = np.sort(rng.choice(5000, 600, replace=False))
+    coo = spark.createDataFrame([(0, int(k), float(v)) for k, v in zip(keys, rng.integers(-9, 9, 600) + 0.5)], "tensor_id bigint, idx bigint, value double").repartition(5)
+    meta = ts.meta(coo, 5000)
+    sized = bl.sizes(coo, meta, 0.05, 512)
+    p = bl.positives(bl.filters(coo, meta, 0.05, 1, 512), 0.05, 1, 512)
+    for policy in ("p0", "p1", "left", "middle", "right"):
+        want = []
+        for b in range(10):
+            mine = keys[keys // 512 == b] - 512 * b
+            want += (BloomKeys(0.05, policy, 1).encode(mine, min(512, 5000 - 512 * b), b).sent + 512 * b).tolist()
+        assert sorted(r.idx for r in bl.chosen(p, sized, policy, 1, 512).collect()) == sorted(want), policy
+    errors = {(r.fpr, r.policy): r for r in bl.policy_errors(coo, meta, [0.05, 0.2], 1, 512).collect()}
+    for policy in bl.POLICIES:
+        one = ms.compression_error(coo, bl.decode(coo, meta, 0.05, policy, 1, block=512)).first()["error"]
+        assert errors[0.05, policy].error == pytest.approx(one) and errors[0.2, policy].rel_volume < 1
+    n = {r.idx: r.n for r in rk.by_idx(coo, block=100).collect()}
+    assert n == {int(k): i + 1 for i, k in enumerate(keys)}
+    got = {r.idx: (r.prev, r.next) for r in rk.neighbours(coo, 64).collect()}
+    assert got == {int(k): (int(keys[i - 1]) if i else None, int(keys[i + 1]) if i < 599 else None) for i, k in enumerate(keys)}
+
+
+def test_values_are_ranked_over_cuts(spark):
+    rng = np.random.default_rng(6)
+    v = np.concatenate((rng.standard_normal(3000).round(2), np.zeros(1500)))
+    rows = spark.createDataFrame([(0, i, float(x)) for i, x in enumerate(v)], "tensor_id bigint, idx bigint, value double").repartition(4)
+    up = np.lexsort((np.arange(len(v)), v))
+    got = {r.idx: (r.n, r.n_total) for r in rk.by_value(rows, ["tensor_id"], "value", large=100).collect()}
+    assert got == {int(i): (k + 1, 4500) for k, i in enumerate(up)}
+    down = np.lexsort((np.arange(len(v)), -v))
+    got = {r.idx: r.n for r in rk.by_value(rows, ["tensor_id"], "value", True, large=100).collect()}
+    assert got == {int(i): k + 1 for k, i in enumerate(down)}
+    t = spark.range(1, 24).selectExpr("id AS n", "23L AS total").select("n", rk.ntile("n", "total", 5).alias("b")).collect()
+    want = [r[0] for r in spark.range(1, 24).selectExpr("ntile(5) OVER (ORDER BY id) AS b").collect()]
+    assert [r.b for r in sorted(t)] == want
+
+
+def test_semi_join_with_little_room(spark, monkeypatch):
+    left = spark.range(0, 4000).select(F.col("id").alias("k"), (F.col("id") % 7).alias("x"))
+    right = spark.range(0, 4000, 13).select(F.col("id").alias("k"))
+    for room in (1 << 20, 800, 100):
+        monkeypatch.setattr(bl, "BROADCAST_BITS", room)
+        assert bl.semi_join(left, right, "k").count() == right.count()
+
+
+def test_grouped_sketch_and_signs():
+    rng = np.random.default_rng(7)
+    keys, ids = np.arange(400), rng.integers(0, 64, 400)
+    s = GroupedMinMaxSketch(64, 8, 2, 512, 3)
+    s.insert(keys, ids)
+    got = s.query(keys, s.group(ids))
+    assert (got <= ids).all() and (s.group(got) == s.group(ids)).all() and (got == ids).mean() > 0.2
+    v = np.concatenate((-rng.random(10), rng.random(300)))
+    c = QuantileBuckets(16, huffman=True, split_sign=True)
+    back = c.decode(c.encode(v).payload, len(v))
+    assert (np.sign(back) == np.sign(v)).all()
