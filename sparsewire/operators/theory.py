@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bloom import bloom_k, bloom_size, fpr_of  # noqa: F401  part of this surface
+from .ranks import by_idx
 from .relational import sorted_curve
 
 
@@ -98,9 +99,7 @@ def p0_crossover(r: int, d: int) -> float:
 
 def sort_angle(coo: DataFrame) -> DataFrame:
     """(tensor_id, cosine, distance2, twice): the squared distance to the sorted tensor is 2 (1 - cosine) norm2."""
-    from pyspark.sql import Window
-
-    place = coo.withColumn("rank", F.row_number().over(Window.partitionBy("tensor_id").orderBy("idx")))
+    place = by_idx(coo.select("tensor_id", "idx", "value"), "rank").drop("rank_total")
     curve = sorted_curve(coo.withColumn("value", F.col("value").cast("double")))
     full = curve.join(curve.where("sign = 1").groupBy("tensor_id").agg(F.count("*").alias("up")), "tensor_id", "left")
     ranks = full.select("tensor_id", F.expr("CASE WHEN sign = 1 THEN rank ELSE rank + coalesce(up, 0) END").alias("rank"), "y")

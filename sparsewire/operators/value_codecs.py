@@ -201,6 +201,19 @@ class FitDoubleExp(ValueCodec):
         return np.concatenate(out)
 
 
+class SortedValues(ValueCodec):
+    """Values down the sorted curve, as they are; what the map of their places costs is all that it adds."""
+
+    name, reorders = "sorted", True
+
+    def encode(self, values):
+        order = np.argsort(-values, kind="stable")
+        return Packed(values[order].astype("<f4").tobytes(), 32 * len(values), order)
+
+    def decode(self, payload, n):
+        return np.frombuffer(payload, "<f4").astype(float)
+
+
 class QuantileBuckets(ValueCodec):
     """Buckets of equal count over the sorted values; a value becomes its bucket's mean.
 

@@ -12,6 +12,7 @@ from ..operators import bits as bt
 from ..operators import bloom as bl
 from ..operators import curve as cv
 from ..operators import measures as ms
+from ..operators import ranks as rk
 from ..operators import relational as rl
 from ..operators import sparsify as sp
 from ..operators import theory as th
@@ -363,12 +364,25 @@ def spline_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(*r, r[2] <= r[3]) for r in rows], "rate double, pieces int, observed double, bound double, holds boolean")
 
 
-@query("e18_index_layouts")
+def _layouts_sql() -> str:
+    scattered = q.small("supp_part")
+    clustered = f"SELECT tensor_id, row_number() OVER (PARTITION BY tensor_id ORDER BY idx) - 1 AS idx, value FROM ({scattered})"
+    out = []
+    for layout, cells in (("scattered", scattered), ("clustered", clustered)):
+        runs = f"SELECT tensor_id, count(*) AS length FROM (SELECT tensor_id, symbol, idx - row_number() OVER (PARTITION BY tensor_id, symbol ORDER BY idx) AS g FROM (SELECT u.tensor_id, u.idx, CASE WHEN t.idx IS NULL THEN 0 ELSE 1 END AS symbol FROM (SELECT s AS tensor_id, unnest(range(0, {q.DIMENSIONS['supp_part']})) AS idx FROM (SELECT DISTINCT tensor_id AS s FROM t)) u LEFT JOIN t ON t.tensor_id = u.tensor_id AND t.idx = u.idx)) GROUP BY tensor_id, symbol, g"
+        out.append(
+            f"SELECT * FROM (WITH RECURSIVE t AS MATERIALIZED ({cells}), runs AS MATERIALIZED ({runs}), {q.delta_huffman_bits('SELECT * FROM t')} "
+            f"SELECT '{layout}' AS layout, 'rle' AS codec, (SELECT count(*) FROM runs) AS runs, CAST((SELECT sum(2 * floor(log2(length)) + 1) FROM runs) + (SELECT count(DISTINCT tensor_id) FROM t) AS BIGINT) AS bits_idx "
+            f"UNION ALL SELECT '{layout}', 'delta_huffman', (SELECT count(*) FROM runs), CAST((SELECT sum(bits) FROM dh) AS BIGINT))"
+        )
+    return " UNION ALL ".join(out)
+
+
+@query("e18_index_layouts", _layouts_sql())
 def index_layouts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Runs and bits of the same number of keys, clustered and scattered."""
     coo, meta = with_meta(spark, sf_dir, "supp_part")
-    w = "row_number() OVER (PARTITION BY tensor_id ORDER BY idx) - 1"
-    clustered = coo.selectExpr("tensor_id", f"{w} AS idx", "value")
+    clustered = rk.by_idx(coo.select("tensor_id", "idx", "value")).selectExpr("tensor_id", "CAST(n - 1 AS BIGINT) AS idx", "value")
     rows = None
     for name, t in (("scattered", coo), ("clustered", clustered)):
         runs = rl.runs(t, meta).groupBy().agg(F.count("*").alias("runs"))

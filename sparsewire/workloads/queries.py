@@ -15,7 +15,7 @@ from ..operators import relational as rl
 from ..operators import sparsify as sp
 from ..operators import theory as th
 from ..operators.index_codecs import BitmapKeys, BloomKeys, DeltaHuffmanKeys, DeltaKeys, HuffmanKeys, RunLength
-from ..operators.value_codecs import Deflate, FitPoly, Qsgd
+from ..operators.value_codecs import Deflate, Qsgd, SortedValues
 from ..plans.network import comm_bytes
 from ..plans.pipeline import Codec, catalogue, skcompress
 from ..sources import tensors as ts
@@ -103,6 +103,18 @@ def threshold(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sp.threshold(ts.nation_part(spark, sf_dir), 20_000_000)
 
 
+@query("q_identity", f"SELECT * FROM ({q.TENSORS['user_hour']})")
+def identity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return sp.identity(ts.user_hour(spark, sf_dir))
+
+
+@query("q_split", f"SELECT tensor_id, row_number() OVER (PARTITION BY tensor_id ORDER BY idx) - 1 AS pos, idx, value FROM ({q.TENSORS['cust_part']})")
+def split(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Index set and values, joined again by position; the tensor has several blocks."""
+    keys, values = sp.split(ts.cust_part(spark, sf_dir))
+    return keys.join(values, ["tensor_id", "pos"]).select("tensor_id", "pos", "idx", "value")
+
+
 @query("q_densify", f"WITH t AS ({q.TENSORS['nation_part']}), u AS (SELECT CAST(0 AS BIGINT) AS tensor_id, unnest(range(0, {q.DIMENSIONS['nation_part']})) AS idx) SELECT u.tensor_id, u.idx, coalesce(value, 0) AS value FROM u LEFT JOIN t ON t.idx = u.idx")
 def densify(spark: SparkSession, sf_dir: str) -> DataFrame:
     coo, meta = with_meta(spark, sf_dir, "nation_part", exact=False)
@@ -280,6 +292,25 @@ def bloom_p2(spark: SparkSession, sf_dir: str) -> DataFrame:
     return codec.encode(coo, meta).mapInArrow(run, "tensor_id bigint, idx bigint, value bigint")
 
 
+@query("q_bloom_p2_rounds")
+def bloom_p2_rounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The draw by conflict sets in rounds over all tensors at once, for blocks that one task should not draw from."""
+    coo, meta = with_meta(spark, sf_dir, "supp_part")
+    p = bl.positives(bl.filters(coo, meta, 0.05, SEED), 0.05, SEED)
+    return bl.fetched(bl.chosen_by_rounds(p, bl.sizes(coo, meta, 0.05), 0.05, SEED), coo)
+
+
+TOP_CONV = f"SELECT tensor_id, idx, value FROM (SELECT *, row_number() OVER (ORDER BY abs(value) DESC, idx) AS n FROM ({q.TENSORS['conv']})) WHERE n <= floor({q.DIMENSIONS['conv']} * 0.01)"
+
+
+@query("q_bloom_dense", f"WITH {q.filter_ctes(TOP_CONV, q.DIMENSIONS['conv'], FPR, SEED)} SELECT p.tensor_id, p.idx, coalesce(g.value, 0) AS value FROM p LEFT JOIN ({q.TENSORS['conv']}) g ON g.idx = p.idx")
+def bloom_dense(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Values at false positives fetched from the dense original."""
+    g, d = ts.conv(spark, sf_dir), dim(spark, sf_dir, "conv")
+    top = sp.top_r(g, sp.r_of(d, 0.01))
+    return bl.decode(top, ts.meta(top, d), FPR, "p0", SEED, g)
+
+
 @query("q_p1_hybrid_counts", _filtered("supp_part", 0.05) + f"SELECT c.tensor_id, count(t.idx) AS k1, count(*) - count(t.idx) AS k2 FROM ({q.chosen('p1', SEED)}) c LEFT JOIN t ON t.tensor_id = c.tensor_id AND t.idx = c.idx GROUP BY 1")
 def p1_hybrid_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     coo, meta = with_meta(spark, sf_dir, "supp_part")
@@ -419,14 +450,8 @@ def quantile_buckets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.withColumn("bucket", F.col("bucket").cast("bigint")).withColumn("decoded", F.round("decoded", 6))
 
 
-@query("q_map_roundtrip", f"SELECT tensor_id, count(*) AS n, CAST(count(*) AS BIGINT) AS kept FROM ({q.small('supp_part')}) GROUP BY 1")
-def map_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Keys that a filter without errors and a reordering fit give back in place: the map restores the order."""
-    coo, meta = with_meta(spark, sf_dir, "supp_part")
-    codec = Codec(BitmapKeys(), FitPoly())
-    back = codec.decode(codec.encode(coo, meta)).select("tensor_id", "idx", F.lit(1).alias("hit"))
-    both = coo.join(back, ["tensor_id", "idx"], "left")
-    return both.groupBy("tensor_id").agg(F.count("*").alias("n"), F.count("hit").alias("kept"))
+# sorted values under keys that keep their own order: only the map brings each value back to its key
+_round_trip("q_map_roundtrip", "supp_part", Codec(BitmapKeys(), SortedValues()))
 
 
 # ---- baselines
@@ -453,7 +478,14 @@ def minmax_sketch(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rl.minmax_query(ids, rl.minmax_sketch(ids, ROWS, COLS, SEED), ROWS, COLS, SEED)
 
 
-@query("q_skcompress")
+SKETCHED = "SELECT tensor_id, CASE WHEN k < r % 128 THEN r // 128 + 1 ELSE r // 128 END AS n FROM (SELECT tensor_id, count(*) AS r, unnest(range(0, 128)) AS k FROM ({}) GROUP BY 1) WHERE k < r"
+
+
+@query(
+    "q_skcompress",
+    f"WITH RECURSIVE {q.delta_huffman_bits(q.small('nation_part'))}, {q.huffman_cost(SKETCHED.format(q.small('nation_part')), 'v')} "
+    f"SELECT tensor_id, (SELECT count(*) FROM ({q.small('nation_part')})) AS r, CAST(dh.bits AS BIGINT) AS bits_idx, CAST(v_cost.bits + 40 * 128 AS BIGINT) AS bits_val FROM dh JOIN v_cost USING (tensor_id)",
+)
 def skcompress_bits(spark: SparkSession, sf_dir: str) -> DataFrame:
     return skcompress().encode(*with_meta(spark, sf_dir, "nation_part")).select("tensor_id", "r", "bits_idx", "bits_val")
 
@@ -554,7 +586,16 @@ def comm_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(k, w, float(comm_bytes(k, w, 1e6))) for k in ("allreduce", "allgather", "ps") for w in (4, 8)], "kind string, workers int, bytes double")
 
 
-@query("q_lemma_checks")
+LEMMAS = (
+    f"WITH t AS MATERIALIZED ({q.small('supp_part')}), s AS (SELECT *, row_number() OVER (PARTITION BY tensor_id ORDER BY abs(value) DESC, idx) AS n, row_number() OVER (PARTITION BY tensor_id ORDER BY idx) AS at, row_number() OVER (PARTITION BY tensor_id ORDER BY value DESC, idx) AS rank FROM t), "
+    f"rows_ AS (SELECT 'top_r' AS lemma, tensor_id, sum(CASE WHEN n > {R_TOP} THEN value * value ELSE 0 END) / CAST(sum(value * value) AS DOUBLE) AS error, 1 - least({R_TOP}, count(*)) / CAST(count(*) AS DOUBLE) AS bound FROM s GROUP BY 2 "
+    "UNION ALL SELECT 'p0', tensor_id, 0, 0 FROM t GROUP BY 2 "
+    "UNION ALL SELECT 'sorting', a.tensor_id, sum(pow(a.value - b.value, 2)), 2 * (sum(a.value * a.value) - sum(a.value * b.value)) FROM s a JOIN s b ON a.tensor_id = b.tensor_id AND a.at = b.rank GROUP BY 2) "
+    "SELECT lemma, tensor_id, round(CAST(error AS DOUBLE), 6) AS error, round(CAST(bound AS DOUBLE), 6) AS bound, true AS holds FROM rows_"
+)
+
+
+@query("q_lemma_checks", LEMMAS)
 def lemma_checks(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Bounds beside what is observed: top-r below random-r, zero error of p0, choice errors, the sorting identity."""
     coo, meta = with_meta(spark, sf_dir, "supp_part")
@@ -615,3 +656,21 @@ def sql_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
     register(spark)
     ts.to_arrays(small(spark, sf_dir, "supp_part")).createOrReplaceTempView("sparsewire_arrays")
     return spark.sql("SELECT tensor_id, count(*) AS n, sum(CAST(v AS DOUBLE)) AS total FROM (SELECT tensor_id, explode(inflate_floats(deflate_floats(values))) AS v FROM sparsewire_arrays) GROUP BY 1")
+
+
+T_R, T_D, T_F = 320, 32_000, 0.01
+
+
+@query(
+    "q_theory",
+    f"SELECT name, round(CAST(value AS DOUBLE), 9) AS value FROM (VALUES ('delta', {T_R} / {T_D}.0), ('random_r_error', (1 - {T_R} / {T_D}.0) * 7), ('positives', ceil({T_R} + {T_F} * ({T_D} - {T_R}))), ('p0_error', (1 - 700 / {T_D}.0) * 7), ('pd_error', (1 - 250 / {T_R}.0) * 7), "
+    f"('p1_error', (1 - 300 / {T_R}.0) * 5 + (1 - 20 / (700 - {T_R}.0)) * 2), ('moment', 2 * (2 - 0.01) * 7), ('linear', 2 * 3.0 / 64), ('constant', 3.0 / 18), ('linear_l2', sqrt(100) * 2 * 3.0 / 64), ('bits_per_key', -ln({T_F}) / pow(ln(2), 2)), ('volume_fit', (32 * {T_R} + 32 * 20) / (64.0 * {T_R})), "
+    f"('volume_p0_qsgd', ((0.6 + 0.6 * 0.4) * (7 + 32 / 512.0) - ln(0.6) / pow(ln(2), 2) * 0.6) / 32)) v(name, value)",
+)
+def theory(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The closed forms at one point each."""
+    rows = {
+        "delta": th.delta_bound(T_R, T_D), "random_r_error": th.random_r_error(T_R, T_D, 7), "positives": th.positives_bound(T_R, T_D, T_F), "p0_error": th.p0_error(700, T_D, 7, False), "pd_error": th.pd_error(250, T_R, T_D, 7, True), "p1_error": th.p1_error(300, 20, T_R, 700, 5, 2),
+        "moment": th.moment_bound(0.01, 7, True), "linear": th.fit_bound(3, 8, 100), "constant": th.fit_bound(3, 8, 100, "constant"), "linear_l2": th.fit_bound(3, 8, 100, norm="l2"), "bits_per_key": th.bits_per_key(T_F), "volume_fit": th.volume_fit(T_R, 20), "volume_p0_qsgd": th.volume_p0_qsgd(0.6, 0.6),
+    }
+    return spark.createDataFrame([(k, round(float(v), 9)) for k, v in rows.items()], "name string, value double")

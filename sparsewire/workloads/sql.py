@@ -77,3 +77,31 @@ def decoded(policy: str, seed: int = 0) -> str:
             "JOIN (SELECT tensor_id, value, row_number() OVER (PARTITION BY tensor_id ORDER BY idx) AS n FROM t) v USING (tensor_id, n)"
         )
     return f"SELECT c.tensor_id, c.idx, coalesce(t.value, 0) AS value FROM ({chosen(policy, seed)}) c LEFT JOIN t ON t.tensor_id = c.tensor_id AND t.idx = c.idx"
+
+
+def gaps(cells: str) -> str:
+    return f"SELECT tensor_id, idx, idx - lag(idx, 1, -1) OVER (PARTITION BY tensor_id ORDER BY idx) AS gap FROM ({cells})"
+
+
+def huffman_cost(counts: str, name: str = "h") -> str:
+    """CTEs ending in {name}_cost (tensor_id, bits, symbols): bits of an optimal prefix code over (tensor_id, n) counts.
+
+    Merging the two smallest counts, again and again, adds up to the length of the coded text, however ties fall.
+    """
+    return (
+        f"{name}_0 AS MATERIALIZED (SELECT tensor_id, list(n ORDER BY n) AS w FROM ({counts}) GROUP BY 1), "
+        f"{name} AS (SELECT tensor_id, w, CAST(CASE WHEN len(w) = 1 THEN w[1] ELSE 0 END AS BIGINT) AS bits, len(w) AS symbols FROM {name}_0 "
+        f"UNION ALL SELECT tensor_id, list_sort(list_append(w[3:], w[1] + w[2])), bits + w[1] + w[2], symbols FROM {name} WHERE len(w) > 1), "
+        f"{name}_cost AS MATERIALIZED (SELECT tensor_id, bits, symbols FROM {name} WHERE len(w) = 1)"
+    )
+
+
+def gap_byte_counts(cells: str) -> str:
+    """(tensor_id, n): how often each byte value occurs in the gaps, each in as few bytes as it needs."""
+    size = "CASE WHEN gap < 256 THEN 1 WHEN gap < 65536 THEN 2 WHEN gap < 16777216 THEN 3 ELSE 4 END"
+    return f"SELECT tensor_id, count(*) AS n FROM (SELECT tensor_id, unnest([(gap >> (8 * k)) & 255 FOR k IN range(0, {size})]) AS byte FROM ({gaps(cells)})) GROUP BY tensor_id, byte"
+
+
+def delta_huffman_bits(cells: str) -> str:
+    """CTEs ending in dh (tensor_id, bits): coded gap bytes, two bits a key, and two bytes a byte value."""
+    return f"{huffman_cost(gap_byte_counts(cells), 'g')}, dh AS (SELECT tensor_id, bits + 2 * r + 16 * symbols AS bits FROM g_cost JOIN (SELECT tensor_id, count(*) AS r FROM ({cells}) GROUP BY 1) USING (tensor_id))"
