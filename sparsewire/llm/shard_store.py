@@ -2,9 +2,15 @@
 
 An append writes the rows that arrive as a run of small files. Runs whose sizes fall into the same tier are merged,
 ``FAN_IN`` at a time, into files of the target size; a merge reads and writes rows without a shuffle. The list of live
-runs is a manifest of which each version is a file of its own: it is written under another name and renamed, which
-fails if another writer has made that version, so readers see one whole version or the next. Files that no version
-from the latest on needs are removed by ``vacuum``.
+runs is a manifest of which each version is a file of its own: it is written whole under another name and then takes
+its own name in one step that fails if another writer has made that version, so readers see one whole version or the
+next, and of two writers one starts anew. Local folders do that by a link, others by a rename that never replaces; a
+store of objects that has no such rename can take one writer at a time. Files that no version from the latest on needs
+are removed by ``vacuum``.
+
+Rows are kept as they come: nulls in any column, repeated rows, empty and very long texts. An append casts the columns
+of the store's schema and leaves out others; names are matched as Spark matches them, so rows with two columns of one
+name are refused. An empty append is a run without rows.
 """
 
 from __future__ import annotations
@@ -14,6 +20,7 @@ import math
 import uuid
 from dataclasses import asdict, dataclass
 
+from py4j.protocol import Py4JJavaError
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
@@ -70,11 +77,26 @@ class ShardStore:
         stream = self._fs.create(held, False)
         stream.write(bytearray(json.dumps({"version": base + 1, "runs": [asdict(r) for r in runs]}).encode()))
         stream.close()
-        if self._fs.exists(new) or not self._fs.rename(held, new):
+        try:
+            self._publish(held, new)
+        except Py4JJavaError as e:
             self._fs.delete(held, False)
-            raise RuntimeError(f"version {base + 1} exists: read the manifest again")
+            raise RuntimeError(f"version {base + 1} exists: read the manifest again") from e
         return base + 1
 
+    def _publish(self, held: object, new: object, by_link: bool | None = None) -> None:
+        """Gives a written file the name that no other may have taken."""
+        jvm, uri = self.spark._jvm, self._fs.makeQualified(new).toUri()
+        if uri.getScheme() == "file" if by_link is None else by_link:
+            local = lambda p: jvm.java.nio.file.Paths.get(self._fs.makeQualified(p).toUri())
+            jvm.java.nio.file.Files.createLink(local(new), local(held))
+            self._fs.delete(held, False)
+            return
+        rename = getattr(jvm.org.apache.hadoop.fs, "Options$Rename")
+        options = self.spark.sparkContext._gateway.new_array(rename, 1)
+        options[0] = rename.NONE
+        jvm.org.apache.hadoop.fs.FileContext.getFileContext(uri, self.spark._jsc.hadoopConfiguration()).rename(held, new, options)
+
     def measured(self, path: str) -> Run:
         files = [s for s in self._fs.listStatus(self._path(path)) if s.getPath().getName().startswith("part-")]
         return Run(path, sum(s.getLen() for s in files), len(files))

@@ -279,6 +279,42 @@ def test_tiers_versions_and_vacuum(spark):
     assert store.read().count() == 18
 
 
+def test_one_of_two_writers_commits(spark):
+    schema = spark.range(1).schema
+    root = fresh_dir(spark, "writers")
+    stores = [shard_store.ShardStore(spark, root, schema) for _ in range(6)]
+    from concurrent.futures import ThreadPoolExecutor
+
+    def commit(s):
+        try:
+            return s.commit(0, [])
+        except RuntimeError:
+            return None
+
+    with ThreadPoolExecutor(6) as pool:
+        assert sorted(map(str, pool.map(commit, stores))) == ["1"] + ["None"] * 5
+    assert stores[0].version() == 1 and stores[0].runs() == []
+    qualified = stores[0]._path(f"{root}/_manifests/v0000000001.json")
+    for by_link in (True, False):
+        held = stores[0]._path(f"{root}/_manifests/.held{by_link}")
+        stores[0]._fs.create(held, False).close()
+        with pytest.raises(Exception, match="Exists"):
+            stores[0]._publish(held, qualified, by_link)
+        stores[0]._publish(held, stores[0]._path(f"{root}/_manifests/v000000000{2 + by_link}.json"), by_link)
+    assert stores[0].version() == 3
+
+
+def test_store_keeps_odd_rows(spark, docs_schema):
+    store = shard_store.ShardStore(spark, fresh_dir(spark, "odd"), spark.createDataFrame([], docs_schema).schema)
+    rows = [(None, None, None, None, None), (1, "", "en", "s", 0), (1, "", "en", "s", 0), (2, "x" * 2_000_000, "en", "s", 2_000_000)]
+    d = spark.createDataFrame(rows, docs_schema)
+    for part in (d.withColumn("more", F.lit(1)), d.limit(0), d, d, d):
+        store.append(part)
+    store.compact()
+    got = sorted(map(repr, store.read().collect()))
+    assert got == sorted(4 * list(map(repr, d.collect())))
+
+
 def test_no_python_on_the_main_path(spark, sf):
     plan = shard_store.op8_size_tiered_shards(spark, sf)._jdf.queryExecution().toString()
     assert not any(w in plan for w in ("Python", "Pandas", "Arrow"))
