@@ -105,7 +105,7 @@ def fingerprint_array(texts: list[bytes | None]) -> np.ndarray:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, fp bigint) of every row; null texts count as empty, null ids stay last."""
+    """(id, fp bigint) of every row; null texts count as empty, null ids stay null."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -114,7 +114,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
                 fp = fingerprint_array(part.column(1).to_pylist()).view(np.int64)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp)], names=["id", "fp"])
 
-    return bounded_batches(docs.select(id_or_last(id_col).alias("id"), F.encode(F.col(text_col), "UTF-8").alias("b"))).mapInArrow(run, "id bigint, fp bigint")
+    return bounded_batches(docs.select(F.col(id_col).cast("bigint").alias("id"), F.encode(F.col(text_col), "UTF-8").alias("b"))).mapInArrow(run, "id bigint, fp bigint")
 
 
 def _short(fp: np.ndarray, rep: np.ndarray, run: np.ndarray, size: np.ndarray) -> Iterator[np.ndarray]:
@@ -205,14 +205,14 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
     Rows with equal fingerprints form a class of which one representative enters the index; components are found
     over representatives. Null and empty texts have fingerprint zero; a null id never names a component unless all
-    members lack one; repeated rows give repeated results.
+    members lack one (nor does the greatest number that an id can be); repeated rows give repeated results.
     """
     fps = cut(fingerprints(docs, id_col, text_col))
-    classes = fps.groupBy("fp").agg(F.min("id").alias("rep"))
+    classes = fps.groupBy("fp").agg(F.min(id_or_last("id")).alias("rep"))
     comp = connected_components(links(classes))
     named = classes.join(comp, classes.rep == comp.node, "left").select("fp", F.coalesce("component", "rep").alias("component"))
     out = fps.join(named, "fp")
-    return out.select(id_back("id").alias("doc_id"), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), id_back("component").alias("component_id"))
+    return out.select(F.col("id").alias("doc_id"), F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), id_back("component").alias("component_id"))
 
 
 def op9_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
