@@ -20,11 +20,16 @@ from .hashing import hash_array
 
 @pandas_udf(T.BooleanType())
 def bloom_may_contain(words: pd.Series, idx: pd.Series, k: pd.Series, m: pd.Series, seed: pd.Series) -> pd.Series:
-    def one(w, i, k_, m_, s):
-        pos = [int(hash_array(np.array([i]), j, int(s))[0] % m_) for j in range(int(k_))]
-        return all(int(w[p // 64]) >> (p % 64) & 1 for p in pos)
-
-    return pd.Series([one(*x) for x in zip(words, idx, k, m, seed, strict=True)], dtype=bool)
+    """Hashes of a whole batch at once, for each seed that it holds; a row looks only its own bits up."""
+    keys, size, hashes, seeds = (x.to_numpy(np.int64) for x in (idx, m, k, seed))
+    hit = np.ones(len(keys), bool)
+    for s in np.unique(seeds).tolist():
+        for j in range(int(hashes[seeds == s].max(initial=0))):
+            left = np.flatnonzero(hit & (seeds == s) & (hashes > j))
+            pos = hash_array(keys[left], j, s) % size[left]
+            word = np.fromiter((words.iat[i][p] for i, p in zip(left.tolist(), (pos // 64).tolist(), strict=True)), np.int64, len(left))
+            hit[left] = (word >> (pos % 64)) & 1 == 1
+    return pd.Series(hit)
 
 
 @pandas_udf(T.BinaryType())

@@ -211,30 +211,33 @@ def convolution_volumes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return conv_volumes(spark, sf_dir)
 
 
+def _kernel_seconds(spark: SparkSession, coo: DataFrame, d: int, codecs: dict[str, Codec], reps: int) -> DataFrame:
+    t = coo.select("idx", F.col("value").cast("double").alias("value")).toPandas().sort_values("idx")
+    keys, values, rows = t["idx"].to_numpy(), t["value"].to_numpy(), []
+    for name, codec in codecs.items():
+        c = codec.encode_block(keys, values, d)
+        start = time.perf_counter()
+        for _ in range(reps):
+            c = codec.encode_block(keys, values, d)
+        mid = time.perf_counter()
+        for _ in range(reps):
+            codec.decode_block(c)
+        rows.append((name, (mid - start) / reps, (time.perf_counter() - mid) / reps))
+    return spark.createDataFrame(rows, "method string, enc_s double, dec_s double")
+
+
 @query("e14_codec_seconds")
 def codec_seconds(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds to encode and decode one block by codec, the kernels alone: the dense stand-in's top 1%, and the
-    inherently sparse recommender stand-in with its three methods."""
+    """Seconds to encode and decode one block of the dense stand-in's top 1%, by codec: the kernels alone."""
+    d = dim(spark, sf_dir, "conv")
+    return _kernel_seconds(spark, sp.top_r(ts.conv(spark, sf_dir), sp.r_of(d, 0.01)), d, catalogue(0.001, SEED), 5)
 
-    def timed(tensor: str, coo: DataFrame, d: int, codecs: dict[str, Codec]) -> list[tuple]:
-        t = coo.select("idx", F.col("value").cast("double").alias("value")).toPandas().sort_values("idx")
-        keys, values, rows = t["idx"].to_numpy(), t["value"].to_numpy(), []
-        for name, codec in codecs.items():
-            c = codec.encode_block(keys, values, d)
-            start = time.perf_counter()
-            for _ in range(5):
-                c = codec.encode_block(keys, values, d)
-            mid = time.perf_counter()
-            for _ in range(5):
-                codec.decode_block(c)
-            rows.append((tensor, name, (mid - start) / 5, (time.perf_counter() - mid) / 5))
-        return rows
 
-    d = dim(spark, sf_dir, "conv")
-    rows = timed("conv", sp.top_r(ts.conv(spark, sf_dir), sp.r_of(d, 0.01)), d, catalogue(0.001, SEED))
+@query("e14c_sparse_codec_seconds")
+def sparse_codec_seconds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same for the three methods of the inherently sparse recommender stand-in."""
     coo, meta = with_meta(spark, sf_dir, "nation_part")
-    rows += timed("nation_part", coo, meta.first()["d"], inherent_codecs())
-    return spark.createDataFrame(rows, "tensor string, method string, enc_s double, dec_s double")
+    return _kernel_seconds(spark, coo, meta.first()["d"], inherent_codecs(), 1)
 
 
 @query("e14b_job_seconds")

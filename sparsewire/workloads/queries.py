@@ -658,6 +658,54 @@ def sql_functions(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.sql("SELECT tensor_id, count(*) AS n, sum(CAST(v AS DOUBLE)) AS total FROM (SELECT tensor_id, explode(inflate_floats(deflate_floats(values))) AS v FROM sparsewire_arrays) GROUP BY 1")
 
 
+def _view(spark: SparkSession, name: str, df: DataFrame) -> str:
+    from ..functions.extensions import register
+
+    register(spark)
+    df.createOrReplaceTempView(f"sparsewire_{name}")
+    return f"sparsewire_{name}"
+
+
+@query("q_sql_huffman", f"SELECT tensor_id, CAST(symbol AS INT) AS symbol, count(*) AS n FROM (SELECT tensor_id, idx % 256 AS symbol FROM ({q.TENSORS['supp_part']})) GROUP BY 1, 2")
+def sql_huffman(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Coded and decoded again by the functions that SQL can call."""
+    rows = ts.supp_part(spark, sf_dir).groupBy("tensor_id").agg(F.collect_list(F.expr("CAST(idx % 256 AS INT)")).alias("x"))
+    return spark.sql(f"SELECT tensor_id, symbol, count(*) AS n FROM (SELECT tensor_id, explode(huffman_decode(huffman_encode(x))) AS symbol FROM {_view(spark, 'symbols', rows)}) GROUP BY 1, 2")
+
+
+@query("q_sql_run_expand", f"SELECT tensor_id, idx FROM ({q.TENSORS['supp_part']})")
+def sql_run_expand(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The table function that spells out runs, over the runs of each tensor."""
+    runs = rl.runs(*with_meta(spark, sf_dir, "supp_part", exact=False)).groupBy("tensor_id").agg(F.array_sort(F.collect_list(F.struct("first", "symbol", "length"))).alias("r"))
+    rows = runs.selectExpr("tensor_id", "r[0].symbol AS symbol", "r.length AS lengths")
+    return spark.sql(f"SELECT tensor_id, t.idx FROM {_view(spark, 'runs', rows)}, LATERAL run_expand(symbol, lengths) t")
+
+
+@query("q_sql_decode_container", f"SELECT tensor_id, idx, CAST(value AS DOUBLE) AS value FROM ({q.small('supp_part')})")
+def sql_decode_container(spark: SparkSession, sf_dir: str) -> DataFrame:
+    c = Codec(BitmapKeys()).encode(*with_meta(spark, sf_dir, "supp_part")).select("tensor_id", "d", "idx_payload", "val_payload")
+    return spark.sql(f"SELECT tensor_id, t.idx, t.value FROM {_view(spark, 'containers', c)}, LATERAL decode_container(d, idx_payload, val_payload) t")
+
+
+@query("q_sql_bloom", _filtered("supp_part", 0.05) + "SELECT t.tensor_id, t.idx + 1 AS probe, p.idx IS NOT NULL AS held FROM t LEFT JOIN p ON p.tensor_id = t.tensor_id AND p.idx = t.idx + 1")
+def sql_bloom(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every key's successor asked of its tensor's filter; successors beyond the tensor are not part of it."""
+    coo, meta = with_meta(spark, sf_dir, "supp_part")
+    rows = coo.join(bl.filters(coo, meta, 0.05, SEED), "tensor_id").selectExpr("tensor_id", "idx + 1 AS probe", "words", "m", "k", "width")
+    return spark.sql(f"SELECT tensor_id, probe, probe < width AND bloom_may_contain(words, probe, k, m, {SEED}) AS held FROM {_view(spark, 'probes', rows)}")
+
+
+@query("q_stream_sliding_volume", "SELECT CAST(epoch(date_trunc('day', ts)) AS BIGINT) - 86400 * k AS tensor_id, user_id AS idx, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS value FROM events, (SELECT unnest([0, 1]) AS k) GROUP BY 1, 2")
+def stream_sliding_volume(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Tensors of two days, one beginning each day, by a stream that reads all there is."""
+    import uuid
+
+    from ..streaming.gradients import collected, read_stream, windowed
+
+    cells = windowed(read_stream(spark, f"{sf_dir}/events.parquet"), "2 days", "1 day").select("tensor_id", "idx", "value")
+    return collected(cells, f"sliding_{uuid.uuid4().hex}")
+
+
 T_R, T_D, T_F = 320, 32_000, 0.01
 
 
