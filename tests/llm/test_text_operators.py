@@ -337,6 +337,29 @@ def test_lasso_drops_useless_rules():
     assert abs(w[0]) > 0.5 and abs(w[1]) > 0.5 and np.count_nonzero(w[2:]) == 0
 
 
+# ---- texts of a megabyte and more
+
+
+def test_very_long_texts(spark, docs_schema, sf):
+    rng = random.Random(9)
+    words = [f"w{rng.randrange(40_000)}" for _ in range(220_000)]
+    long, other = " ".join(words), " ".join(words[:100_000] + ["changed"] * 5 + words[100_000:])
+    bench = spark.read.parquet(f"{sf}/benchmark.parquet")
+    item = bench.orderBy("item_id").first()
+    texts = [long, "short one", other, long + " " + item.text, "=" * 1_500_000, "=" * 1_200_000 + "x", None]
+    d = frame(spark, docs_schema, texts)
+    assert len(long) > 1_200_000
+    found = {(r.doc_id, r.item_id) for r in decontaminate.contaminated(d, bench).collect()}
+    assert found == {(3, item.item_id)} and sorted(r.doc_id for r in decontaminate.keep_clean(d, bench).collect()) == [0, 1, 2, 4, 5, 6]
+    got = {r.doc_id: r for r in simhash_dedup.near_duplicates(d).collect()}
+    assert {i: int(r.fingerprint, 16) for i, r in got.items()} == {i: brute_fingerprint(t) for i, t in enumerate(texts)}
+    assert sorted(r.doc_id for r in simhash_dedup.keep_one(d).collect()) == [0, 1, 4, 5, 6]
+    cut = {r.doc_id: (r.n_bytes, r.n_removed) for r in suffix_dedup.repeats(d).collect()}
+    assert cut[0] == (len(long), 0) and cut[4] == (1_500_000, 0) and cut[5] == (1_200_001, 1_200_000) and cut[6] == (0, 0)
+    want = {r[0]: (r[1], r[2]) for r in brute_repeats([(i, t) for i, t in enumerate(texts) if i in (0, 2, 3)])}
+    assert all(cut[i] == want[i] for i in (0, 2, 3))
+
+
 # ---- pipeline
 
 
