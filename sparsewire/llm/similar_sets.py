@@ -56,8 +56,8 @@ def _rows(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def parities(s: np.ndarray) -> bytes:
-    """A bit for each of a power of two of buckets, set if an odd number of the set's hashes fall into it."""
-    bits = 1 << max(LEAST_BITS, (max(len(s), 1) - 1).bit_length())
+    """A bit for each of a power of two of buckets, two a hash at least, set if an odd number of the hashes fall into it."""
+    bits = 1 << max(LEAST_BITS, (2 * max(len(s), 1) - 1).bit_length())
     odd = np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1
     return np.packbits(odd.astype(np.uint8), bitorder="little").tobytes()
 
@@ -82,8 +82,8 @@ def _may_be_alike(pairs: DataFrame, classes: DataFrame) -> DataFrame:
     """The pairs (a, b) but those whose parities prove them unlike.
 
     Each hash that only one set has turns one bit, so the sets differ in as many hashes at least as their parities
-    differ in bits; of unequal lengths the longer is folded. No alike pair is lost, and a bit for a shingle travels
-    where its set would take sixty-four.
+    differ in bits; of unequal lengths the longer is folded. No alike pair is lost, and two to four bits for a shingle
+    travel where its set would take sixty-four.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -187,8 +187,36 @@ def _other_pairs(start: np.ndarray, size: np.ndarray, cols: list[np.ndarray]) ->
             yield a + i[keep], a + j[keep]
 
 
+def _folded(bits: np.ndarray, words: int) -> np.ndarray:
+    """Parities of one list's members, in so many 64-bit words; zeros where a member has fewer."""
+    out = np.zeros((len(bits), words), np.uint64)
+    for i, x in enumerate(bits):
+        if len(x) >= 8 * words:
+            out[i] = np.bitwise_xor.reduce(np.frombuffer(x, np.uint64).reshape(-1, words))
+    return out
+
+
+def _parities_allow(bits: np.ndarray, n: np.ndarray, i: np.ndarray, j: np.ndarray, kept: dict[int, np.ndarray]) -> np.ndarray:
+    """What _may_be_alike tests, for pairs of members of one list; kept holds the list's folded parities."""
+    if 0 not in kept:
+        kept[0] = np.array([len(x) // 8 for x in bits], np.int64)
+    words = np.minimum(kept[0][i], kept[0][j])
+    ok = np.zeros(len(i), bool)
+    for w in np.unique(words).tolist():
+        at = np.flatnonzero(words == w)
+        if w not in kept:
+            kept[w] = _folded(bits, w)
+        m = kept[w]
+        apart = np.bitwise_count(m[i[at]] ^ m[j[at]]).sum(axis=1)
+        ok[at] = (NUM + DEN) * apart <= (DEN - NUM) * (n[i[at]] + n[j[at]])
+    return ok
+
+
 def _pairs(lists: DataFrame, choose: Callable) -> DataFrame:
-    """Distinct (a, b, kind): keys that may be alike with kind 0; a long list's token with kind 1."""
+    """Distinct (a, b, kind): keys that may be alike with kind 0; a long list's token with kind 1.
+
+    Where lists carry the parities of their members, pairs that these prove unlike go no further than this task.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def batch(a: np.ndarray, b: np.ndarray, kind: int) -> pa.RecordBatch:
@@ -203,15 +231,23 @@ def _pairs(lists: DataFrame, choose: Callable) -> DataFrame:
             size = np.diff(np.append(start, len(token)))
             if len(long := token[start[size > SHORT_LIST]]):
                 yield batch(long, long, 1)
+            of, kept = -1, {}
             for i, j in choose(start, size, cols):
                 hit = _may(n, pos, i, j) & (cols[4][i] != cols[4][j])
+                if len(cols) > 5 and hit.any():
+                    # pairs of one list at a time
+                    list_ = int(np.searchsorted(start, i[0], side="right")) - 1
+                    if list_ != of:
+                        of, kept = list_, {}
+                    part = slice(start[of], start[of] + size[of])
+                    hit[hit] = _parities_allow(cols[5][part], n[part], i[hit] - start[of], j[hit] - start[of], kept)
                 if hit.any():
                     x, y = k[i[hit]], k[j[hit]]
                     yield batch(np.minimum(x, y), np.maximum(x, y), 0)
 
         held: list[np.ndarray] | None = None
         for b in batches:
-            cols = [c.to_numpy() for c in b.columns]
+            cols = [c.to_numpy(zero_copy_only=False) for c in b.columns]
             if not len(cols[0]):
                 continue
             if held is not None:
@@ -273,7 +309,8 @@ def groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
     long = found.where("kind = 1").select(F.col("a").alias("token"))
     if not long.isEmpty():
         again = lists.drop("component").join(small_side(long), "token", "left_semi").join(comp, F.col("k") == F.col("node"), "left")
-        more = _pairs(again.select("token", "k", "n", "pos", F.coalesce("component", "k").alias("component")), _other_pairs)
+        again = again.select("token", "k", "n", "pos", F.coalesce("component", "k").alias("component"))
+        more = _pairs(again.join(classes.select("k", "bits"), "k").select("token", "k", "n", "pos", "component", "bits"), _other_pairs)
         comp = connected_components(links.unionByName(_verified(more.where("kind = 0").select("a", "b").join(met, ["a", "b"], "left_anti"), rows, classes)))
     named = cut(classes.join(comp, classes.k == comp.node, "left").select("k", "id", F.coalesce("component", "k").alias("component")))
     least = named.groupBy("component").agg(F.min("id").alias("least"))
