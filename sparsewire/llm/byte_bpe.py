@@ -14,7 +14,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import lru_cache
 from itertools import chain
 
@@ -66,6 +66,32 @@ def _merges(ranks: dict[bytes, int]) -> list[tuple[bytes, bytes]]:
     return out
 
 
+class Remembered:
+    """What has been met lately: entries not asked for while as many new ones as the limit came are forgotten."""
+
+    def __init__(self, most: int = REMEMBERED) -> None:
+        self.most, self.new, self.old = most, {}, {}
+
+    def get(self, keys: list[str]) -> list[bytes | None]:
+        got = list(map(self.new.get, keys))
+        if self.old:
+            new, old = self.new, self.old
+            for i, x in enumerate(got):
+                if x is None:
+                    found = old.get(keys[i])
+                    if found is not None:
+                        new[keys[i]] = got[i] = found
+        return got
+
+    def put(self, pairs: Iterable[tuple[str, bytes]]) -> None:
+        self.new.update(pairs)
+        if len(self.new) > self.most:
+            self.new, self.old = {}, self.new
+
+    def clear(self) -> None:
+        self.new, self.old = {}, {}
+
+
 class Codec:
     """Encoder and decoder of one rank file."""
 
@@ -85,9 +111,7 @@ class Codec:
         self.sizes[list(self.bytes_of)] = [len(x) for x in self.bytes_of.values()]
         #: Per string, int32 triples (id, first character, past-the-last character): of pieces with the space before
         #: them, of words, and of other short strings.
-        self.known: dict[str, bytes] = {}
-        self.words: dict[str, bytes] = {}
-        self.strings: dict[str, bytes] = {}
+        self.known, self.words, self.strings = Remembered(), Remembered(), Remembered()
 
     def _word_triples(self, words: list[str]) -> list[bytes]:
         """Triples of matches of the pattern; the model merges those that are new, spelled by the byte table.
@@ -95,8 +119,9 @@ class Codec:
         A token's bytes follow from its id, so what it covers is counted in bytes first and then in the characters
         that these bytes begin.
         """
-        known = self.words
-        new = list(set(words).difference(known))
+        distinct = list(set(words))
+        found = dict(zip(distinct, self.words.get(distinct), strict=True))
+        new = [w for w, x in found.items() if x is None]
         if new:
             raw = [w.encode() for w in new]
             ids = [[t.id for t in self.model.tokenize(r.decode("latin-1").translate(self.spelled))] for r in raw]
@@ -111,8 +136,10 @@ class Codec:
             out[:, 1] = begun[stop - self.sizes[flat] + 1] - 1 - np.repeat(base, n)
             out[:, 2] = begun[stop] - np.repeat(base, n)
             raw_out, ends = out.tobytes(), (12 * np.cumsum(n)).tolist()
-            known.update(zip(new, [raw_out[x:y] for x, y in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
-        return list(map(known.__getitem__, words))
+            fresh = dict(zip(new, [raw_out[x:y] for x, y in zip([0, *ends[:-1]], ends, strict=True)], strict=True))
+            found.update(fresh)
+            self.words.put((w, x) for w, x in fresh.items() if len(w) <= LONGEST_REMEMBERED)
+        return list(map(found.__getitem__, words))
 
     def _split_triples(self, text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Triples of a text, and for each match of the pattern its first character and number of tokens."""
@@ -134,11 +161,11 @@ class Codec:
         return [raw[x:y] for x, y in zip(ends[:-1], ends[1:], strict=True)]
 
     def _one(self, text: str) -> bytes:
-        got = self.strings.get(text)
+        got = self.strings.get([text])[0] if len(text) <= LONGEST_REMEMBERED else None
         if got is None:
             got = self._split_triples(text)[0].tobytes()
             if len(text) <= LONGEST_REMEMBERED:
-                self.strings[text] = got
+                self.strings.put([(text, got)])
         return got
 
     def _whole(self, text: str) -> bytes:
@@ -146,7 +173,7 @@ class Codec:
         head, *rest = CUT.split(text)
         parts, at = [self._one(head)], len(head)
         for p in rest:
-            t = np.frombuffer(self.known.get(p) or self._one(" " + p), np.int32).reshape(-1, 3) + np.array([0, at, at], np.int32)
+            t = np.frombuffer(self.known.new.get(p) or self._one(" " + p), np.int32).reshape(-1, 3) + np.array([0, at, at], np.int32)
             parts.append(t.tobytes())
             at += len(p) + 1
         return b"".join(parts)
@@ -160,10 +187,7 @@ class Codec:
     def encode_flat(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(id, first character, past-the-last character) of all texts' tokens, and where each text's end (one more
         entry than texts)."""
-        for held in (self.known, self.words, self.strings):
-            if len(held) > REMEMBERED:
-                held.clear()
-        known, texts = self.known, pc.fill_null(texts, "")
+        texts = pc.fill_null(texts, "")
         lists = pc.split_pattern(texts, " ")
         first = lists.offsets.to_numpy()
         first = first - first[0]
@@ -173,7 +197,7 @@ class Codec:
         run = np.cumsum(np.array([len(p) + 1 for p in pieces], np.int64)[at]) if len(at) else at
         space = np.concatenate(([0], run[:-1])) if len(at) else at
         space = space - np.repeat(space[first[:-1]], np.diff(first)) - 1
-        got = list(map(known.get, pieces))
+        got = self.known.get(pieces)
         odd = np.zeros(len(pieces), bool)
         missed = []
         for i, x in enumerate(got):
@@ -187,8 +211,7 @@ class Codec:
             part = missed[k : k + 50_000]
             for i, x in zip(part, self._learn([pieces[i] for i in part]), strict=True):
                 got[i] = x
-                if len(pieces[i]) <= LONGEST_REMEMBERED:
-                    known[pieces[i]] = x
+        self.known.put((pieces[i], got[i]) for i in missed if len(pieces[i]) <= LONGEST_REMEMBERED)
         # what opens a text has no space before it, and odd pieces are not cut at single spaces: those go one by one
         whole = np.logical_or.reduceat(odd[at], first[:-1]) if len(texts) else np.zeros(0, bool)
         own = [self._whole(texts[d].as_py()) if whole[d] else self._one(pieces[at[first[d]]]) for d in range(len(texts))]
