@@ -81,7 +81,25 @@ KINDS = {"method": pa.string(), "worker": pa.int32(), "keys": pa.list_(pa.int64(
 
 
 def _row(**cols: object) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array([v.tolist() if isinstance(v, np.ndarray) else v], KINDS[k]) for k, v in cols.items()], names=list(cols))
+    one = lambda k, v: pa.ListArray.from_arrays(pa.array([0, len(v)], pa.int32()), pa.array(v, KINDS[k].value_type)) if isinstance(v, np.ndarray) else pa.array([v], KINDS[k])
+    return pa.RecordBatch.from_arrays([one(k, v) for k, v in cols.items()], names=list(cols))
+
+
+#: Bytes of a task's rows that are put together before their gradients are taken.
+TOGETHER = 32 << 20
+
+
+def _joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Fewer, larger batches: a batch makes a row for each method and worker that it has rows of."""
+    held, size = [], 0
+    for b in batches:
+        held.append(b)
+        size += b.nbytes
+        if size >= TOGETHER:
+            yield from pa.Table.from_batches(held).combine_chunks().to_batches()
+            held, size = [], 0
+    if held:
+        yield from pa.Table.from_batches(held).combine_chunks().to_batches()
 
 
 #: (parameters, one Arrow batch) to (worker, gradient sum, loss sum, rows) per worker.
@@ -94,7 +112,7 @@ def _partials(rows: DataFrame, params: dict[str, np.ndarray], gradient: Gradient
     known = rows.sparkSession.sparkContext.broadcast(params)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in _joined(batches):
             for name, x in known.value.items():
                 for worker, g, loss, n in gradient(x, b):
                     keys = np.flatnonzero(g)
@@ -108,8 +126,10 @@ def _exchange(partials: DataFrame, held: DataFrame, methods: dict[str, Method],
 
     def summed(t: pa.Table, keys: str, values: str) -> np.ndarray:
         out = np.zeros(d)
-        for k, v in zip(t.column(keys).to_pylist(), t.column(values).to_pylist(), strict=True):
-            np.add.at(out, np.array(k or [], np.int64), np.array(v or []))
+        for k, v in zip(t.column(keys), t.column(values), strict=True):
+            if k.values is not None:
+                # the keys of a row are distinct
+                out[k.values.to_numpy()] += v.values.to_numpy()
         return out
 
     def run(mine: pa.Table, memory: pa.Table) -> pa.Table:
@@ -135,8 +155,8 @@ def _means(sent: DataFrame, names: list[str], d: int) -> dict[str, np.ndarray]:
     workers = {r.method: r["count"] for r in sent.groupBy("method").count().collect()}
     t = cells.groupBy("method").agg(F.collect_list("idx").alias("idx"), F.collect_list("value").alias("value")).toArrow()
     out = {m: np.zeros(d) for m in names}
-    for m, i, v in zip(*(t.column(c).to_pylist() for c in ("method", "idx", "value")), strict=True):
-        out[m][np.array(i, np.int64)] = np.array(v) / workers[m]
+    for m, i, v in zip(*(t.column(c) for c in ("method", "idx", "value")), strict=True):
+        out[m.as_py()][i.values.to_numpy()] = v.values.to_numpy() / workers[m.as_py()]
     return out
 
 
@@ -245,7 +265,7 @@ def train_recommender(spark: SparkSession, sf_dir: str, methods: dict[str, Metho
     """
     seen = ts.load(spark, sf_dir, "lineitem").join(ts.load(spark, sf_dir, "orders"), F.col("l_orderkey") == F.col("o_orderkey")).select("o_custkey", "l_partkey", "o_orderdate", "o_orderkey").distinct()
     last = checkpointed(seen.groupBy("o_custkey").agg(F.max(F.struct("o_orderdate", "o_orderkey", "l_partkey")).alias("m"), F.count("*").alias("n")).where("n > 1").select("o_custkey", F.col("m.l_partkey").alias("held")))
-    own = seen.join(last, "o_custkey", "left").where("held IS NULL OR held <> l_partkey").select(F.pmod(F.xxhash64("o_custkey"), F.lit(workers)).cast("int").alias("worker"), "o_custkey", "l_partkey").distinct()
+    own = seen.join(last, "o_custkey", "left").where("held IS NULL OR held <> l_partkey").select(F.pmod(F.xxhash64("o_custkey"), F.lit(workers)).cast("int").alias("worker"), "o_custkey", "l_partkey").distinct().repartition("worker")
     users, items = ts.load(spark, sf_dir, "customer").count(), ts.load(spark, sf_dir, "part").count()
     start = np.random.default_rng(seed).standard_normal((users + items) * factors) * 0.1
 

@@ -1,6 +1,7 @@
 """Filters and codecs of tensors wider than a block, against SQL and against one another."""
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -99,3 +100,13 @@ def test_rate_sweep_of_several_blocks(spark, wide):
         for f in (1e-4, 1e-3, 4e-3, 1e-2, 1e-1):
             assert rows[s, "p0", f].error <= rows[s, "p1", f].error + 1e-12
         assert rows[s, "p0", 1e-1].error < rows[s, "p0", 1e-4].error
+
+
+def test_a_task_makes_one_partial_for_each_method_and_worker(spark):
+    """However many Arrow batches its rows come in."""
+    from sparsewire.workloads import train as tr
+
+    rows = spark.range(0, 25_000, 1, 1).selectExpr("CAST(id % 2 AS INT) AS worker", "id AS x")
+    count = lambda params, b: ((k, params * (b.column(0).to_numpy() == k).sum(), 0.0, int((b.column(0).to_numpy() == k).sum())) for k in (0, 1))
+    got = tr._partials(rows, {"a": np.ones(3)}, count).collect()
+    assert sorted((r.worker, r.n, r["values"]) for r in got) == [(0, 12_500, [12_500.0] * 3), (1, 12_500, [12_500.0] * 3)]
