@@ -110,3 +110,8 @@ def test_a_task_makes_one_partial_for_each_method_and_worker(spark):
     count = lambda params, b: ((k, params * (b.column(0).to_numpy() == k).sum(), 0.0, int((b.column(0).to_numpy() == k).sum())) for k in (0, 1))
     got = tr._partials(rows, {"a": np.ones(3)}, count).collect()
     assert sorted((r.worker, r.n, r["values"]) for r in got) == [(0, 12_500, [12_500.0] * 3), (1, 12_500, [12_500.0] * 3)]
+
+
+@pytest.mark.parametrize("name", ("q_bloom_size", "q_bloom_bits_theory", "q_comm_model"))
+def test_closed_forms_read_a_table(spark, sf, name):
+    assert QUERIES[name](spark, sf).inputFiles()
