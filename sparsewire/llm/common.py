@@ -5,10 +5,11 @@ from __future__ import annotations
 import contextlib
 import ctypes
 import functools
+import inspect
 import math
 import re
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -70,6 +71,32 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+def tidy(f: Callable) -> Callable:
+    """A function for mapInArrow or applyInArrow that gives back what it freed, after a task or a group.
+
+    Spark tells the kinds of function apart by their parameters, so these stay.
+    """
+    if inspect.isgeneratorfunction(f):
+
+        def batches_of(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            yield from f(batches)
+            give_back()
+
+        return batches_of
+
+    def group(t: pa.Table) -> pa.Table:
+        out = f(t)
+        give_back()
+        return out
+
+    def cogroup(t: pa.Table, other: pa.Table) -> pa.Table:
+        out = f(t, other)
+        give_back()
+        return out
+
+    return group if len(inspect.signature(f).parameters) == 1 else cogroup
+
+
 def any_names(stage: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
     """A stage whose documents may have columns with dots, spaces or quotes in their names: Arrow calls refuse these."""
 

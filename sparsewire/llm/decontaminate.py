@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import any_names, bounded_batches, cut, table
+from .common import any_names, bounded_batches, cut, table, tidy
 
 SHINGLE, SIMILAR = 5, 0.8
 BITS, RADIUS = 64, 19
@@ -201,7 +201,7 @@ def _portions(benchmark: DataFrame) -> list[DataFrame]:
             text = pa.array([b" ".join(words_of(t)).decode() for t in b.column(1).to_pylist()], pa.string())
             yield pa.RecordBatch.from_arrays([b.column(0), text], names=["item_id", "text"])
 
-    rows = bounded_batches(benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), F.col("text").alias("text"))).mapInArrow(run, "item_id bigint, text string")
+    rows = bounded_batches(benchmark.select(F.col("item_id").cast("bigint").alias("item_id"), F.col("text").alias("text"))).mapInArrow(tidy(run), "item_id bigint, text string")
     items = cut(rows.where("text <> ''").groupBy("text").agg(F.min("item_id").alias("item_id")))
     n = int(items.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // PORTION_BYTES + 1
     return [items.where(F.pmod(F.xxhash64("text"), F.lit(n)) == k).select("item_id", "text") for k in range(n)]
@@ -228,7 +228,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id",
                     got = [(d, *m) for d, t in zip(cut.column(0).to_pylist(), cut.column(1).to_pylist(), strict=True) for m in index.matches(t)]
                     yield pa.RecordBatch.from_arrays([pa.array([g[k] for g in got], t) for k, t in enumerate(schema.values())], names=list(schema))
 
-        return bounded_batches(rows).mapInArrow(run, "doc_id bigint, item_id bigint, first_word bigint, n_words bigint, similarity double, differing_bits int")
+        return bounded_batches(rows).mapInArrow(tidy(run), "doc_id bigint, item_id bigint, first_word bigint, n_words bigint, similarity double, differing_bits int")
 
     return reduce(DataFrame.unionByName, map(pass_over, _portions(benchmark)))
 
@@ -257,7 +257,7 @@ def keep_clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
                     cut_ = b.slice(at, 512)
                     yield cut_.filter(pa.array([not index.matches(t) for t in cut_.column(text).to_pylist()], pa.bool_()))
 
-        return bounded_batches(rows).mapInArrow(run, docs.schema)
+        return bounded_batches(rows).mapInArrow(tidy(run), docs.schema)
 
     for k, part in enumerate(parts):
         docs = pass_over(cut(docs) if k else docs, part)

@@ -20,7 +20,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import DoubleType, StructField, StructType
 
-from .common import any_names, bounded_batches, table
+from .common import any_names, bounded_batches, table, tidy
 
 MAX_TRAIN = 20_000
 THRESHOLD = 0.3
@@ -72,7 +72,7 @@ def with_statistics(docs: DataFrame, text_col: str = "text", keep: tuple[str, ..
                 yield pa.RecordBatch.from_arrays([*part.columns[:n], *(pa.array(np.ascontiguousarray(got[:, k])) for k in range(len(STATS)))], names=[*keep, *names])
 
     fields = [*rows.schema.fields[:n], *(StructField(x, DoubleType()) for x in names)]
-    return bounded_batches(rows).mapInArrow(run, StructType(fields))
+    return bounded_batches(rows).mapInArrow(tidy(run), StructType(fields))
 
 
 Condition = tuple[int, bool, float]  # statistic, above, threshold

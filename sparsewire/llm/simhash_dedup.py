@@ -19,7 +19,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_batches, connected_components, cut, id_back, id_or_last, shuffle_partitions, table
+from .common import bounded_batches, connected_components, cut, id_back, id_or_last, shuffle_partitions, table, tidy
 
 BITS, SEED, WORDS, RADIUS = 64, 42, 4, 4
 BYTES = 8
@@ -114,7 +114,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
                 fp = fingerprint_array(part.column(1).to_pylist()).view(np.int64)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(fp)], names=["id", "fp"])
 
-    return bounded_batches(docs.select(F.col(id_col).cast("bigint").alias("id"), F.encode(F.col(text_col), "UTF-8").alias("b"))).mapInArrow(run, "id bigint, fp bigint")
+    return bounded_batches(docs.select(F.col(id_col).cast("bigint").alias("id"), F.encode(F.col(text_col), "UTF-8").alias("b"))).mapInArrow(tidy(run), "id bigint, fp bigint")
 
 
 def _short(fp: np.ndarray, rep: np.ndarray, run: np.ndarray, size: np.ndarray) -> Iterator[np.ndarray]:
@@ -197,7 +197,7 @@ def links(classes: DataFrame) -> DataFrame:
     n = shuffle_partitions(classes.sparkSession)
     masks = F.array(*[F.lit(m if m < 2**63 else m - 2**64).cast("bigint") for m in MASKS])
     lists = classes.select("fp", "rep", F.posexplode(masks).alias("t", "m")).select("t", F.col("fp").bitwiseAND(F.col("m")).alias("v"), "fp", "rep")
-    return lists.repartition(n, "t", "v").sortWithinPartitions("t", "v", "fp").mapInArrow(_scan, "a bigint, b bigint").distinct()
+    return lists.repartition(n, "t", "v").sortWithinPartitions("t", "v", "fp").mapInArrow(tidy(_scan), "a bigint, b bigint").distinct()
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NO_ID, bounded_batches, connected_components, cut, give_back, id_or_last, shuffle_partitions, small_side
+from .common import NO_ID, bounded_batches, connected_components, cut, id_or_last, shuffle_partitions, small_side, tidy
 from .shingles import shingles
 from .simhash_dedup import links as fingerprint_links
 from .simhash_dedup import majority
@@ -73,9 +73,8 @@ def _base(rows: DataFrame) -> DataFrame:
                 sets, k, h, n = _named(part)
                 cols = [part.column(0), pa.array(k), pa.array(majority(h, n).view(np.int64)), pa.array([len(s) for s in sets], pa.int64()), pa.array([parities(s) for s in sets], pa.binary())]
                 yield pa.RecordBatch.from_arrays(cols, names=["id", "k", "fp", "n", "bits"])
-        give_back()
 
-    return bounded_batches(rows).mapInArrow(run, "id bigint, k bigint, fp bigint, n bigint, bits binary")
+    return bounded_batches(rows).mapInArrow(tidy(run), "id bigint, k bigint, fp bigint, n bigint, bits binary")
 
 
 def _may_be_alike(pairs: DataFrame, classes: DataFrame) -> DataFrame:
@@ -99,7 +98,7 @@ def _may_be_alike(pairs: DataFrame, classes: DataFrame) -> DataFrame:
     own = classes.select("k", "n", "bits")
     both = pairs.join(own.select(F.col("k").alias("a"), F.col("n").alias("m"), F.col("bits").alias("x")), "a")
     both = both.join(own.select(F.col("k").alias("b"), "n", F.col("bits").alias("y")), "b")
-    return both.select("a", "b", "m", "n", "x", "y").mapInArrow(run, "a bigint, b bigint")
+    return both.select("a", "b", "m", "n", "x", "y").mapInArrow(tidy(run), "a bigint, b bigint")
 
 
 def _sets(rows: DataFrame) -> DataFrame:
@@ -122,9 +121,8 @@ def _sets(rows: DataFrame) -> DataFrame:
                     tokens = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([sets[i] for i in new]).view(np.int64)))
                     yield pa.RecordBatch.from_arrays([pa.array(k[new]), tokens], names=["k", "tokens"])
         seen.clear()
-        give_back()
 
-    return bounded_batches(rows).mapInArrow(run, "k bigint, tokens array<bigint>")
+    return bounded_batches(rows).mapInArrow(tidy(run), "k bigint, tokens array<bigint>")
 
 
 def _lists(sets: DataFrame, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
@@ -149,7 +147,7 @@ def _lists(sets: DataFrame, common: tuple[np.ndarray, np.ndarray]) -> DataFrame:
                 k = part.column(0).to_numpy()
                 yield pa.RecordBatch.from_arrays([pa.array(flat[order][keep]), pa.array(k[owner[keep]]), pa.array(n[owner[keep]]), pa.array(pos[keep])], names=["token", "k", "n", "pos"])
 
-    return sets.mapInArrow(run, "token bigint, k bigint, n bigint, pos bigint")
+    return sets.mapInArrow(tidy(run), "token bigint, k bigint, n bigint, pos bigint")
 
 
 def _may(n: np.ndarray, pos: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
@@ -260,7 +258,7 @@ def _pairs(lists: DataFrame, choose: Callable) -> DataFrame:
             yield from scan(held)
 
     dealt = lists.repartition(shuffle_partitions(lists.sparkSession), "token").sortWithinPartitions("token", "n", "k")
-    return cut(dealt.mapInArrow(run, "a bigint, b bigint, kind int").distinct())
+    return cut(dealt.mapInArrow(tidy(run), "a bigint, b bigint, kind int").distinct())
 
 
 def _verified(pairs: DataFrame, rows: DataFrame, classes: DataFrame) -> DataFrame:

@@ -28,7 +28,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from .common import NO_ID, any_names, block_count, id_or_last, table
+from .common import NO_ID, any_names, block_count, id_or_last, table, tidy
 from .suffix_array import permuted_common_prefixes, suffix_array
 
 LENGTH = 50
@@ -262,9 +262,9 @@ def _spans(docs: DataFrame, text_col: str, blocks: int) -> DataFrame:
                     out[n].append(v)
         return pa.table({n: pa.array(out[n], k) for n, k in names.items()})
 
-    shared = docs.groupBy(BLOCK).applyInArrow(send, "shard bigint, block bigint, h binary").groupBy("shard").applyInArrow(_find_shared, "block bigint, h binary")
-    sent = docs.groupBy(BLOCK).cogroup(shared.groupBy("block")).applyInArrow(contexts, "shard bigint, block bigint, data binary, sizes binary, run binary, row binary, id binary, pos binary")
-    return sent.groupBy("shard").applyInArrow(_find_spans, "block bigint, row binary, first binary, stop binary")
+    shared = docs.groupBy(BLOCK).applyInArrow(tidy(send), "shard bigint, block bigint, h binary").groupBy("shard").applyInArrow(tidy(_find_shared), "block bigint, h binary")
+    sent = docs.groupBy(BLOCK).cogroup(shared.groupBy("block")).applyInArrow(tidy(contexts), "shard bigint, block bigint, data binary, sizes binary, run binary, row binary, id binary, pos binary")
+    return sent.groupBy("shard").applyInArrow(tidy(_find_spans), "block bigint, row binary, first binary, stop binary")
 
 
 def _dealt(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, int]:
@@ -296,7 +296,7 @@ def repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
         return pa.table({k: pa.array(v, None if k == "doc_id" else (pa.string() if k == "kept_sha256" else pa.int64())) for k, v in cols.items()})
 
     spans = _spans(dealt, text_col, blocks)
-    return dealt.groupBy(BLOCK).cogroup(spans.groupBy("block")).applyInArrow(drop, "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string")
+    return dealt.groupBy(BLOCK).cogroup(spans.groupBy("block")).applyInArrow(tidy(drop), "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string")
 
 
 @any_names
@@ -325,7 +325,7 @@ def without_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         return out.take(pa.array(b.rows, pa.int64()))
 
     spans = _spans(dealt, text_col, blocks)
-    return dealt.groupBy(BLOCK).cogroup(spans.groupBy("block")).applyInArrow(drop, schema)
+    return dealt.groupBy(BLOCK).cogroup(spans.groupBy("block")).applyInArrow(tidy(drop), schema)
 
 
 def _by_row(b: Block, values: np.ndarray, rows: int) -> list[int]:

@@ -381,3 +381,28 @@ def test_pipeline_stages_chain(spark, sf):
     enc = byte_bpe.codec(byte_bpe.vocabulary_path())
     for r in rows.itertuples():
         assert enc.decode(list(r.ids)).decode() == r.text and r.n_tokens == len(r.ids) and len(r.text.encode()) <= cut[r.doc_id][1] - cut[r.doc_id][2]
+
+
+def test_tasks_give_memory_back_and_learn_in_bounded_parts(monkeypatch):
+    from sparsewire.llm import common
+
+    called = []
+    monkeypatch.setattr(common, "give_back", lambda: called.append(1))
+
+    def batches(b):
+        yield from b
+
+    assert list(common.tidy(batches)([1, 2])) == [1, 2] and len(called) == 1
+    assert common.tidy(lambda t: t)(3) == 3 and common.tidy(lambda t, other: t + other)(3, 4) == 7 and len(called) == 3
+    enc, sizes = byte_bpe.Codec(byte_bpe.vocabulary_path(), public_pattern()), []
+    learn = enc._learn
+    monkeypatch.setattr(enc, "_learn", lambda pieces: sizes.append(len(pieces)) or learn(pieces))
+    text = " ".join(f"w{i}" for i in range(20_001))
+    assert enc.decode(enc.encode([text])[0]).decode() == text
+    assert sum(sizes) == 20_001 and max(sizes) <= 8_000
+
+
+def public_pattern():
+    import public_tokenizers
+
+    return public_tokenizers.PATTERN
