@@ -115,3 +115,19 @@ def test_a_task_makes_one_partial_for_each_method_and_worker(spark):
 @pytest.mark.parametrize("name", ("q_bloom_size", "q_bloom_bits_theory", "q_comm_model"))
 def test_closed_forms_read_a_table(spark, sf, name):
     assert QUERIES[name](spark, sf).inputFiles()
+
+
+def test_every_codec_reads_each_block_once(spark, broad):
+    """All instantiations in one pass over the cells, and filters that are shared choose as those that are not."""
+    from sparsewire.operators.index_codecs import POLICIES, BloomKeys
+
+    out = QUERIES["e16_every_codec"](spark, broad[0])
+    assert {(r.method, r.ok) for r in out.collect()} == set(broad[1].execute(ORACLE["e16_every_codec"]).fetchall())
+    assert out._jdf.queryExecution().optimizedPlan().toString().count("FlatMapGroupsInArrow") == 1
+    keys, shared = np.unique(np.arange(0, 40_000, 57) ** 2 % 30_000), {}
+    for p in POLICIES:
+        plain, own = BloomKeys(0.01, p), BloomKeys(0.01, p)
+        own.shared = shared
+        e, f = plain.encode(keys, 30_000), own.encode(keys, 30_000)
+        assert e.payload == f.payload and np.array_equal(e.sent, f.sent)
+        assert np.array_equal(plain.decode(e.payload, 30_000, len(keys), len(e.sent)), own.decode(f.payload, 30_000, len(keys), len(f.sent)))
