@@ -112,7 +112,7 @@ def test_a_task_makes_one_partial_for_each_method_and_worker(spark):
     assert sorted((r.worker, r.n, r["values"]) for r in got) == [(0, 12_500, [12_500.0] * 3), (1, 12_500, [12_500.0] * 3)]
 
 
-@pytest.mark.parametrize("name", ("q_bloom_size", "q_bloom_bits_theory", "q_comm_model", "e01_worked_example", "e02_runs_and_codes", "e03_membership", "e04_conflict_draw", "e05_naive_shift", "e17b_spline_bounds"))
+@pytest.mark.parametrize("name", ("q_bloom_size", "q_bloom_bits_theory", "q_comm_model", "e01_worked_example", "e02_runs_and_codes", "e03_membership", "e04_conflict_draw", "e05_naive_shift", "e17b_spline_bounds", "q_theory"))
 def test_closed_forms_read_a_table(spark, sf, name):
     assert QUERIES[name](spark, sf).inputFiles()
 
