@@ -131,3 +131,8 @@ def test_every_codec_reads_each_block_once(spark, broad):
         e, f = plain.encode(keys, 30_000), own.encode(keys, 30_000)
         assert e.payload == f.payload and np.array_equal(e.sent, f.sent)
         assert np.array_equal(plain.decode(e.payload, 30_000, len(keys), len(e.sent)), own.decode(f.payload, 30_000, len(keys), len(f.sent)))
+
+
+def test_policies_sum_the_cells_once(spark, sf):
+    """Sizes of filters and groups read what was written, not lineitem again."""
+    assert not any("lineitem" in f for f in QUERIES["q_bloom_naive"](spark, sf).inputFiles())
