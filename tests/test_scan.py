@@ -136,3 +136,11 @@ def test_every_codec_reads_each_block_once(spark, broad):
 def test_policies_sum_the_cells_once(spark, sf):
     """Sizes of filters and groups read what was written, not lineitem again."""
     assert not any("lineitem" in f for f in QUERIES["q_bloom_naive"](spark, sf).inputFiles())
+
+
+def test_policies_deal_rows_before_they_are_summed(spark, sf):
+    """No reading task holds a map of partial sums of cells that seldom repeat."""
+    plan = ts.supp_part(spark, sf, dealt=True)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange") == 1 and plan.index("HashAggregate") < plan.index("Exchange") < plan.index("FileScan")
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    assert rows(ts.supp_part(spark, sf, dealt=True)) == rows(ts.supp_part(spark, sf))
