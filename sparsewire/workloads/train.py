@@ -64,14 +64,14 @@ def kept_keys(p: np.ndarray, method: Method, seed: int) -> np.ndarray:
     return np.sort(order[p[order] != 0])
 
 
-def sent_of(p: np.ndarray, method: Method, seed: int) -> tuple[np.ndarray, np.ndarray, int]:
-    """Keys, values and bits of what a worker's gradient becomes on the other side."""
+def sent_of(p: np.ndarray, method: Method, seed: int, block: int = 0) -> tuple[np.ndarray, np.ndarray, int]:
+    """Keys, values and bits of what a worker's gradient, or a block of it, becomes on the other side."""
     if method.codec is None:
         keys = np.flatnonzero(p)
         return keys, p[keys], 32 * len(p)
     keys = kept_keys(p, method, seed)
-    c = method.codec.encode_block(keys, p[keys], len(p), 0, p.__getitem__)
-    k, v = method.codec.decode_block(c)
+    c = method.codec.encode_block(keys, p[keys], len(p), block, p.__getitem__)
+    k, v = method.codec.decode_block(c, block)
     return k, v, sum(c[b] for b in BITS_OF)
 
 
@@ -261,13 +261,26 @@ def train_recommender(spark: SparkSession, sf_dir: str, methods: dict[str, Metho
     """Customer and part factors from orders with logistic loss and adam; the last item of each customer is held out.
 
     Candidates are the held-out item and 99 hashed ones; the metric is the share found among the ten best. Gradients
-    touch only the rows of factors that a worker's interactions touch, so they are sparse without a sparsifier.
+    touch only the rows of factors that a worker's interactions touch, so they are sparse without a sparsifier. A method
+    that keeps a share of the gradient chooses over all of it, and has the model in its tasks; others go by blocks.
     """
-    seen = ts.load(spark, sf_dir, "lineitem").join(ts.load(spark, sf_dir, "orders"), F.col("l_orderkey") == F.col("o_orderkey")).select("o_custkey", "l_partkey", "o_orderdate", "o_orderkey").distinct()
-    last = checkpointed(seen.groupBy("o_custkey").agg(F.max(F.struct("o_orderdate", "o_orderkey", "l_partkey")).alias("m"), F.count("*").alias("n")).where("n > 1").select("o_custkey", F.col("m.l_partkey").alias("held")))
-    own = seen.join(last, "o_custkey", "left").where("held IS NULL OR held <> l_partkey").select(F.pmod(F.xxhash64("o_custkey"), F.lit(workers)).cast("int").alias("worker"), "o_custkey", "l_partkey").distinct().repartition("worker")
-    users, items = ts.load(spark, sf_dir, "customer").count(), ts.load(spark, sf_dir, "part").count()
-    start = np.random.default_rng(seed).standard_normal((users + items) * factors) * 0.1
+    from . import recommender as rc
+
+    data = rc.Data(spark, sf_dir, workers, factors, seed)
+    whole = {n: m for n, m in methods.items() if m.ratio is not None}
+    rows = rc.train(data, {n: m for n, m in methods.items() if n not in whole}, epochs, rate)
+    if whole:
+        for r in _recommender_whole(data, whole, epochs, rate).collect():
+            rows.setdefault(r.method, []).append(tuple(r)[1:])
+    data.drop()
+    return spark.createDataFrame([(n, *r) for n in methods for r in rows[n]], "method string, epoch int, worker_bits bigint, metric double, loss double, grad_norm double")
+
+
+def _recommender_whole(data: object, methods: dict[str, Method], epochs: int, rate: float) -> DataFrame:
+    users, items, factors = data.users, data.items, data.factors
+    last = data.baskets.where("held IS NOT NULL").select("o_custkey", "held")
+    own = data.baskets.select("worker", "o_custkey", F.explode("parts").alias("l_partkey"), "held").where("held IS NULL OR held <> l_partkey").drop("held").repartition("worker")
+    start = np.random.default_rng(data.seed).standard_normal((users + items) * factors) * 0.1
 
     def halves(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         return x[: users * factors].reshape(users, factors), x[users * factors :].reshape(items, factors)
