@@ -61,3 +61,15 @@ def test_a_draw_of_all_positives_is_all_of_them():
     codec = ix.BloomKeys(0.01, "p2")
     codec._table = None  # not reached
     assert np.array_equal(codec._picked(keys, np.ones(64, np.uint8), 3000, 3000, 7, 0), keys)
+
+
+@pytest.mark.parametrize("keys", ([], [0], [9], [0, 1, 2, 7, 9], list(range(10)), [3, 4, 8]))
+def test_runs_and_bitmaps_follow_the_keys(keys):
+    """Work on 2^40 indices is that of their keys; on ten it gives what the flags of all indices give."""
+    keys, flags = np.array(keys, np.int64), np.zeros(10, np.int8)
+    flags[keys] = 1
+    first, runs = ix.runs_of(keys, 10)
+    assert first == flags[0] and np.array_equal(np.repeat((np.arange(len(runs)) + first) % 2, runs), flags)
+    assert ix.BitmapKeys().encode(keys, 10).payload == np.packbits(flags).tobytes()
+    for codec, d in ((ix.BitmapKeys(), 10), (ix.RunLength(), 10), (ix.RunLength(), 1 << 40)):
+        assert np.array_equal(codec.decode(codec.encode(keys, d).payload, d, len(keys), len(keys)), keys)
