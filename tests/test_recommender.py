@@ -73,3 +73,19 @@ def test_runs_and_bitmaps_follow_the_keys(keys):
     assert ix.BitmapKeys().encode(keys, 10).payload == np.packbits(flags).tobytes()
     for codec, d in ((ix.BitmapKeys(), 10), (ix.RunLength(), 10), (ix.RunLength(), 1 << 40)):
         assert np.array_equal(codec.decode(codec.encode(keys, d).payload, d, len(keys), len(keys)), keys)
+
+
+@pytest.mark.parametrize("width", (1, 7, 19, 32))
+def test_packing_takes_memory_for_a_stretch(width):
+    import tracemalloc
+
+    from sparsewire.operators import bits as bt
+
+    values = np.random.default_rng(0).integers(0, 1 << width, 200_003)
+    spelled = np.packbits((values[:, None] >> np.arange(width - 1, -1, -1) & 1).astype(np.uint8).ravel()).tobytes()
+    tracemalloc.start()
+    data = bt.pack(values, width)
+    assert np.array_equal(bt.unpack(data, width, len(values)), values) and data == spelled
+    # the values, their parts and a stretch's bits as words
+    assert tracemalloc.get_traced_memory()[1] < 4 * values.nbytes + 3 * 8 * width * (1 << 15)
+    tracemalloc.stop()
